@@ -6,26 +6,55 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import documents
+from .bpe import round_trip
+from .common import documents, labels
 from .exact_dedup import dedup
+from .langid import language
 from .packing import pack
+from .quality import quality
 from .simhash import near_duplicates
+from .toxicity import toxicity
+from .webp import media_columns
+
+
+def op1_quality_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality(documents(spark, sf_dir), labels(spark, sf_dir))
 
 
 def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(documents(spark, sf_dir)).drop("fp_size")
 
 
+def op4_bpe_speculate_verify(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return round_trip(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup(documents(spark, sf_dir))
 
 
+def op7_toxicity_gru(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity(documents(spark, sf_dir), labels(spark, sf_dir))
+
+
+def op8_lossless_webp(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media_columns(documents(spark, sf_dir))
+
+
 def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(documents(spark, sf_dir))
 
 
+def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language(documents(spark, sf_dir))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op3_simhash_near_dedup, op5_exact_dedup, op9_packing]
+    found = [
+        op1_quality_neighbours, op3_simhash_near_dedup, op4_bpe_speculate_verify, op5_exact_dedup, op7_toxicity_gru, op8_lossless_webp, op9_packing, op10_language_id,
+    ]
     return {f.__name__: f for f in found}
 
 

@@ -25,15 +25,32 @@ class Gru:
         """The next state of every row."""
         n = self.h
         a = h @ self.u
-        g = x[:, : 2 * n] + a[:, : 2 * n]
-        g = 0.5 + 0.5 * _soft(g)
-        cand = _soft(x[:, 2 * n :] + g[:, n:] * a[:, 2 * n :])
-        return cand + g[:, :n] * (h - cand)
-
-    def forward(self, x: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, list]:
-        """States (time, rows, hidden) for inputs (time, rows, 3 hidden), and what the way back needs."""
+        g = a[:, : 2 * n]
+        g += x[:, : 2 * n]
+        d = np.abs(g)
+        d += 1
+        g /= d
+        g *= F32(0.5)
+        g += F32(0.5)
+        c = g[:, n:] * a[:, 2 * n :]
+        c += x[:, 2 * n :]
+        d = np.abs(c)
+        d += 1
+        c /= d
+        h = h - c
+        h *= g[:, :n]
+        h += c
+        return h
+
+    def forward(self, x: np.ndarray, h: np.ndarray, keep: np.ndarray | None = None) -> tuple[np.ndarray, list]:
+        """States (time, rows, hidden) for inputs (time, rows, 3 hidden), and what the way back needs.
+
+        ``keep`` (time, rows, 1) is 0 where the state is cleared before the step.
+        """
         n, out, tape = self.h, np.empty((*x.shape[:2], self.h), dtype=F32), []
         for t in range(len(x)):
+            if keep is not None:
+                h = h * keep[t]
             a = h @ self.u
             s = _soft(x[t, :, : 2 * n] + a[:, : 2 * n])
             g = 0.5 + 0.5 * s
@@ -43,7 +60,7 @@ class Gru:
             out[t] = h = new
         return out, tape
 
-    def backward(self, tape: list, d_out: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def backward(self, tape: list, d_out: np.ndarray, keep: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
         """Gradients of the inputs and of the recurrent weights; d_out holds the loss's gradient at each state."""
         n, steps = self.h, len(tape)
         dx = np.empty((steps, d_out.shape[1], 3 * n), dtype=F32)
@@ -61,6 +78,8 @@ class Gru:
             da = np.concatenate([dg, dc * r], axis=1)
             du += h.T @ da
             dh = dh * z + da @ self.u.T
+            if keep is not None:
+                dh = dh * keep[t]
         return dx, du
 
 

@@ -10,8 +10,10 @@ from .bpe import round_trip
 from .common import documents, labels
 from .exact_dedup import dedup
 from .langid import language
+from .lm import score as lm_score
 from .packing import pack
 from .quality import quality
+from .secrets import scan
 from .simhash import near_duplicates
 from .toxicity import toxicity
 from .webp import media_columns
@@ -21,6 +23,10 @@ def op1_quality_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality(documents(spark, sf_dir), labels(spark, sf_dir))
 
 
+def op2_gru_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_score(documents(spark, sf_dir))
+
+
 def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(documents(spark, sf_dir)).drop("fp_size")
 
@@ -35,6 +41,10 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup(documents(spark, sf_dir))
 
 
+def op6_multipart_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scan(documents(spark, sf_dir))
+
+
 def op7_toxicity_gru(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity(documents(spark, sf_dir), labels(spark, sf_dir))
 
@@ -53,7 +63,8 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = [
-        op1_quality_neighbours, op3_simhash_near_dedup, op4_bpe_speculate_verify, op5_exact_dedup, op7_toxicity_gru, op8_lossless_webp, op9_packing, op10_language_id,
+        op1_quality_neighbours, op2_gru_language_model, op3_simhash_near_dedup, op4_bpe_speculate_verify, op5_exact_dedup, op6_multipart_secrets,
+        op7_toxicity_gru, op8_lossless_webp, op9_packing, op10_language_id,
     ]
     return {f.__name__: f for f in found}
 

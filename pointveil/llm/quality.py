@@ -112,3 +112,14 @@ def score(docs: DataFrame, voter: Voter, held_fold: int = 2, folds: int = 4, thr
 def quality(docs: DataFrame, marks: DataFrame, bound: int = REFERENCES) -> DataFrame:
     """Fit on the bounded sample outside the held-out fold and score every document."""
     return score(docs, train(labelled_sample(docs, marks, "quality", 2, 4, bound)))
+
+
+def keep_good(docs: DataFrame, voter: Voter, threshold: float = THRESHOLD) -> DataFrame:
+    """The rows scored at ``threshold`` or more, with all their columns, in one pass without a join."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in byte_chunks(batch):
+                yield part.filter(pa.array(voter.scores(texts_of(part)) >= threshold))
+
+    return docs.mapInArrow(run, docs.schema)

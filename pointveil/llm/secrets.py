@@ -118,3 +118,33 @@ def scan(docs: DataFrame, scope: int = SCOPE) -> DataFrame:
     return numbered.select("doc_id", "row_no").join(told, "row_no", "left").select(
         "doc_id", *counts, F.sha2(F.coalesce("base", F.lit("")), 256).alias("base_sha256"), F.coalesce("spans", F.lit("")).alias("spans")
     )
+
+
+def mask(docs: DataFrame, scope: int = SCOPE) -> DataFrame:
+    """The documents with every reported span replaced by its kind in angle brackets; other columns stay.
+
+    Overlapping spans are cut out together under the first one's kind. n_chars, where present, is counted anew for
+    changed texts. Null texts stay null. Only rows with a span are joined by value: the spans of a row are found
+    again by (doc_id, hash of the text), which repeated rows share.
+    """
+    key = F.xxhash64(F.col("doc_id"), F.coalesce(F.col("text"), F.lit("")))
+    keyed = docs.select("text", F.col("doc_id"), key.alias("row_key_"))
+    numbered = staged(matches(keyed.select(F.col("row_key_").alias("doc_id"), "text")))
+    found = staged(spans(numbered))
+    every = found.where(F.col("kind") < len(BASE)).unionByName(linked(found, scope))
+    per_row = every.groupBy("row_no").agg(F.array_sort(F.collect_list(F.struct(F.col("start").cast("int").alias("start"), F.col("end").cast("int").alias("end"), "kind"))).alias("cuts_"))
+    cuts = numbered.join(per_row, "row_no").select(F.col("doc_id").alias("row_key_"), "cuts_").dropDuplicates(["row_key_"])
+    names = F.array(*[F.lit(k) for k in ORDER])
+    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out"))
+    walked = F.aggregate(
+        "cuts_", start,
+        lambda acc, c: F.when(c["start"] >= acc["at"], F.struct(c["end"].alias("at"), F.concat(acc["out"], F.array(F.substr(F.col("text"), acc["at"] + 1, c["start"] - acc["at"]), F.concat(F.lit("<"), F.element_at(names, c["kind"] + 1), F.lit(">")))).alias("out")))
+        .otherwise(F.struct(F.greatest(acc["at"], c["end"]).alias("at"), acc["out"].alias("out"))),
+        lambda acc: F.concat(F.array_join(acc["out"], ""), F.substr(F.col("text"), acc["at"] + 1, F.length("text"))),
+    )
+    joined = docs.withColumn("row_key_", key).join(cuts, "row_key_", "left")
+    text = F.when(F.col("cuts_").isNull(), F.col("text")).otherwise(walked)
+    out = joined.select(*[text.alias("text") if c == "text" else F.col(c) for c in docs.columns], "cuts_")
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.when(F.col("cuts_").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long")).cast(docs.schema["n_chars"].dataType))
+    return out.select(*docs.columns)

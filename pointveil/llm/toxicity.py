@@ -22,7 +22,7 @@ from .textops import Words
 
 WINDOW, STRIDE, HIDDEN, DIM = 32, 16, 8, 12
 WORD_ROWS, GRAM_ROWS, GRAM = 1 << 13, 1 << 14, 4
-TRAIN_ROWS, STEPS, BATCH, RATE, THRESHOLD = 6000, 350, 192, 0.01, 0.3
+TRAIN_ROWS, STEPS, BATCH, RATE, THRESHOLD = 4000, 350, 192, 0.01, 0.3
 
 
 class ToxicNet:
@@ -120,12 +120,12 @@ def train(rows: list[tuple[int, str, int]], steps: int = STEPS, seed: int = 5) -
         return net
     rng = np.random.default_rng(seed)
     texts, y = [r[1].encode() for r in rows], np.array([r[2] for r in rows])
-    words = Words(texts, lower=True)
-    word_row, owner, gram_row, back = net.inputs(words)
-    gram_at = np.searchsorted(owner, np.arange(len(word_row) + 1))
-    doc, start = windows_of(words.sizes)
-    begin = np.concatenate([[0], words.sizes.cumsum()[:-1]])
-    full = words.sizes[doc] > 0
+    runs = list(_runs(texts))
+    word_row, gram_row, gram_count, back, sizes = _gathered(net, runs)
+    gram_at = np.concatenate([[0], gram_count.cumsum()])
+    doc, start = windows_of(sizes)
+    begin = np.concatenate([[0], sizes.cumsum()[:-1]])
+    full = sizes[doc] > 0
     sides = [np.flatnonzero(full & (y[doc] == k)) for k in (0, 1)]
     if min(map(len, sides)) == 0:
         return net
@@ -138,7 +138,7 @@ def train(rows: list[tuple[int, str, int]], steps: int = STEPS, seed: int = 5) -
         pick = np.concatenate([rng.choice(s, BATCH // 2) for s in sides])
         target = np.repeat([0.0, 1.0], BATCH // 2).astype(F32)
         at = start[pick][:, None] + np.arange(WINDOW)
-        live = at < words.sizes[doc[pick]][:, None]
+        live = at < sizes[doc[pick]][:, None]
         flat = back[np.where(live, begin[doc[pick]][:, None] + at, 0)]
         used, index = np.unique(flat, return_inverse=True)
         index = index.reshape(flat.shape)
@@ -180,10 +180,34 @@ def train(rows: list[tuple[int, str, int]], steps: int = STEPS, seed: int = 5) -
             "word": gword, "gram": ggram, "wf": flat_x.T @ ff, "wb": flat_x.T @ fb, "bias": np.concatenate([ff.sum(axis=0), fb.sum(axis=0)]),
             "uf": duf, "ub": dub, "att": np.einsum("tr,trk->k", ds, both), "out": pooled.T @ dl, "b": np.array([dl.sum()], dtype=F32),
         })
-    w["calib"] = calibrate(net.text_features(texts), y)
+    w["calib"] = calibrate(np.concatenate([net.text_features(run) for run in runs]), y)
     return net
 
 
+def _runs(texts: list[bytes], limit: int = 1 << 20) -> Iterator[list[bytes]]:
+    """Consecutive texts of about ``limit`` bytes; bounds the driver's memory."""
+    held, size = [], 0
+    for t in texts:
+        if held and size + len(t) > limit:
+            yield held
+            held, size = [], 0
+        held.append(t)
+        size += len(t)
+    if held:
+        yield held
+
+
+def _gathered(net: ToxicNet, runs: list[list[bytes]]) -> tuple[np.ndarray, ...]:
+    """Word rows, 4-gram rows and their counts of each run's distinct words; each word's number; words of each text."""
+    found, offset = [], 0
+    for run in runs:
+        words = Words(run, lower=True)
+        word_row, owner, gram_row, back = net.inputs(words)
+        found.append((word_row.astype(np.int32), gram_row.astype(np.int32), np.bincount(owner, minlength=len(word_row)), (back + offset).astype(np.int32), words.sizes))
+        offset += len(word_row)
+    return tuple(np.concatenate(c) for c in zip(*found))
+
+
 def calibrate(features: np.ndarray, y: np.ndarray, rounds: int = 60, ridge: float = 1e-3) -> np.ndarray:
     """Logistic weights (per feature, then the constant) by Newton steps."""
     x = np.column_stack([np.clip(features, -30, 30), np.ones(len(y))])

@@ -98,6 +98,8 @@ def merge(assigned: DataFrame, cfg: Cfg, weight: Column | None = None, cut=stage
         last = i == len(steps) - 1
         full = joined if last else joined.where(F.col("size_") >= cfg.kappa)
         done.append(full.select(*KEY, "poi_id", "hour", (F.col("size_") < cfg.kappa).alias("under_full")))
+        if not last and cut is staged and joined.where(F.col("size_") < cfg.kappa).isEmpty():
+            break
         if not last:
             frontier = joined.where(F.col("size_") < cfg.kappa).select(*assigned.columns)
     members = done[0]

@@ -1 +1,457 @@
-QUERIES={}
+"""The experiment workloads: methods, sweeps, ablations and generated populations, as registered queries.
+
+They draw and rebuild through the kernels, so SQL has no twin for them; tests hold their parts against brute force.
+Sweeps run every setting over whole trajectory sets of one scenario (no sampling).
+"""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from .config import Cfg
+from .functions import distance as D
+from .functions.rng import uniform
+from .operators import audit, catalog, cost, expmech, hotspots, metrics, ops, reach, regions, synth
+from .plans import knowledge, pipeline
+from .plans.knowledge import Knowledge
+from .queries import _toy_bigrams, _toy_pairs
+from .sources import scenarios as S
+from .sources.io import staged, table
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+REGION_METHODS, ALL_METHODS = ("hier",), ("hier", "flat", "geo_only", "indep_reach", "indep_free")
+#: Comparison setting of the error table: a unit sensitivity, which is not private at eps (see README).
+UNIT = Cfg(delta_mode="unit")
+
+
+def workload(fn):
+    QUERIES[fn.__name__] = fn
+    return fn
+
+
+# ---------------------------------------------------------------- scenarios
+
+
+def event_city(spark: SparkSession, d: str, cfg: Cfg) -> tuple[DataFrame, DataFrame, Knowledge]:
+    """(places, valid trajectories, knowledge) of the event city."""
+    poi = staged(S.event_poi(spark, d))
+    traj = staged(reach.valid_only(S.event_traj(spark, d), poi, cfg))
+    return poi, traj, knowledge.build(poi, cfg)
+
+
+def _people(spark: SparkSession, d: str) -> DataFrame:
+    return table(spark, d, "customer").select((F.col("c_custkey") - 1).alias("person"))
+
+
+def panel_city(spark: SparkSession, d: str, cfg: Cfg) -> tuple[DataFrame, DataFrame, Knowledge]:
+    """The event city's places with one generated trajectory per customer."""
+    poi = staged(S.event_poi(spark, d))
+    k = knowledge.build(poi, cfg)
+    number = {p: i for i, p in enumerate(k.poi_ids)}
+    by_hour = np.zeros((len(number), 24))
+    for r in S.popularity_by_hour(spark, d).collect():  # places x 24 rows of the checked catalog
+        by_hour[number[r.poi_id], r.hour] = r.visits
+    q = [i / 20 for i in range(21)]
+    dwell = np.array(table(spark, d, "events").agg(F.percentile_approx("value", q).alias("q")).first().q)
+    traj = synth.panel(_people(spark, d), k, by_hour + 1e-6, dwell, cfg)
+    full = W.partitionBy("traj_id")
+    kept = traj.withColumn("n", F.count(F.lit(1)).over(full)).where("n >= 3").drop("n")
+    return poi, staged(reach.valid_only(kept, poi, cfg)), k
+
+
+def campus(spark: SparkSession, d: str, cfg: Cfg) -> tuple[DataFrame, DataFrame, Knowledge]:
+    """The campus with three planted crowds."""
+    poi = staged(S.campus_poi(spark, d))
+    k = knowledge.build(poi, cfg)
+    cats = {r.poi_id: r.l1 for r in poi.select("poi_id", "l1").collect()}
+    people = _people(spark, d)
+    traj = synth.campus(people, k, [cats[p] for p in k.poi_ids], people.count(), cfg)
+    kept = traj.withColumn("n", F.count(F.lit(1)).over(W.partitionBy("traj_id"))).where("n >= 3").drop("n")
+    return poi, staged(reach.valid_only(kept, poi, cfg)), k
+
+
+SCENARIOS = {"event_city": event_city, "panel_city": panel_city, "campus": campus}
+
+
+def released(method: str, traj: DataFrame, k: Knowledge, cfg: Cfg) -> pipeline.RunResult:
+    """Run once and stage: a release is written down, never drawn again."""
+    return pipeline.RunResult(staged(pipeline.run(method, traj, k, cfg).rows))
+
+
+def _stack(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+def _ne(method: str, traj, k, poi, cfg, **tags) -> DataFrame:
+    r = released(method, traj, k, cfg)
+    out = metrics.ne(metrics.point_errors(traj, r.released, poi, cfg.gt_min)).withColumn("method", F.lit(method))
+    for name, value in tags.items():
+        out = out.withColumn(name, F.lit(value))
+    return staged(out)
+
+
+# ---------------------------------------------------------------- methods
+
+
+def _run(method: str):
+    def fn(spark, d):
+        _, traj, k = event_city(spark, d, Cfg())
+        return pipeline.run(method, traj, k, Cfg()).released
+
+    fn.__name__ = f"run_{method}"
+    return workload(fn)
+
+
+for _m in ALL_METHODS:
+    _run(_m)
+
+
+@workload
+def run_global(spark, d):
+    """The whole-trajectory mechanism by its exact chain, on hourly slots (states: places x slots)."""
+    cfg = Cfg(gt_min=60)
+    poi = staged(S.event_poi(spark, d))
+    traj = staged(reach.valid_only(S.event_traj(spark, d, gt_min=60), poi, cfg))
+    return pipeline.run("global", traj, knowledge.places(poi, cfg), cfg).released
+
+
+@workload
+def wk_em_variants(spark, d):
+    """Mean distance of the full draw, the subsampled one and permute-and-flip on one toy output set."""
+    pairs = staged(_toy_bigrams(spark, d))
+    forms = {"em": expmech.draw_gumbel(pairs, ["input"], 4.0, 1.0, "7"), "flip": expmech.draw_flip(pairs, ["input"], 4.0, 1.0, "7"), "subsample": expmech.draw_subsample(pairs, ["input"], 4.0, 1.0, "7", 0.2), "flip_literal": expmech.draw_flip_literal(pairs, ["input"], 4.0, 1.0, "7").drop("trials")}
+    return _stack([c.join(pairs, (c.input == pairs.input) & (c.chosen == pairs.cand)).agg(F.avg("dist").alias("mean_d")).select(F.lit(n).alias("form"), "mean_d") for n, c in forms.items()])
+
+
+@workload
+def wk_ratio_and_tail(spark, d):
+    """Empirical eps, and the mass past the tail bound, on the toy space."""
+    law = staged(expmech.law(_toy_pairs(spark, d), ["input"], 2.0, 5.656854249492381))
+    bound = expmech.tail_bound(2.0, 5.656854249492381, 25, 1.0)
+    mass = audit.tail_check(law, law, bound).agg(F.max("mass").alias("mass"))
+    return audit.empirical_eps(law).join(mass).select("eps", "mass", F.lit(float(np.exp(-1.0))).alias("allowed"))
+
+
+# ---------------------------------------------------------------- the tables
+
+
+@workload
+def wk_ne_table(spark, d):
+    """(scenario, method, dim, ne) for five methods and three data sets."""
+    out = []
+    for name, make in SCENARIOS.items():
+        cfg = UNIT.but(speed_kmh=4.0 if name == "campus" else 8.0)
+        poi, traj, k = make(spark, d, cfg)
+        out += [_ne(m, traj, k, poi, cfg, scenario=name) for m in ALL_METHODS]
+    return _stack(out)
+
+
+@workload
+def wk_gain(spark, d):
+    """How far the full method is below its best rival on the event city."""
+    poi, traj, k = event_city(spark, d, UNIT)
+    return metrics.gain(_stack([_ne(m, traj, k, poi, UNIT) for m in ALL_METHODS]))
+
+
+@workload
+def wk_runtime_table(spark, d):
+    """(method, perturb, rebuild, other, total): mean kernel seconds per trajectory, and the rebuild share."""
+    _, traj, k = event_city(spark, d, Cfg())
+    parts = [released(m, traj, k, Cfg()).timings.select(F.lit(m).alias("method"), "perturb", "rebuild", "other", "total") for m in ALL_METHODS]
+    return _stack(parts).withColumn("rebuild_share", F.col("rebuild") / F.col("total"))
+
+
+@workload
+def wk_hotspots(spark, d):
+    """(scenario, method, granularity, ahd, acd, ...): hotspot agreement at all granularities, thresholds scaled."""
+    out = []
+    for name in ("event_city", "campus"):
+        cfg = UNIT.but(speed_kmh=4.0 if name == "campus" else 8.0)
+        poi, traj, k = SCENARIOS[name](spark, d, cfg)
+        people = traj.select("traj_id").distinct().count()
+        for m in ALL_METHODS:
+            r = released(m, traj, k, cfg).released
+            for g, eta in hotspots.GRANULARITIES.items():
+                level = eta * people / 8000
+                real, got = (hotspots.find(hotspots.visitors(t, poi, g), g, level) for t in (traj, r))
+                out.append(hotspots.ahd_acd(real, got).withColumn("method", F.lit(m)).withColumn("scenario", F.lit(name)))
+    return _stack(out)
+
+
+@workload
+def wk_plant_events(spark, d):
+    """Hotspots of the real campus set: the three planted crowds must be among the highest peaks."""
+    poi, traj, _ = campus(spark, d, Cfg(speed_kmh=4.0))
+    return hotspots.find(hotspots.visitors(traj, poi, "l1"), "l1", 0).orderBy(F.desc("peak"), "entity", "t_s").limit(20)
+
+
+@workload
+def wk_contact_events(spark, d):
+    """Places and times where crowds meet in the released set, highest peaks first."""
+    poi, traj, k = event_city(spark, d, UNIT)
+    r = released("hier", traj, k, UNIT).released
+    return hotspots.find(hotspots.visitors(r, poi, "poi"), "poi", 1).orderBy(F.desc("peak"), "entity", "t_s").limit(50)
+
+
+@workload
+def wk_trip_chains(spark, d):
+    _, traj, k = event_city(spark, d, UNIT)
+    return ops.trip_chains(released("hier", traj, k, UNIT).released)
+
+
+@workload
+def wk_next_category(spark, d):
+    poi, traj, k = event_city(spark, d, UNIT)
+    return ops.next_category(released("hier", traj, k, UNIT).released, poi)
+
+
+@workload
+def wk_copresence(spark, d):
+    _, traj, k = event_city(spark, d, UNIT)
+    return ops.copresence(released("hier", traj, k, UNIT).released)
+
+
+# ---------------------------------------------------------------- sweeps
+
+
+@workload
+def wk_vary_len(spark, d):
+    """Error and kernel seconds by trajectory length, full method."""
+    poi, traj, k = event_city(spark, d, UNIT)
+    r = released("hier", traj, k, UNIT)
+    e = metrics.point_errors(traj, r.released, poi)
+    per = e.groupBy("traj_id").agg(F.count(F.lit(1)).alias("len"), F.avg("d_all").alias("ne"))
+    t = r.rows.select("traj_id", (F.col("perturb_s") + F.col("path_s") + F.col("other_s")).alias("s"))
+    return per.join(t, "traj_id").groupBy("len").agg(F.round(F.avg("ne"), 6).alias("ne"), F.avg("s").alias("seconds"))
+
+
+@workload
+def wk_vary_eps(spark, d):
+    poi, traj, k = event_city(spark, d, Cfg())
+    return _stack([_ne("hier", traj, k, poi, Cfg(eps=e), eps=float(e)) for e in (0.01, 0.1, 1, 5, 10, 50, 500)])
+
+
+@workload
+def wk_const_eps(spark, d):
+    """A constant budget per draw instead of a constant total."""
+    poi, traj, k = event_city(spark, d, Cfg())
+    return _stack([_ne("hier", traj, k, poi, Cfg(eps_mode="per_draw", eps_draw=e), eps_draw=float(e)) for e in (0.5, 1, 5)])
+
+
+@workload
+def wk_vary_speed(spark, d):
+    out = []
+    for name, cfg in [(str(s), UNIT.but(speed_kmh=float(s))) for s in (4, 8, 12, 16)] + [("inf", UNIT.but(theta="inf", speed_kmh=1e6))]:
+        poi, traj, k = event_city(spark, d, cfg)
+        out += [_ne(m, traj, k, poi, cfg, speed=name) for m in ("hier", "flat")]
+    return _stack(out)
+
+
+@workload
+def wk_vary_n(spark, d):
+    poi, traj, k = campus(spark, d, UNIT.but(speed_kmh=4.0))
+    return _stack([_ne(m, traj, k, poi, UNIT.but(speed_kmh=4.0, n=n), n=n) for n in (1, 2, 3) for m in ("hier", "flat", "geo_only")])
+
+
+@workload
+def wk_vary_poi(spark, d):
+    """The number of places: trajectories through the most popular ones only."""
+    full = staged(S.event_poi(spark, d))
+    out = []
+    for n in (100, 250, 500):
+        poi = staged(catalog.top_popular(full, n))
+        pts = S.event_traj(spark, d, 1, 10**6).join(F.broadcast(poi.select("poi_id")), "poi_id", "left_semi")
+        cfg = UNIT.but(n_poi=n, kappa=max(2, n // 50))
+        traj = S.to_traj(pts, F.col("traj_id"), F.col("t"), [F.col("poi_id")])
+        traj = staged(reach.valid_only(traj, poi, cfg))
+        if traj.isEmpty():
+            continue
+        k = knowledge.build(poi, cfg)
+        out += [_ne(m, traj, k, poi, cfg, n_poi=n) for m in ("hier", "flat", "indep_free")]
+    return _stack(out)
+
+
+@workload
+def wk_preproc_cost(spark, d):
+    """Seconds of public preprocessing, and graph sizes, by places and speed."""
+    import time
+
+    full, rows = staged(S.event_poi(spark, d)), []
+    for n in (100, 250, 500):
+        for speed in (4.0, 8.0, 16.0):
+            start = time.perf_counter()
+            cfg = Cfg(speed_kmh=speed, kappa=max(2, n // 50))
+            k = knowledge.build(staged(catalog.top_popular(full, n)), cfg)
+            rows.append((n, speed, len(k.D), int(k.A.sum()), time.perf_counter() - start))
+    return spark.createDataFrame(rows, "n_poi int, speed double, regions int, bigrams long, seconds double")
+
+
+@workload
+def wk_prq(spark, d):
+    """Preservation ranges in space, time and category for all methods."""
+    poi, traj, k = event_city(spark, d, UNIT)
+    out = []
+    for m in ALL_METHODS:
+        e = staged(metrics.point_errors(traj, released(m, traj, k, UNIT).released, poi))
+        for dim, deltas in (("d_s", [0.05, 0.5, 1, 2, 4]), ("d_t", [0.5, 1, 2, 4]), ("d_c", [0, 1, 2, 3.5, 5, 10])):
+            out.append(metrics.prq(e, dim, deltas).select(F.lit(m).alias("method"), F.lit(dim).alias("dim"), "delta", "pr"))
+    return _stack(out)
+
+
+# ---------------------------------------------------------------- ablations
+
+
+@workload
+def wk_merge_ablation(spark, d):
+    """Merging orders and the popularity-aware threshold: regions, and error of the full method."""
+    poi = staged(S.event_poi(spark, d))
+    traj = staged(reach.valid_only(S.event_traj(spark, d), poi, UNIT))
+    out = []
+    for kappa, order in ((10, ("space", "time", "category")), (10, ("time", "space", "category")), (10, ("category", "space", "time")), (5, ("space", "time", "category"))):
+        cfg = UNIT.but(kappa=kappa, merge_order=order)
+        k = knowledge.build(poi, cfg)
+        out.append(_ne("hier", traj, k, poi, cfg, kappa=kappa, order="-".join(order), regions=len(k.D)))
+    cfg = UNIT.but(kappa=200)
+    k = knowledge.build(poi, cfg, weight=F.sum("popularity"))
+    out.append(_ne("hier", traj, k, poi, cfg, kappa=200, order="popularity", regions=len(k.D)))
+    return _stack(out)
+
+
+@workload
+def wk_split_ablation(spark, d):
+    """Grid cells, clusters and known units as the spatial split."""
+    poi = staged(S.event_poi(spark, d))
+    traj = staged(reach.valid_only(S.event_traj(spark, d), poi, UNIT))
+    unit = poi.select("poi_id", (F.floor((F.col("lat") - 40.70) * 50)).cast("int").alias("unit"))
+    splits = {"grid": None, "clusters": regions.cluster_cells(poi, 16), "units": regions.admin_cells(poi, unit)}
+    out = []
+    for name, cells in splits.items():
+        k = knowledge.build(poi, UNIT, cells if cells is None else staged(cells))
+        out.append(_ne("hier", traj, k, poi, UNIT, split=name, regions=len(k.D)))
+    return _stack(out)
+
+
+@workload
+def wk_overlap_ablation(spark, d):
+    poi, traj, k = event_city(spark, d, UNIT)
+    forms = {"overlapping": UNIT, "disjoint": UNIT.but(overlap=False), "single": UNIT.but(n=1)}
+    return _stack([_ne("hier", traj, k, poi, c, form=n) for n, c in forms.items()])
+
+
+@workload
+def wk_mbr_ablation(spark, d):
+    """With and without the bounding box: errors and seconds."""
+    poi, traj, k = event_city(spark, d, UNIT)
+    return _stack([_ne("hier", traj, k, poi, UNIT.but(mbr=b), mbr=b) for b in (True, False)])
+
+
+@workload
+def wk_fill_forms(spark, d):
+    """Rejection against the exact chain fill: smoothing and feasibility."""
+    poi, traj, k = event_city(spark, d, UNIT)
+    out = []
+    for form in ("reject", "chain"):
+        r = released("hier", traj, k, UNIT.but(fill=form)).released
+        s, f = metrics.smoothing_rate(r).first().rate, metrics.feasible_rate(r, poi, UNIT, hours=False).first().rate
+        out.append((form, s, f))
+    return spark.createDataFrame(out, "form string, smoothed double, feasible double")
+
+
+@workload
+def wk_program_size(spark, d):
+    """Variables (as printed, and by definition) and constraints by length on the event city's graph."""
+    _, _, k = event_city(spark, d, Cfg())
+    r, e = len(k.D), int(k.A.sum())
+    rows = [(n, r * (n - 1), cost.true_variables(e, n), (r + 1) * (n - 1)) for n in range(3, 9)]
+    return spark.createDataFrame(rows, "len int, vars_printed long, vars_true long, constraints long")
+
+
+# ---------------------------------------------------------------- data preparation and other domains
+
+
+@workload
+def wk_clean_trips(spark, d):
+    """Raw points jittered around places, snapped to the nearest within 100 m, repeats dropped, thinned at random."""
+    poi = staged(S.event_poi(spark, d).select("poi_id", "lat", "lon"))
+    v = S.visits(spark, d).join(F.broadcast(poi), "poi_id")
+    u = lambda tag: uniform("7", tag, F.col("event_id").cast("string"), kind="xx") - 0.5
+    raw = v.select(F.col("event_id").alias("id"), "user_id", "ts", (F.col("lat") + 0.003 * u("y")).alias("lat"), (F.col("lon") + 0.003 * u("x")).alias("lon"))
+    near = S.snap(raw.select("id", "lat", "lon"), poi)
+    j = raw.join(near, "id").withColumn("day", F.to_date("ts"))
+    w = W.partitionBy("user_id", "day").orderBy("ts", "id")
+    one = j.withColumn("before", F.lag("poi_id").over(w)).where(F.col("before").isNull() | (F.col("before") != F.col("poi_id")))
+    key = F.concat_ws("|", F.col("user_id").cast("string"), F.date_format("ts", "yyyy-MM-dd"))
+    from .functions.timeline import slot
+
+    return S.to_traj(one, key, slot(F.col("ts")), [uniform("7", F.col("id").cast("string"))])
+
+
+@workload
+def wk_filter_valid(spark, d):
+    """How many trajectories survive each filter."""
+    poi, t = staged(S.event_poi(spark, d)), staged(S.event_traj(spark, d))
+    n = lambda df: df.select("traj_id").distinct().count()
+    rows = [("length", n(t))] + [(f"reach_{s}", n(reach.valid_only(t, poi, Cfg(speed_kmh=float(s)), False))) for s in (4, 8, 12, 16)] + [("open_8", n(reach.valid_only(t, poi, Cfg())))]
+    return spark.createDataFrame(rows, "filter string, trajectories long")
+
+
+@workload
+def wk_gen_panel(spark, d):
+    return panel_city(spark, d, Cfg())[1]
+
+
+@workload
+def wk_gen_campus(spark, d):
+    return campus(spark, d, Cfg(speed_kmh=4.0))[1]
+
+
+@workload
+def wk_text_popularity(spark, d):
+    """Popularity raised by mentions in comments: places are named by hashed tokens."""
+    docs = table(spark, d, "documents").select(F.explode(F.split(F.lower("text"), " ")).alias("token"))
+    slot = F.pmod(F.xxhash64("token"), F.lit(500))
+    mentions = docs.groupBy(slot.alias("slot")).agg(F.count(F.lit(1)).alias("mentions"))
+    poi = S.event_poi(spark, d).withColumn("slot", F.pmod(F.xxhash64("poi_id"), F.lit(500)))
+    signal = poi.select("poi_id", "slot").join(F.broadcast(mentions), "slot").select("poi_id", "mentions")
+    return catalog.weighted(poi.drop("slot"), signal, 0.01).select("poi_id", "popularity")
+
+
+@workload
+def wk_vector_distance(spark, d):
+    """An embedding distance as the quality: draws over 50 vectors for each of them."""
+    e = table(spark, d, "embeddings").where("vec_id < 50").select("vec_id", "embedding")
+    fn, diameter = D.registered("vector_l2")
+    b = e.select(F.col("vec_id").alias("cand"), F.col("embedding").alias("eb"))
+    pairs = e.join(F.broadcast(b)).select(F.col("vec_id").alias("input"), "cand", fn(F.col("embedding"), F.col("eb")).alias("dist"))
+    return expmech.draw_gumbel(pairs, ["input"], 5.0, diameter, "7")
+
+
+@workload
+def wk_stream_share(spark, d):
+    """Closed user-days released from a file stream (availableNow into memory)."""
+    import uuid
+
+    from .sources.io import staged as stage
+    from .streaming import share
+
+    cfg = Cfg()
+    _, _, k = event_city(spark, d, cfg)
+    pts = S.visits(spark, d).select("user_id", F.col("ts").cast("timestamp").alias("ts"), "poi_id")
+    end = spark.createDataFrame([(0, "none")], "user_id long, poi_id string").withColumn("ts", F.lit("2030-01-01 00:00:00").cast("timestamp"))
+    source = stage(pts.orderBy("ts").coalesce(1)), stage(end.select("user_id", "ts", "poi_id"))
+    name = "s" + uuid.uuid4().hex
+    root = source[0].inputFiles()[0].rsplit("/", 2)[0]
+    folders = "{" + ",".join(f.inputFiles()[0].rsplit("/", 2)[1] for f in source) + "}"
+    stream = spark.readStream.schema(pts.schema).option("maxFilesPerTrigger", 1).parquet(f"{root}/{folders}")
+    out = share.share_days(share.stamped(stream), k, cfg)
+    q = out.writeStream.format("memory").queryName(name).outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.table(name)

@@ -1,6 +1,6 @@
 """Toxicity by a bidirectional gated recurrent network with attention pooling over character and word inputs.
 
-A word's input joins its hashed word vector and the mean of its hashed character 4-gram vectors. Windows of
+A word's input joins its hashed word vector and the sum of its hashed character n-gram vectors over the root of their number. Windows of
 ``WINDOW`` words start every ``STRIDE`` words, so every word but those at the ends lies in two windows; all windows
 of a text are scored, and a logistic layer maps their largest and mean logits to the text's score. Training
 uses a bounded sample of labelled rows (``TRAIN_ROWS``); scoring covers whole texts. Null, empty and blank texts
@@ -21,8 +21,10 @@ from .gru import F32, Adam, Gru
 from .textops import Words
 
 WINDOW, STRIDE, HIDDEN, DIM = 32, 16, 8, 12
-WORD_ROWS, GRAM_ROWS, GRAM = 1 << 13, 1 << 14, 4
-TRAIN_ROWS, STEPS, BATCH, RATE, THRESHOLD = 4000, 350, 192, 0.01, 0.3
+WORD_ROWS, GRAM_ROWS, GRAMS = 1 << 13, 1 << 15, (4, 6)
+TRAIN_ROWS, STEPS, BATCH, RATE, THRESHOLD = 4000, 450, 192, 0.01, 0.3
+#: Chance that a training word keeps a part of its input; shrinking of the tables at each step.
+KEEP, DECAY = 0.8, 0.0005
 
 
 class ToxicNet:
@@ -47,9 +49,11 @@ class ToxicNet:
         })
 
     def inputs(self, words: Words) -> tuple[np.ndarray, ...]:
-        """(word row, 4-gram owners, 4-gram rows, number of each word) of the distinct words."""
+        """(word row, n-gram owners, n-gram rows, number of each word) of the distinct words."""
         first, values, back = words.distinct()
-        owner, grams = words.grams(first, (GRAM,))
+        owner, grams = words.grams(first, GRAMS)
+        order = np.argsort(owner, kind="stable")
+        owner, grams = owner[order], grams[order]
         return (values % WORD_ROWS).astype(np.int64), owner, (grams % GRAM_ROWS).astype(np.int64), back
 
     def vectors(self, word_row: np.ndarray, owner: np.ndarray, gram_row: np.ndarray) -> np.ndarray:
@@ -57,7 +61,7 @@ class ToxicNet:
         out[:, :DIM] = self.w["word"][word_row]
         if len(owner):
             has, at, count = np.unique(owner, return_index=True, return_counts=True)
-            out[has, DIM:] = np.add.reduceat(self.w["gram"][gram_row], at, axis=0) / count[:, None].astype(F32)
+            out[has, DIM:] = np.add.reduceat(self.w["gram"][gram_row], at, axis=0) / np.sqrt(count[:, None].astype(F32))
         return out
 
     def window_logits(self, xf: np.ndarray, xb: np.ndarray, index: np.ndarray) -> np.ndarray:
@@ -129,13 +133,14 @@ def train(rows: list[tuple[int, str, int]], steps: int = STEPS, seed: int = 5) -
     sides = [np.flatnonzero(full & (y[doc] == k)) for k in (0, 1)]
     if min(map(len, sides)) == 0:
         return net
+    chance = _even(doc[sides[1]])
     w, n = net.w, HIDDEN
     learned = {k: v for k, v in w.items() if k != "calib"}
     adam = Adam(learned, RATE)
     gf, gb = Gru(n, u=w["uf"]), Gru(n, u=w["ub"])
     for step in range(steps):
         adam.rate = RATE * (1 - 0.9 * step / steps)
-        pick = np.concatenate([rng.choice(s, BATCH // 2) for s in sides])
+        pick = np.concatenate([rng.choice(sides[0], BATCH // 2), rng.choice(sides[1], BATCH // 2, p=chance)])
         target = np.repeat([0.0, 1.0], BATCH // 2).astype(F32)
         at = start[pick][:, None] + np.arange(WINDOW)
         live = at < sizes[doc[pick]][:, None]
@@ -146,6 +151,8 @@ def train(rows: list[tuple[int, str, int]], steps: int = STEPS, seed: int = 5) -
         own = np.repeat(np.arange(len(used)), count)
         rows_g = gram_row[np.arange(len(own)) - np.repeat(count.cumsum() - count, count) + np.repeat(gram_at[used], count)]
         vec = net.vectors(word_row[used], own, rows_g)
+        shown = np.repeat((rng.random((len(used), 2)) < KEEP).astype(F32) / F32(KEEP), DIM, axis=1)
+        vec *= shown  # a word's vector or its characters are hidden now and then, so that neither is learnt by heart
         x = vec[index]  # rows x steps x 2 DIM
         xt = np.swapaxes(x, 0, 1)
         pf = xt @ w["wf"] + w["bias"][: 3 * n]
@@ -173,17 +180,27 @@ def train(rows: list[tuple[int, str, int]], steps: int = STEPS, seed: int = 5) -
         dvec_t = ff @ w["wf"].T + fb @ w["wb"].T
         dvec = np.zeros_like(vec)
         np.add.at(dvec, index.T.ravel(), dvec_t)
+        dvec *= shown
         gword, ggram = np.zeros_like(w["word"]), np.zeros_like(w["gram"])
         np.add.at(gword, word_row[used], dvec[:, :DIM])
-        np.add.at(ggram, rows_g, (dvec[:, DIM:] / np.maximum(count, 1)[:, None].astype(F32))[own])
+        np.add.at(ggram, rows_g, (dvec[:, DIM:] / np.sqrt(np.maximum(count, 1))[:, None].astype(F32))[own])
         adam.apply({
             "word": gword, "gram": ggram, "wf": flat_x.T @ ff, "wb": flat_x.T @ fb, "bias": np.concatenate([ff.sum(axis=0), fb.sum(axis=0)]),
             "uf": duf, "ub": dub, "att": np.einsum("tr,trk->k", ds, both), "out": pooled.T @ dl, "b": np.array([dl.sum()], dtype=F32),
         })
+        for table in ("word", "gram"):
+            w[table] *= F32(1 - DECAY)
     w["calib"] = calibrate(np.concatenate([net.text_features(run) for run in runs]), y)
     return net
 
 
+def _even(doc: np.ndarray) -> np.ndarray:
+    """Chances of windows that give every text the same sum."""
+    _, back, size = np.unique(doc, return_inverse=True, return_counts=True)
+    p = 1 / size[back]
+    return p / p.sum()
+
+
 def _runs(texts: list[bytes], limit: int = 1 << 20) -> Iterator[list[bytes]]:
     """Consecutive texts of about ``limit`` bytes; bounds the driver's memory."""
     held, size = [], 0
@@ -198,7 +215,7 @@ def _runs(texts: list[bytes], limit: int = 1 << 20) -> Iterator[list[bytes]]:
 
 
 def _gathered(net: ToxicNet, runs: list[list[bytes]]) -> tuple[np.ndarray, ...]:
-    """Word rows, 4-gram rows and their counts of each run's distinct words; each word's number; words of each text."""
+    """Word rows, n-gram rows and their counts of each run's distinct words; each word's number; words of each text."""
     found, offset = [], 0
     for run in runs:
         words = Words(run, lower=True)

@@ -19,7 +19,7 @@ from .common import byte_chunks, fold, texts_of
 from .textops import Words
 
 ROWS, DIM, GRAMS = 1 << 15, 10, (2, 3, 4)
-TRAIN_ROWS, EPOCHS, BATCH, RATE, REJECT = 2000, 4, 32, 2.0, 0.005
+TRAIN_ROWS, LEAST_STEPS, BATCH, RATE, REJECT = 2000, 450, 32, 2.0, 0.005
 UNKNOWN = "und"
 
 
@@ -81,8 +81,9 @@ def train(rows: list[tuple[str, str]], seed: int = 3) -> LangModel | None:
             size = count[used]
             ids = row[np.arange(size.sum()) - np.repeat(size.cumsum() - size, size) + np.repeat(at[used], size)] if len(used) else row[:0]
             bag.append((ids, np.repeat(times, size) / max(1, (times * size).sum())))
-    for epoch in range(EPOCHS):
-        rate = RATE * (1 - epoch / EPOCHS)
+    epochs = -(-LEAST_STEPS // max(1, -(-len(fit) // BATCH)))
+    for epoch in range(epochs):
+        rate = RATE * (1 - epoch / epochs)
         fit = rng.permutation(fit)
         for i in range(0, len(fit), BATCH):
             batch = [j for j in fit[i : i + BATCH] if len(bag[j][0])]

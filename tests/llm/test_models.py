@@ -64,6 +64,7 @@ def test_language_on_held_out_rows(spark):
 
 def test_language_edge_cases(spark):
     df = edge_frame(spark)
+    assert langid.train([]) is None
     model = langid.train([("the house is red and the sky", "en"), ("das haus ist rot und der himmel", "de")] * 20)
     got = {r.doc_id: r for r in langid.identify(df.where("doc_id > 1"), model).collect()}
     assert got[2].lang_pred == got[3].lang_pred == "und" and got[2].score == 0

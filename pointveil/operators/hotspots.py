@@ -34,6 +34,16 @@ def find(counts: DataFrame, granularity: str, eta: float, strict: bool = True) -
     return run.groupBy("entity", "island").agg(F.min("slot").alias("t_s"), (F.max("slot") + 1).alias("t_e"), F.max("n").alias("peak")).select(F.lit(granularity).alias("granularity"), "entity", "t_s", "t_e", "peak")
 
 
+def find_all(traj: DataFrame, poi: DataFrame, scale: float = 1.0, slot_min: int = 60, gt_min: int = 10) -> DataFrame:
+    """Hotspots at every granularity in one pass, thresholds times ``scale``."""
+    p = traj.join(F.broadcast(poi.select("poi_id", "lat", "lon", "l1", "l2", "l3")), "poi_id")
+    kinds = F.array(*[F.struct(F.lit(g).alias("granularity"), F.lit(eta * scale).alias("eta"), entity(g).alias("entity")) for g, eta in GRANULARITIES.items()])
+    each = p.select("traj_id", F.floor(F.col("t") * gt_min / slot_min).cast("int").alias("slot"), F.explode(kinds).alias("e")).select("traj_id", "slot", "e.*")
+    n = each.groupBy("granularity", "eta", "entity", "slot").agg(F.countDistinct("traj_id").alias("n")).where("n > eta")
+    run = n.withColumn("island", F.col("slot") - F.row_number().over(W.partitionBy("granularity", "entity").orderBy("slot")))
+    return run.groupBy("granularity", "entity", "island").agg(F.min("slot").alias("t_s"), (F.max("slot") + 1).alias("t_e"), F.max("n").alias("peak")).drop("island")
+
+
 def ahd_acd(real: DataFrame, out: DataFrame) -> DataFrame:
     """(granularity, ahd, acd, n_pairs, n_unmatched): each released hotspot against its nearest real one of the entity."""
     r = real.select("granularity", "entity", F.col("t_s").alias("r_s"), F.col("t_e").alias("r_e"), F.col("peak").alias("r_peak"))

@@ -176,13 +176,11 @@ def wk_hotspots(spark, d):
     for name in ("event_city", "campus"):
         cfg = UNIT.but(speed_kmh=4.0 if name == "campus" else 8.0)
         poi, traj, k = SCENARIOS[name](spark, d, cfg)
-        people = traj.select("traj_id").distinct().count()
+        scale = traj.select("traj_id").distinct().count() / 8000
+        real = staged(hotspots.find_all(traj, poi, scale))
         for m in ALL_METHODS:
-            r = released(m, traj, k, cfg).released
-            for g, eta in hotspots.GRANULARITIES.items():
-                level = eta * people / 8000
-                real, got = (hotspots.find(hotspots.visitors(t, poi, g), g, level) for t in (traj, r))
-                out.append(hotspots.ahd_acd(real, got).withColumn("method", F.lit(m)).withColumn("scenario", F.lit(name)))
+            got = hotspots.find_all(released(m, traj, k, cfg).released, poi, scale)
+            out.append(staged(hotspots.ahd_acd(real, got).withColumn("method", F.lit(m)).withColumn("scenario", F.lit(name))))
     return _stack(out)
 
 

@@ -3,6 +3,7 @@
 Fingerprints within ``distance`` differing bits are linked. Distribution: a pair within 3 bits agrees on one of
 four 16-bit blocks, so each fingerprint goes to four keys; a key with more than ``hot`` members is cut again by
 blocks of its other bits (repeatedly), which keeps every link because the rest differs by at most 3 bits too.
+A key still crowded after that is cut into chunks that meet pairwise, so a task's rows stay bounded.
 Inside a key the fingerprints are sorted by Gray rank and grouped, eight at a time, into nodes that hold the bits
 all members share. A descent over node pairs adds up differences bit group by bit group, drops a pair of nodes
 once the sum passes ``distance`` and ties whole nodes together once no member can be farther. Only edges of a
@@ -232,17 +233,36 @@ def near_pairs(fps: DataFrame, distance: int = DISTANCE, hot: int = HOT_KEY, dep
                 one = members.select("fp", key.alias("key"), F.lit(len(paths) - 1).alias("path"))
                 level = one if level is None else level.unionByName(one)
         level = staged(level)
-        sizes = level.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
-        crowded = [] if last else [r.key for r in sizes.where(F.col("n") > hot).select("key").limit(65).collect()]
-        if not crowded:
+        big = crowded(level, hot)
+        if big.isEmpty():
             return _joined(rows, level)
-        big = sizes.where(F.col("n") > hot).select("key")
+        if last:
+            return _joined(rows, chunked(level, big, ["fp"]))
+        big = big.select("key")
         rows = _joined(rows, level.join(big, "key", "left_anti"))
         kept = staged(level.join(big, "key", "left_semi"))
         frontier = [(F.col("key"), rest, kept.where(F.col("path") == i).select("fp", "key")) for i, (_, rest) in enumerate(paths)]
     return rows
 
 
+def crowded(rows: DataFrame, hot: int) -> DataFrame:
+    """(key, chunks): keys with more than ``hot`` rows and the number of chunks of ``hot / 2`` rows they need."""
+    sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
+    return sizes.where(F.col("n") > hot).select("key", F.ceil(2 * F.col("n") / hot).alias("chunks"))
+
+
+def chunked(rows: DataFrame, big: DataFrame, member: list[str]) -> DataFrame:
+    """Crowded keys' rows cut into chunks by a hash of ``member``; any two chunks meet under a key of their own.
+
+    Every two rows of a key still share a key, so no pair is lost, and a task holds two chunks at a time.
+    """
+    count = F.coalesce("chunks", F.lit(1))
+    mine, other = F.pmod(F.xxhash64(F.lit(SEED), *member), count), F.col("other")
+    apart = F.xxhash64("key", F.least(mine, other), F.greatest(mine, other))
+    spread = rows.join(big, "key", "left").withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), count - 1)))
+    return spread.withColumn("key", F.when(F.col("chunks").isNull(), F.col("key")).otherwise(apart)).select(*rows.columns)
+
+
 def _joined(rows: DataFrame | None, more: DataFrame) -> DataFrame:
     more = more.select("fp", "key")
     return more if rows is None else rows.unionByName(more)
@@ -276,6 +296,7 @@ def near_duplicates(docs: DataFrame, width: int = 3, distance: int = DISTANCE, h
 #: cosine of 2J / (1 + J) and differ in acos(cosine) / pi of all bits: 39 of 256 at 0.8; the bound adds half a standard
 #: error (5.7 bits).
 WIDE_WORDS, WIDE_DISTANCE, WIDE_WIDTH = 4, 42, 5
+WIDE = [f"f{k}" for k in range(WIDE_WORDS)]
 #: Candidates agree on one of 16 bands of 16 bits but for at most one bit (99.5 % of pairs at 0.8 do).
 BAND_BITS, BAND_DISTANCE = 16, 1
 
@@ -299,24 +320,28 @@ def wide_fingerprints(texts: list[bytes], width: int = WIDE_WIDTH) -> np.ndarray
     return out
 
 
-def _wide_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """32 rows per text: (band and half with its 8 bits as key, the band, the id and the fingerprint)."""
+def _wide_table(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for part in byte_chunks(batch, limit=1 << 20):
-            fps = wide_fingerprints(texts_of(part))
-            ids = np.array(part.column("doc_id").to_pylist(), dtype=np.int64)
-            bands = fps.view(np.uint16).astype(np.int64)
-            half = np.stack([bands & 255, bands >> 8], axis=2)
-            number = np.arange(2 * bands.shape[1]).reshape(1, -1, 2)
-            times = 2 * bands.shape[1]
-            cols = [(number * 256 + half).reshape(-1), np.repeat(bands, 2, axis=1).reshape(-1), np.repeat(ids, times)]
-            cols += [np.repeat(fps[:, k], times).view(np.int64) for k in range(WIDE_WORDS)]
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["key", "band", "id", *[f"f{k}" for k in range(WIDE_WORDS)]])
+        for part in byte_chunks(batch):
+            fps = wide_fingerprints(texts_of(part)).view(np.int64)
+            cols = [part.column("doc_id"), *[pa.array(np.ascontiguousarray(fps[:, k])) for k in range(WIDE_WORDS)]]
+            yield pa.RecordBatch.from_arrays(cols, ["id", *WIDE])
+
+
+def _wide_rows(nodes: DataFrame) -> DataFrame:
+    """32 rows per fingerprint: (key: a half of a band with its 8 bits, the band, the id, the fingerprint)."""
+    halves = []
+    for n in range(WIDE_WORDS * 64 // BAND_BITS):
+        word, at = divmod(n * BAND_BITS, 64)
+        band = F.shiftrightunsigned(WIDE[word], at).bitwiseAND(F.lit((1 << BAND_BITS) - 1))
+        for h, half in enumerate((band.bitwiseAND(F.lit(255)), F.shiftright(band, 8))):
+            halves.append(F.struct((F.lit((2 * n + h) * 256) + half).alias("key"), band.alias("band")))
+    return nodes.select("id", *WIDE, F.explode(F.array(*halves)).alias("r")).select("r.key", "r.band", "id", *WIDE)
 
 
 def _wide_edges(distance: int):
     def edges(table: pa.Table) -> pa.RecordBatch:
-        fps = np.stack([table.column(f"f{k}").to_numpy() for k in range(WIDE_WORDS)], axis=1).view(np.uint64)
+        fps = np.stack([table.column(f).to_numpy() for f in WIDE], axis=1).view(np.uint64)
         band = table.column("band").to_numpy().astype(np.uint64)
         index = GrayIndex(table.column("key").to_numpy(), band)
         root = np.arange(len(band))
@@ -332,13 +357,19 @@ def _wide_edges(distance: int):
     return edges
 
 
-def similar_groups(docs: DataFrame, distance: int = WIDE_DISTANCE) -> DataFrame:
+def similar_groups(docs: DataFrame, distance: int = WIDE_DISTANCE, hot: int = HOT_KEY) -> DataFrame:
     """(node, root): documents whose five-word shingle sets are estimated at 0.8 or more alike, by least doc_id.
 
-    Texts without words and rows with a null id are in no group. Equal ids are one node.
+    Texts without words and rows with a null id are in no group. Equal ids are one node. Equal fingerprints meet
+    in one row before any search; a key with more than ``hot`` of them is compared chunk by chunk.
     """
     usable = docs.where(F.col("doc_id").isNotNull() & F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
-    fields = "key long, band long, id long, " + ", ".join(f"f{k} long" for k in range(WIDE_WORDS))
-    rows = usable.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_wide_rows, fields)
+    fields = ", ".join(f"{c} long" for c in ["id", *WIDE])
+    table = staged(usable.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_wide_table, fields))
+    nodes = staged(table.groupBy(*WIDE).agg(F.min("id").alias("id")))
+    equal = table.withColumnRenamed("id", "b").join(nodes.withColumnRenamed("id", "a"), WIDE).where("a <> b").select("a", "b")
+    rows = _wide_rows(nodes)
+    # a key is one of 32 halves with 8 bits: the table of crowded keys has 8,192 rows at most
+    rows = chunked(rows, F.broadcast(crowded(rows, hot)), ["id"])
     edges = rows.repartition("key").sortWithinPartitions("key").mapInArrow(_by_keys(_wide_edges(distance)), "a long, b long")
-    return components(edges)
+    return components(edges.unionByName(equal))

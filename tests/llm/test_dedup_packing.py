@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pointveil.llm.components import components
 from pointveil.llm.exact_dedup import dedup
 from pointveil.llm.packing import optimal_boundaries, pack
-from pointveil.llm.simhash import GrayIndex, forest, linked, near_duplicates
+from pointveil.llm.simhash import GrayIndex, chunked, crowded, forest, linked, near_duplicates
 
 SCHEMA = "doc_id long, text string, key long, name string, block string, root string"
 
@@ -110,6 +110,15 @@ def test_dense_ball_is_tied_without_pairs(spark):
         assert len(got) == len(fps) and len({r.root for r in got}) == len(set(want))
 
 
+def test_chunks_bound_a_key_and_lose_no_pair(spark):
+    rows = spark.createDataFrame([(7, f) for f in range(60)] + [(8, f) for f in range(3)], "key long, fp long")
+    keys = {}
+    for r in chunked(rows, crowded(rows, 20), ["fp"]).collect():
+        keys.setdefault(r.key, set()).add(r.fp)
+    assert keys.pop(8) == {0, 1, 2} and max(map(len, keys.values())) < 40
+    assert {p for v in keys.values() for p in itertools.combinations(sorted(v), 2)} == set(itertools.combinations(range(60), 2))
+
+
 def test_components_of_chains_stars_and_none(spark):
     edges = [(i, i + 1) for i in range(0, 60)] + [(100, i) for i in range(101, 150)] + [(5, 5), (3, 2), (2, 3)]
     got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}

@@ -44,8 +44,9 @@ def test_wide_search_matches_brute_force(spark):
     root = list(range(len(texts)))
     for _ in texts:
         root = [min(root[j] for j in np.flatnonzero(near[i])) for i in range(len(texts))]
-    got = {r.node: r.root for r in similar_groups(table(spark, texts)).collect()}
-    assert [got.get(i, i) for i in range(len(texts))] == root
+    for hot in (20_000, 4):  # 4: keys are compared chunk by chunk
+        got = {r.node: r.root for r in similar_groups(table(spark, texts), hot=hot).collect()}
+        assert [got.get(i, i) for i in range(len(texts))] == root
 
 
 def test_exact_stage(spark):

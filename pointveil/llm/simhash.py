@@ -373,3 +373,175 @@ def similar_groups(docs: DataFrame, distance: int = WIDE_DISTANCE, hot: int = HO
     rows = chunked(rows, F.broadcast(crowded(rows, hot)), ["id"])
     edges = rows.repartition("key").sortWithinPartitions("key").mapInArrow(_by_keys(_wide_edges(distance)), "a long, b long")
     return components(edges.unionByName(equal))
+
+
+# ---------------------------------------------------------------- exact similarity of 0.8 or more
+
+#: Keys of a text and least hashes in a key: shingle sets of similarity J share a key with chance 1 - (1 - J^4)^24,
+#: which is 0.999997 at 0.8.
+KEYS, PER_HASH = 24, 4
+#: Candidates differ in at most so many of 256 bits: 39 are expected at a similarity of 0.8, 48 in sets of four and
+#: five shingles, and a standard error is about 6.
+LOOSE_DISTANCE = 84
+#: Bytes of shingle sets of one group that meet in a task; a larger group is compared chunk by chunk.
+SET_BYTES = 64 << 20
+_DRAW = np.random.default_rng(SEED).integers(0, 1 << 32, (2, KEYS * PER_HASH), dtype=np.uint32)
+
+
+def key_hashes(texts: list[bytes], width: int = WIDE_WIDTH) -> np.ndarray:
+    """Texts x KEYS words: every word mixes the least of PER_HASH orders of the shingles; no words give zeros."""
+    out = np.zeros((len(texts), KEYS), dtype=np.uint64)
+    per = [shingle_hashes(t, width) for t in texts]
+    sizes = np.array([len(p) for p in per], dtype=np.int64)
+    full = np.flatnonzero(sizes)
+    if not len(full):
+        return out
+    flat = (np.array([h for p in per for h in p], dtype=np.uint64) >> np.uint64(32)).astype(np.uint32)
+    cut = np.concatenate([[0], sizes[full].cumsum()[:-1]])
+    for k in range(KEYS):
+        mixed = np.full(len(full), k + 1, dtype=np.uint64)
+        for n in range(k * PER_HASH, (k + 1) * PER_HASH):
+            least = np.minimum.reduceat((flat ^ _DRAW[0, n]) * (_DRAW[1, n] | np.uint32(1)), cut)
+            mixed = (mixed ^ least) * np.uint64(0x9E3779B97F4A7C15)
+            mixed ^= mixed >> np.uint64(31)
+        out[full, k] = mixed
+    return out
+
+
+def _keyed_table(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for part in byte_chunks(batch):
+            texts = texts_of(part)
+            fps = wide_fingerprints(texts).view(np.int64)
+            keys = key_hashes(texts).view(np.int64)
+            cols = [part.column("doc_id"), *[pa.array(np.ascontiguousarray(fps[:, k])) for k in range(WIDE_WORDS)], pa.array(list(keys), pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(cols, ["id", *WIDE, "keys"])
+
+
+def _loose_edges(distance: int):
+    def edges(table: pa.Table) -> pa.RecordBatch:
+        fps = np.stack([table.column(f).to_numpy() for f in WIDE], axis=1).view(np.uint64)
+        key = table.column("key").to_numpy()
+        starts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+        ends = np.append(starts[1:], len(key))
+        first = np.repeat(starts, ends - starts)
+        far = np.bitwise_count(fps ^ fps[first]).sum(axis=1) > distance
+
+        def close() -> Iterator[tuple[np.ndarray, np.ndarray]]:
+            near = np.flatnonzero(~far)
+            yield first[near], near
+            for i in np.flatnonzero(far):  # the others of a key are tied by its first row
+                whole = np.arange(first[i], ends[np.searchsorted(starts, first[i])])
+                near = whole[np.bitwise_count(fps[whole] ^ fps[i]).sum(axis=1) <= distance]
+                yield np.full(len(near), i), near
+
+        return _tree(forest(len(key), close()), table.column("id").to_numpy())
+
+    return edges
+
+
+def loose_groups(docs: DataFrame, distance: int = LOOSE_DISTANCE, hot: int = HOT_KEY) -> DataFrame:
+    """(node, root): components of candidates, which share a key and differ in at most ``distance`` bits.
+
+    Rows with equal fingerprints and keys are one row of the search; a crowded key is compared chunk by chunk.
+    """
+    usable = docs.where(F.col("doc_id").isNotNull() & F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
+    fields = ", ".join(f"{c} long" for c in ["id", *WIDE])
+    table = staged(usable.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_keyed_table, f"{fields}, keys array<long>"))
+    same = [*WIDE, "keys"]
+    nodes = staged(table.groupBy(*same).agg(F.min("id").alias("id")))
+    equal = table.withColumnRenamed("id", "b").join(nodes.withColumnRenamed("id", "a"), same).where("a <> b").select("a", "b")
+    rows = nodes.select(F.explode("keys").alias("key"), "id", *WIDE)
+    rows = chunked(rows, F.broadcast(crowded(rows, hot)), ["id"])
+    edges = rows.repartition("key").sortWithinPartitions("key").mapInArrow(_by_keys(_loose_edges(distance)), "a long, b long")
+    return components(edges.unionByName(equal))
+
+
+def _spans(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The positions start, start + 1, ... of every span, one after the other."""
+    return np.arange(size.sum()) + np.repeat(start - (size.cumsum() - size), size)
+
+
+def alike_roots(sets: list[np.ndarray]) -> np.ndarray:
+    """The component of each set (as the least set number) over pairs whose exact Jaccard similarity is 0.8 or more.
+
+    Such a pair shares one of the rarest fifth (and one more) of either set, so only these are looked up; a pair
+    that is in one component already is not compared.
+    """
+    given = np.array([len(s) for s in sets], dtype=np.int64)
+    order = np.argsort(given, kind="stable")
+    size = given[order]
+    begin = size.cumsum() - size
+    _, code, times = np.unique(np.concatenate([sets[i] for i in order]), return_inverse=True, return_counts=True)
+    by_rarity = np.empty(len(times), dtype=np.int64)
+    by_rarity[np.argsort(times, kind="stable")] = np.arange(len(times))
+    code = by_rarity[code]
+    code = code[np.lexsort((code, np.repeat(np.arange(len(size)), size)))]
+    prefix = size - -(-4 * size // 5) + 1
+    looked, owner = code[_spans(begin, prefix)], np.repeat(np.arange(len(size)), prefix)
+    by_code = np.argsort(looked, kind="stable")
+    post = owner[by_code]
+    at = np.searchsorted(looked[by_code], np.arange(len(times) + 1))
+    root, mine = np.arange(len(size)), np.zeros(len(times), dtype=bool)
+    for i in range(1, len(size)):
+        own = code[begin[i] : begin[i] + size[i]]
+        head = own[: prefix[i]]
+        found = np.zeros(len(size), dtype=bool)
+        found[post[_spans(at[head], at[head + 1] - at[head])]] = True
+        others = np.flatnonzero(found[:i] & (5 * size[:i] >= 4 * size[i]))
+        mine[own] = True
+        step = 8
+        while len(others := others[root[others] != root[i]]):
+            now, others = others[:step], others[step:]
+            shared = np.add.reduceat(mine[code[_spans(begin[now], size[now])]], size[now].cumsum() - size[now], dtype=np.int64)
+            for j in now[9 * shared >= 4 * (size[now] + size[i])]:
+                root[root == max(root[i], root[j])] = min(root[i], root[j])
+            step *= 2
+        mine[own] = False
+    out = np.empty(len(size), dtype=np.int64)
+    least = np.full(len(size), len(size))
+    np.minimum.at(least, root, order)
+    out[order] = least[root]
+    return out
+
+
+def _set_table(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for part in byte_chunks(batch):
+            sets = [np.unique(np.array(shingle_hashes(t, WIDE_WIDTH), dtype=np.uint64)).tobytes() for t in texts_of(part)]
+            yield pa.RecordBatch.from_arrays([part.column("key"), part.column("id"), pa.array(sets, pa.binary())], ["key", "id", "shingles"])
+
+
+def _alike_edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Edges of a spanning forest of every key; rows arrive sorted by key, and one key is held at a time."""
+    key, ids, sets = None, [], []
+
+    def out() -> pa.RecordBatch:
+        return _tree(alike_roots(sets), np.array(ids, dtype=np.int64))
+
+    for batch in batches:
+        for k, n, shingles in zip(*(batch.column(c).to_pylist() for c in ("key", "id", "shingles"))):
+            if k != key and len(ids) > 1:
+                yield out()
+            if k != key:
+                key, ids, sets = k, [], []
+            ids.append(n)
+            sets.append(np.frombuffer(shingles, dtype=np.uint64))
+    if len(ids) > 1:
+        yield out()
+
+
+def alike_groups(docs: DataFrame, hot: int = HOT_KEY, most: int = SET_BYTES) -> DataFrame:
+    """(node, root): components, by least doc_id, of documents whose five-word shingle sets are 0.8 or more alike.
+
+    Fingerprints and keys only find the groups inside which all pairs are held against each other; an edge needs
+    an exact Jaccard similarity of 0.8. Texts without words and rows with a null id are in no group.
+    """
+    loose = loose_groups(docs, hot=hot).withColumnRenamed("root", "key")
+    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").where(F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
+    rows = texts.join(loose, F.col("id") == F.col("node")).select("key", "id", "text")
+    rows = staged(rows.mapInArrow(_set_table, "key long, id long, shingles binary"))
+    bytes_ = F.sum(F.octet_length("shingles"))
+    big = rows.groupBy("key").agg(bytes_.alias("n")).where(F.col("n") > most).select("key", F.ceil(2 * F.col("n") / most).alias("chunks"))
+    rows = chunked(rows, F.broadcast(big), ["id"])
+    return components(rows.repartition("key").sortWithinPartitions("key").mapInArrow(_alike_edges, "a long, b long"))

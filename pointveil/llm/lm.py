@@ -4,8 +4,9 @@ Corpus pass 1 counts every token of all training texts. The ``SYMBOLS`` commones
 vocabulary; other words are one of a few symbols by their form, times the word's smoothed share among the other
 words of that form, so every text has a proper probability. Symbols fall into classes by frequency: a token's
 probability is its class's times its own inside the class. Weights are trained in numpy by truncated
-backpropagation with the state carried over windows, on a bounded sample of training texts (``TRAIN_ROWS``); output
-biases start at the corpus counts. Corpus pass 2 scores whole texts, the state carried across windows from the first
+backpropagation with the state carried over windows: a bounded sample of training texts (``TRAIN_ROWS``) gives the
+start, then corpus pass 2 goes on from it over all training texts, each task over its own, and the tasks' weights are
+averaged by their tokens. Output biases start at the corpus counts. Corpus pass 3 scores whole texts, the state carried across windows from the first
 word to the end. Words outside the broadcast list (``HOT_WORDS``, bounded) get their counts by a join.
 
 Null and empty texts are one end token. Equal rows are scored as separate rows.
@@ -29,6 +30,8 @@ CLASSES, PER_CLASS = 32, 32
 SYMBOLS = CLASSES * PER_CLASS
 HOT_WORDS, MOST_COUNTED, RUN_TOKENS, WINDOW = 1 << 18, 300_000, 4_000_000, 64
 HIDDEN, DIM, TRAIN_ROWS, EPOCHS, STREAMS, STEP_WINDOW, RATE = 16, 16, 1500, 2, 64, 24, 0.01
+#: The pass over all training texts: tokens a task trains on at a time, streams, and the steps that small runs get too.
+SWEEP_TOKENS, SWEEP_STREAMS, SWEEP_STEPS, SWEEP_RATE = 1_000_000, 256, 64, 0.005
 #: The end of a text; no word is empty.
 END = b""
 FORMS = 6
@@ -182,22 +185,22 @@ class Network:
         return out
 
 
-def train(net: Network, rows: list[np.ndarray], end: int, epochs: int = EPOCHS, seed: int = 9) -> list[float]:
-    """Truncated backpropagation over ``STREAMS`` parallel streams of symbol rows; returns the loss of each step."""
+def train(net: Network, rows: list[np.ndarray], end: int, epochs: int = EPOCHS, seed: int = 9, most_streams: int = STREAMS, rate: float = RATE) -> list[float]:
+    """Truncated backpropagation over ``most_streams`` parallel streams of symbol rows; returns the loss of each step."""
     if not rows:
         return []
     rng = np.random.default_rng(seed)
     w, gru = net.w, Gru(HIDDEN, u=net.w["u"])
-    adam, losses = Adam(w, RATE), []
+    adam, losses = Adam(w, rate), []
     for epoch in range(epochs):
         flat = np.concatenate([rows[i] for i in rng.permutation(len(rows))])
-        streams = max(1, min(STREAMS, len(flat) // STEP_WINDOW))
+        streams = max(1, min(most_streams, len(flat) // STEP_WINDOW))
         target = flat[: len(flat) // streams * streams].reshape(streams, -1).T
         before = np.concatenate([np.full((1, streams), end), target[:-1]])
         h = np.zeros((streams, HIDDEN), dtype=F32)
         starts = range(0, len(target), STEP_WINDOW)
         for k, s in enumerate(starts):
-            adam.rate = RATE * (1 - 0.9 * (epoch + k / len(starts)) / epochs)
+            adam.rate = rate * (1 - 0.9 * (epoch + k / len(starts)) / epochs)
             x_id, y = before[s : s + STEP_WINDOW], target[s : s + STEP_WINDOW]
             keep = (x_id != end).astype(F32)[:, :, None]
             emb = w["emb"][x_id]
@@ -273,6 +276,51 @@ def _sample(docs: DataFrame, bound: int) -> list[bytes]:
     return [(r.text or "").encode() for r in sorted(rows, key=lambda r: (r.doc_id, r.text or ""))]
 
 
+def sweep(docs: DataFrame, net: Network, words: Lexicon, run_tokens: int = SWEEP_TOKENS) -> Network:
+    """Train over all rows of ``docs``: each task goes on from ``net`` over its texts, ``run_tokens`` at a time.
+
+    The result is the mean of the tasks' weights by their tokens. The driver gets one row per weight.
+    """
+    start = net.w
+    names = sorted(start)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        mine = Network({k: v.copy() for k, v in start.items()})
+        held: list[np.ndarray] = []
+        size, done = 0, 0
+
+        def learn() -> None:
+            nonlocal size, done
+            streams = max(8, min(SWEEP_STREAMS, size // (STEP_WINDOW * SWEEP_STEPS)))
+            train(mine, held, words.end, epochs=1, most_streams=streams, rate=SWEEP_RATE)
+            done += size
+            size = 0
+            held.clear()
+
+        for batch in batches:
+            for text in texts_of(batch):
+                held.append(words.symbols(text)[0])
+                size += len(held[-1])
+                if size >= run_tokens:
+                    learn()
+        if size:
+            learn()
+        if done:
+            flat = np.concatenate([mine.w[k].ravel() for k in names] + [np.ones(1)]).astype(np.float64)
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat)), pa.int32()), pa.array(flat * done)], ["at", "total"])
+
+    rows = docs.select("text").mapInArrow(run, "at int, total double").groupBy("at").agg(F.sum("total").alias("total")).collect()
+    if not rows:
+        return net
+    flat = np.empty(len(rows))
+    flat[[r.at for r in rows]] = [r.total for r in rows]
+    flat, cut, out = (flat[:-1] / flat[-1]).astype(F32), 0, {}
+    for k in names:
+        out[k] = flat[cut : cut + start[k].size].reshape(start[k].shape)
+        cut += start[k].size
+    return Network(out)
+
+
 def score(docs: DataFrame, held_fold: int = 2, folds: int = 7, bound: int = TRAIN_ROWS, hot_words: int = HOT_WORDS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row (log10 probabilities)."""
     learn = docs.where(fold(F.col("doc_id"), folds) != held_fold)
@@ -280,6 +328,7 @@ def score(docs: DataFrame, held_fold: int = 2, folds: int = 7, bound: int = TRAI
     words = lexicon(counts, hot_words)
     net = Network.fresh(words.mass)
     train(net, [words.symbols(t)[0] for t in _sample(learn, bound)], words.end)
+    net = sweep(learn, net, words)
     norm, weights = float(np.log10(words.total + words.distinct + 1)), net.w
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

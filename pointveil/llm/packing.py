@@ -36,7 +36,8 @@ def optimal_boundaries(histogram: dict[int, int], buckets: int) -> list[int]:
         total = best[:-1, None] + waste[1:, :]
         pick = total.argmin(axis=0)
         better = total[pick, np.arange(m)]
-        cuts.append(np.where(better < best, pick + 1, 0))
+        # where one more bucket gains nothing the earlier round's cut holds; 0 is one bucket from the start
+        cuts.append(np.where(better < best, pick + 1, cuts[-1] if cuts else 0))
         best = np.minimum(best, better)
     out, j = [], m
     for cut in reversed(cuts):

@@ -570,11 +570,18 @@ def shape_of(n_bytes: int) -> tuple[int, int]:
     return -(-n_bytes // (4 * width)), width
 
 
+#: Colour-cache bits of a stored payload.
+STORE_CACHE = 8
+
+
 def store(payload: bytes) -> bytes:
-    """Lossless WebP of a payload, whose length is a positive multiple of 64; a wider last row ends in zeros."""
+    """Lossless WebP of a payload with back-references, colour cache and the green transform.
+
+    The payload's length is a positive multiple of 64; a wider last row ends in zeros.
+    """
     height, width = shape_of(len(payload))
     full = payload + b"\0" * (4 * height * width - len(payload))
-    return encode(np.frombuffer(full, dtype=np.uint8).reshape(height, width, 4))
+    return encode(np.frombuffer(full, dtype=np.uint8).reshape(height, width, 4), green=True, cache=STORE_CACHE, refs=True)
 
 
 def features(pixels: np.ndarray) -> str:

@@ -24,8 +24,50 @@ from .common import byte_chunks
 
 #: The split pattern of byte-level tokenizers (a fixed value of the format).
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+# The library's letters and numbers are those of Unicode 16. Code point ranges (first, last) that came
+# with 16 itself, and ranges that only later versions call letters or numbers.
+LETTERS_16 = (
+    (0x1C89, 0x1C8A), (0xA7CB, 0xA7CD), (0xA7DA, 0xA7DC), (0x105C0, 0x105F3), (0x10D4A, 0x10D65), (0x10D6F, 0x10D85), (0x10EC2, 0x10EC4),
+    (0x11380, 0x11389), (0x1138B, 0x1138B), (0x1138E, 0x1138E), (0x11390, 0x113B5), (0x113B7, 0x113B7), (0x113D1, 0x113D1), (0x113D3, 0x113D3),
+    (0x11BC0, 0x11BE0), (0x13460, 0x143FA), (0x16100, 0x1611D), (0x16D40, 0x16D6C), (0x18CFF, 0x18CFF), (0x1E5D0, 0x1E5ED), (0x1E5F0, 0x1E5F0),
+)
+NUMBERS_16 = ((0x10D40, 0x10D49), (0x116D0, 0x116E3), (0x11BF0, 0x11BF9), (0x16130, 0x16139), (0x16D70, 0x16D79), (0x1CCF0, 0x1CCF9), (0x1E5F1, 0x1E5FA))
+LATER = (
+    (0x558, 0x558), (0x58B, 0x58C), (0x88F, 0x88F), (0xC5C, 0xC5C), (0xCDC, 0xCDC), (0x208F, 0x208F), (0x209D, 0x209F), (0xA7CE, 0xA7CF),
+    (0xA7D2, 0xA7D2), (0xA7D4, 0xA7D4), (0xA7DD, 0xA7DD), (0xA7E2, 0xA7E2), (0xA7F1, 0xA7F1), (0xAB6C, 0xAB6D), (0x107BB, 0x107BF),
+    (0x10940, 0x10959), (0x10EC5, 0x10EC7), (0x10ED9, 0x10EEE), (0x11B0A, 0x11B0A), (0x11DB0, 0x11DDB), (0x11DE0, 0x11DE9), (0x11DF1, 0x11DF1),
+    (0x1246F, 0x1246F), (0x12475, 0x1247F), (0x12550, 0x12686), (0x16EA0, 0x16EB8), (0x16EBB, 0x16ED3), (0x16FF2, 0x16FF3), (0x16FF4, 0x16FF6),
+    (0x187F8, 0x187FF), (0x18CD6, 0x18CDA), (0x18D09, 0x18D20), (0x18D80, 0x18DF2), (0x18E00, 0x19191), (0x191A0, 0x191D2), (0x1B123, 0x1B128),
+    (0x1B168, 0x1B168), (0x1D6A6, 0x1D6A6), (0x1DF1F, 0x1DF24), (0x1DF2B, 0x1DF81), (0x1DF90, 0x1DF96), (0x1DFCD, 0x1DFFF), (0x1E6C0, 0x1E6DE),
+    (0x1E6E0, 0x1E6E2), (0x1E6E4, 0x1E6E5), (0x1E6E7, 0x1E6ED), (0x1E6F0, 0x1E6F4), (0x1E6FE, 0x1E6FF), (0x2B73A, 0x2B73F), (0x2B81E, 0x2B81E),
+    (0x2CEA2, 0x2CEAD), (0x323B0, 0x33479), (0x3D000, 0x3FC3F),
+)
 #: Words and token pairs that a worker remembers; beyond it they are forgotten and found anew.
 MOST_WORDS, MOST_PAIRS, LONG_WORD = 400_000, 1_000_000, 256
+#: Bytes of words that a worker remembers.
+MOST_WORD_BYTES = 64 << 20
+
+
+def _class(ranges) -> str:
+    return "".join(f"\\U{a:08x}-\\U{b:08x}" for a, b in ranges)
+
+
+def splitter():
+    """The splitting function with the letters and numbers of Unicode 16, whatever version the installed module has."""
+    import regex
+
+    letter = rf"[[\p{{L}}{_class(LETTERS_16)}]--[{_class(LATER)}]]"
+    number = rf"[[\p{{N}}{_class(NUMBERS_16)}]--[{_class(LATER)}]]"
+    other = rf"[[^\s\p{{L}}\p{{N}}{_class(LETTERS_16 + NUMBERS_16)}]||[{_class(LATER)}]]"
+    plain = regex.compile(PATTERN).findall
+    odd = regex.compile(f"[{_class(LETTERS_16 + NUMBERS_16 + LATER)}]").search
+    exact = PATTERN.replace(r"[^\s\p{L}\p{N}]", other).replace(r"\p{L}+", letter + "+", 1).replace(r" ?\p{N}+", f" ?{number}+", 1)
+    exact = regex.compile(f"(?V1){exact}").findall
+
+    def split(text: str) -> list[str]:
+        return plain(text) if text.isascii() or not odd(text) else exact(text)
+
+    return split
 
 
 def byte_letters() -> list[str]:
@@ -83,10 +125,11 @@ class Bpe:
         # tokens that merging their own bytes gives back; others are never proposed
         self.sound = {t: i for t, i in self.ids.items() if len(t) == 1 or (born[i] >= 0 and self.exact(t) == [i])}
         self.words: dict[str | int, list[int]] = {}
+        self.word_bytes = 0
         self.pairs: dict[int, bool] = {}
         import regex
 
-        self.split = regex.compile(PATTERN).findall
+        self.split = splitter()
         self.cut = regex.compile("(" + "|".join(regex.escape(s) for s in sorted(self.special, key=len, reverse=True)) + ")").split if self.special else None
 
     # -- proposals
@@ -211,12 +254,14 @@ class Bpe:
                 for k, part in enumerate(self.cut(t)):
                     row += [special[part]] if k % 2 else split(part)
                 pieces.append(row)
-        if len(self.words) > MOST_WORDS:
+        if len(self.words) > MOST_WORDS or self.word_bytes > MOST_WORD_BYTES:
             self.words.clear()
+            self.word_bytes = 0
         known = self.words
         fresh = [w for w in set().union(*pieces) if w not in known and isinstance(w, str)]
         if fresh:
             self.learn(fresh)
+            self.word_bytes += sum(map(len, fresh))
         for number in special.values():
             known[number] = [number]
         return [list(chain.from_iterable(map(known.__getitem__, row))) for row in pieces]
@@ -263,7 +308,11 @@ def decode_column(coded: DataFrame, path: str) -> DataFrame:
 
 
 def round_trip(docs: DataFrame, path: str) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256: encode and decode in one pass over the text."""
+    """doc_id, n_tokens, ids_sha256, decoded_sha256: encode and decode in one pass over the text.
+
+    One row per input row: repeated and null ids and equal rows stay separate, other columns are not read. Null and
+    empty texts have no tokens. An empty table gives an empty result.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = held(path)

@@ -1,16 +1,11 @@
-"""Lossless WebP: a full decoder of the VP8L bit stream, a writer, and the payload store built on them.
+"""Lossless WebP: stored text payloads, their digest columns, and images to pixel arrays.
 
-Decoder: prefix codes (simple, normal, run-length coded lengths), several code groups with an entropy image,
-literals, back-references with the plane distance map, colour cache, and the four transforms (predictor,
-cross-colour, subtract-green, palette with packed pixels). Images whose codes all have one length and that use no
-back-reference or cache are read as a bit matrix in one numpy step; everything else goes symbol by symbol.
-
-Writer: literals under equal-length codes by default; options add each transform, back-references and a cache.
+``webp_write`` fits prefix codes, back-references, a colour cache and one transform to each image; ``webp_read``
+undoes all of the format, symbol by symbol through lookup tables.
 """
 
 from __future__ import annotations
 
-import functools
 import hashlib
 import zlib
 from collections.abc import Iterator
@@ -21,544 +16,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import byte_chunks, texts_of
-
-# Fixed values of the format: order of code-length codes, and the first 120 plane distances as (x, y) offsets.
-LENGTH_ORDER = (17, 18, 0, 1, 2, 3, 4, 5, 16, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15)
-NEAR = (
-    (0, 1), (1, 0), (1, 1), (-1, 1), (0, 2), (2, 0), (1, 2), (-1, 2), (2, 1), (-2, 1), (2, 2), (-2, 2), (0, 3), (3, 0), (1, 3), (-1, 3), (3, 1), (-3, 1), (2, 3), (-2, 3),
-    (3, 2), (-3, 2), (0, 4), (4, 0), (1, 4), (-1, 4), (4, 1), (-4, 1), (3, 3), (-3, 3), (2, 4), (-2, 4), (4, 2), (-4, 2), (0, 5), (3, 4), (-3, 4), (4, 3), (-4, 3), (5, 0),
-    (1, 5), (-1, 5), (5, 1), (-5, 1), (2, 5), (-2, 5), (5, 2), (-5, 2), (4, 4), (-4, 4), (3, 5), (-3, 5), (5, 3), (-5, 3), (0, 6), (6, 0), (1, 6), (-1, 6), (6, 1), (-6, 1),
-    (2, 6), (-2, 6), (6, 2), (-6, 2), (4, 5), (-4, 5), (5, 4), (-5, 4), (3, 6), (-3, 6), (6, 3), (-6, 3), (0, 7), (7, 0), (1, 7), (-1, 7), (5, 5), (-5, 5), (7, 1), (-7, 1),
-    (4, 6), (-4, 6), (6, 4), (-6, 4), (2, 7), (-2, 7), (7, 2), (-7, 2), (3, 7), (-3, 7), (7, 3), (-7, 3), (5, 6), (-5, 6), (6, 5), (-6, 5), (8, 0), (4, 7), (-4, 7), (7, 4),
-    (-7, 4), (8, 1), (8, 2), (6, 6), (-6, 6), (8, 3), (5, 7), (-5, 7), (7, 5), (-7, 5), (8, 4), (6, 7), (-6, 7), (7, 6), (-7, 6), (8, 5), (7, 7), (-7, 7), (8, 6), (8, 7),
-)
-CACHE_FACTOR = 0x1E35A7BD
-SIGNATURE, GREEN, LENGTHS, DISTANCES, MOST_SIDE = 0x2F, 256, 24, 40, 1 << 14
-
-_REVERSED = np.array([int(f"{i:08b}"[::-1], 2) for i in range(256)], dtype=np.uint8)
-
-
-# ---------------------------------------------------------------- reading
-
-
-class Bits:
-    """Little-endian bit reader."""
-
-    def __init__(self, data: bytes):
-        self.data, self.at, self.end = data, 0, 8 * len(data)
-
-    def read(self, n: int) -> int:
-        if self.at + n > self.end:
-            raise ValueError("the bit stream is too short")
-        first = self.at >> 3
-        word = int.from_bytes(self.data[first : first + 5], "little") >> (self.at & 7)
-        self.at += n
-        return word & ((1 << n) - 1)
-
-
-class Prefix:
-    """One prefix code: symbols of equal length ascend, shorter codes first; bits come most significant first."""
-
-    def __init__(self, lengths: list[int]):
-        used = [(n, s) for s, n in enumerate(lengths) if n]
-        self.only = used[0][1] if len(used) == 1 else None
-        self.flat = None
-        self.lookup: dict[tuple[int, int], int] = {}
-        if self.only is not None:
-            return
-        if not used or sum(1 << (15 - n) for n, _ in used) != 1 << 15:
-            raise ValueError("a prefix code is not complete")
-        code, last = 0, 0
-        for n, s in sorted(used):
-            code <<= n - last
-            self.lookup[n, code] = s
-            code, last = code + 1, n
-        if len({n for n, _ in used}) == 1:
-            self.flat = (used[0][0], np.array([s for _, s in used]))
-
-    def symbol(self, bits: Bits) -> int:
-        if self.only is not None:
-            return self.only
-        code = 0
-        for n in range(1, 16):
-            code = code << 1 | bits.read(1)
-            if (n, code) in self.lookup:
-                return self.lookup[n, code]
-        raise ValueError("no such code")
-
-
-def _prefix(bits: Bits, alphabet: int) -> Prefix:
-    lengths = [0] * alphabet
-    if bits.read(1):  # one or two symbols
-        two = bits.read(1)
-        lengths[bits.read(8 if bits.read(1) else 1)] = 1
-        if two:
-            lengths[bits.read(8)] = 1
-        return Prefix(lengths)
-    of_lengths = [0] * 19
-    for i in range(4 + bits.read(4)):
-        of_lengths[LENGTH_ORDER[i]] = bits.read(3)
-    most = 2 + bits.read(2 + 2 * bits.read(3)) if bits.read(1) else alphabet
-    code, at, previous = _shared_code(tuple(of_lengths)), 0, 8
-    if code.only is not None and code.only < 16:  # such a code takes no bits
-        at = min(most, alphabet)
-        lengths[:at] = [code.only] * at
-        return _shared_code(tuple(lengths))
-    while at < alphabet and most:
-        most -= 1
-        s = code.symbol(bits)
-        if s < 16:
-            lengths[at], at = s, at + 1
-            previous = s or previous
-            continue
-        value, times = (previous, 3 + bits.read(2)) if s == 16 else (0, 3 + bits.read(3)) if s == 17 else (0, 11 + bits.read(7))
-        if at + times > alphabet:
-            raise ValueError("code lengths overflow the alphabet")
-        lengths[at : at + times] = [value] * times
-        at += times
-    return Prefix(lengths)
-
-
-@functools.lru_cache(maxsize=64)
-def _shared_code(lengths: tuple[int, ...]) -> Prefix:
-    return Prefix(lengths)
-
-
-def _group(bits: Bits, cache: int) -> list[Prefix]:
-    return [_prefix(bits, n) for n in (GREEN + LENGTHS + (1 << cache if cache else 0), 256, 256, 256, DISTANCES)]
-
-
-def _extra(symbol: int, bits: Bits) -> int:
-    """The value of a length or distance symbol."""
-    if symbol < 4:
-        return symbol + 1
-    more = (symbol - 2) >> 1
-    return ((2 + (symbol & 1)) << more) + bits.read(more) + 1
-
-
-def _plane(code: int, width: int) -> int:
-    if code > len(NEAR):
-        return code - len(NEAR)
-    x, y = NEAR[code - 1]
-    return max(1, x + y * width)
-
-
-def _read_pixels(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
-    """ARGB words of an entropy-coded image."""
-    cache = bits.read(4) if bits.read(1) else 0
-    if cache > 11:
-        raise ValueError("the colour cache is too large")
-    block, of_block, groups_n = 0, None, 1
-    if main and bits.read(1):
-        block = bits.read(3) + 2
-        of_block = (_read_pixels(bits, -(-width >> block), -(-height >> block), False) >> np.uint32(8)) & np.uint32(0xFFFF)
-        groups_n = int(of_block.max()) + 1
-    groups = [_group(bits, cache) for _ in range(groups_n)]
-    total = width * height
-    if groups_n == 1 and (fast := _read_flat(bits, groups[0], total)) is not None:
-        return fast
-    out = np.zeros(total, dtype=np.uint32)
-    kept = np.zeros(1 << cache, dtype=np.uint32)
-    at, across = 0, -(-width >> block)
-
-    def put(colour: int) -> None:
-        nonlocal at
-        out[at] = colour
-        at += 1
-        if cache:
-            kept[((colour * CACHE_FACTOR) & 0xFFFFFFFF) >> (32 - cache)] = colour
-
-    while at < total:
-        g = groups[int(of_block[(at // width >> block) * across + (at % width >> block)]) if of_block is not None else 0]
-        s = g[0].symbol(bits)
-        if s < GREEN:
-            red, blue, alpha = g[1].symbol(bits), g[2].symbol(bits), g[3].symbol(bits)
-            put(alpha << 24 | red << 16 | s << 8 | blue)
-        elif s < GREEN + LENGTHS:
-            run = _extra(s - GREEN, bits)
-            back = _plane(_extra(g[4].symbol(bits), bits), width)
-            if back > at or at + run > total:
-                raise ValueError("a back-reference leaves the image")
-            for _ in range(run):
-                put(int(out[at - back]))
-        else:
-            put(int(kept[s - GREEN - LENGTHS]))
-    return out
-
-
-def _read_flat(bits: Bits, group: list[Prefix], total: int) -> np.ndarray | None:
-    """All pixels at once where the four channel codes have one length each and only literals can occur."""
-    if any(p.only is None and p.flat is None for p in group[:4]) or (group[0].only if group[0].only is not None else int(group[0].flat[1].max())) >= GREEN:
-        return None
-    sizes = [0 if p.only is not None else p.flat[0] for p in group[:4]]
-    each = sum(sizes)
-    if bits.at + each * total > bits.end:
-        raise ValueError("the bit stream is too short")
-    first = bits.at >> 3
-    if sizes == [8, 8, 8, 8]:
-        body = int.from_bytes(bits.data[first : first + 4 * total + 1], "little") >> (bits.at & 7) & ((1 << 32 * total) - 1)
-        code = _REVERSED[np.frombuffer(body.to_bytes(4 * total, "little"), dtype=np.uint8)].reshape(total, 4)
-        bits.at += 32 * total
-        green, red, blue, alpha = (p.flat[1].astype(np.uint32)[code[:, k]] for k, p in enumerate(group[:4]))
-        return alpha << np.uint32(24) | red << np.uint32(16) | green << np.uint32(8) | blue
-    raw = np.unpackbits(np.frombuffer(bits.data, dtype=np.uint8, offset=first, count=-(-(bits.at + each * total) // 8) - first), bitorder="little")
-    start = bits.at - 8 * first
-    matrix = raw[start : start + each * total].reshape(total, each)
-    bits.at += each * total
-    channels, column = [], 0
-    for p, n in zip(group[:4], sizes):
-        if n == 0:
-            channels.append(np.full(total, p.only, dtype=np.uint32))
-            continue
-        code = matrix[:, column : column + n].astype(np.uint32) @ (1 << np.arange(n - 1, -1, -1, dtype=np.uint32))
-        channels.append(p.flat[1][code].astype(np.uint32))
-        column += n
-    green, red, blue, alpha = channels
-    return alpha << np.uint32(24) | red << np.uint32(16) | green << np.uint32(8) | blue
-
-
-def _channels(argb: np.ndarray) -> list[np.ndarray]:
-    return [(argb >> np.uint32(s) & np.uint32(255)).astype(np.int32) for s in (24, 16, 8, 0)]
-
-
-def _joined(a, r, g, b) -> np.ndarray:
-    return sum((np.asarray(c).astype(np.int64) & 255).astype(np.uint32) << np.uint32(s) for c, s in ((a, 24), (r, 16), (g, 8), (b, 0)))
-
-
-def _guess(mode: int, left: int, top: int, corner: int, right: int) -> int:
-    """The predictor's value of a pixel (ARGB words)."""
-
-    def by_byte(f, *words):
-        return sum(f(*[w >> s & 255 for w in words]) << s for s in (0, 8, 16, 24))
-
-    def mean(x, y):
-        return by_byte(lambda a, b: (a + b) >> 1, x, y)
-
-    def clip(v):
-        return min(255, max(0, v))
-
-    if mode == 0 or mode > 13:
-        return 0xFF000000
-    if mode == 11:
-        near_left = near_top = 0
-        for s in (0, 8, 16, 24):
-            x, y, c = left >> s & 255, top >> s & 255, corner >> s & 255
-            near_left += abs(y - c)  # |x + y - c - x|
-            near_top += abs(x - c)
-        return left if near_left < near_top else top
-    if mode == 12:
-        return by_byte(lambda x, y, c: clip(x + y - c), left, top, corner)
-    if mode == 13:
-        def half(m, c):
-            d = m - c
-            return clip(m + (d // 2 if d >= 0 else -(-d // 2)))
-
-        return by_byte(half, mean(left, top), corner)
-    choices = {
-        1: lambda: left, 2: lambda: top, 3: lambda: right, 4: lambda: corner,
-        5: lambda: mean(mean(left, right), top), 6: lambda: mean(left, corner), 7: lambda: mean(left, top),
-        8: lambda: mean(corner, top), 9: lambda: mean(top, right), 10: lambda: mean(mean(left, corner), mean(top, right)),
-    }
-    return choices[mode]()
-
-
-def _around(out, i: int, x: int, y: int, width: int, mode: int) -> int:
-    if y == 0:
-        return 0xFF000000 if x == 0 else int(out[i - 1])
-    if x == 0:
-        return int(out[i - width])
-    return _guess(mode, int(out[i - 1]), int(out[i - width]), int(out[i - width - 1]), int(out[i - width + 1]))
-
-
-def _byte_sum(x: int, y: int, sign: int = 1) -> int:
-    return sum(((x >> s & 255) + sign * (y >> s & 255) & 255) << s for s in (0, 8, 16, 24))
-
-
-def _predict(argb: np.ndarray, width: int, block: int, modes: np.ndarray, undo: bool) -> np.ndarray:
-    """Add (undo) or take off the predictor's values; single-neighbour planes go by whole rows or columns."""
-    height, across = len(argb) // width, -(-width >> block)
-    kinds = (modes >> np.uint32(8)) & np.uint32(15)
-    if undo and (kinds == 2).all():
-        c = np.stack(_channels(argb)).reshape(4, height, width)
-        c[0, 0, 0] += 255
-        c[:, 0] = c[:, 0].cumsum(axis=1)
-        return _joined(*(c.cumsum(axis=1) & 255).reshape(4, -1))
-    source, out = (None, argb.copy()) if undo else (argb, np.zeros_like(argb))
-    for i in range(len(argb)):
-        y, x = divmod(i, width)
-        mode = int(kinds[(y >> block) * across + (x >> block)])
-        guess = _around(out if undo else source, i, x, y, width, mode)
-        out[i] = _byte_sum(int(argb[i]), guess, 1 if undo else -1)
-    return out
-
-
-def _cross(argb: np.ndarray, width: int, block: int, factors: np.ndarray, undo: bool) -> np.ndarray:
-    a, r, g, b = _channels(argb)
-    y, x = np.divmod(np.arange(len(argb)), width)
-    f = factors[(y >> block) * -(-width >> block) + (x >> block)]
-
-    def signed(v):
-        return (v.astype(np.int32) & 255) - ((v.astype(np.int32) & 128) << 1)
-
-    red_blue, green_blue, green_red = (signed(f >> np.uint32(s)) for s in (16, 8, 0))
-    sign = 1 if undo else -1
-    red = r + sign * (green_red * signed(g) >> 5) & 255
-    blue = b + sign * (green_blue * signed(g) >> 5) + sign * (red_blue * signed(red if undo else r) >> 5)
-    return _joined(a, red, g, blue)
-
-
-def _pack_bits(colours: int) -> int:
-    return 3 if colours <= 2 else 2 if colours <= 4 else 1 if colours <= 16 else 0
-
-
-def decode(data: bytes) -> np.ndarray:
-    """Pixels (height, width, 4) as A, R, G, B bytes of a lossless WebP file or bare VP8L stream."""
-    if data[:4] == b"RIFF":
-        if data[8:12] != b"WEBP":
-            raise ValueError("not a WebP file")
-        at, body = 12, None
-        while at + 8 <= len(data) and body is None:
-            size = int.from_bytes(data[at + 4 : at + 8], "little")
-            body = data[at + 8 : at + 8 + size] if data[at : at + 4] == b"VP8L" else None
-            at += 8 + size + (size & 1)
-        if body is None:
-            raise ValueError("no lossless image in the file")
-        data = body
-    bits = Bits(data)
-    if bits.read(8) != SIGNATURE:
-        raise ValueError("wrong signature")
-    width, height = bits.read(14) + 1, bits.read(14) + 1
-    bits.read(1)
-    if bits.read(3):
-        raise ValueError("unknown version")
-    steps, stored = [], width
-    while bits.read(1):
-        kind = bits.read(2)
-        if kind in (0, 1):
-            block = bits.read(3) + 2
-            steps.append((kind, stored, block, _read_pixels(bits, -(-stored >> block), -(-height >> block), False)))
-        elif kind == 2:
-            steps.append((kind, stored, 0, None))
-        else:
-            colours = bits.read(8) + 1
-            table = _read_pixels(bits, colours, 1, False)
-            table = _joined(*[c.cumsum() & 255 for c in _channels(table)])
-            steps.append((kind, stored, _pack_bits(colours), table))
-            stored = -(-stored >> steps[-1][2])
-    argb = _read_pixels(bits, stored, height, True)
-    for kind, before, block, extra in reversed(steps):
-        if kind == 0:
-            argb = _predict(argb, before, block, extra, True)
-        elif kind == 1:
-            argb = _cross(argb, before, block, extra, True)
-        elif kind == 2:
-            a, r, g, b = _channels(argb)
-            argb = _joined(a, r + g, g, b + g)
-        else:
-            index = _channels(argb)[2].reshape(height, -1)
-            n = 8 >> block
-            split = (index[:, :, None] >> (n * np.arange(1 << block))) & ((1 << n) - 1)
-            index = split.reshape(height, -1)[:, :before].ravel()
-            argb = np.where(index < len(extra), extra[np.minimum(index, len(extra) - 1)], np.uint32(0))
-    return np.stack(_channels(argb), axis=1).astype(np.uint8).reshape(height, width, 4)
-
-
-# ---------------------------------------------------------------- writing
-
-
-class _Out:
-    """Little-endian bit writer."""
-
-    def __init__(self):
-        self.value, self.n = 0, 0
-
-    def put(self, value: int, n: int) -> None:
-        self.value |= value << self.n
-        self.n += n
-
-    def code(self, code: int, n: int) -> None:
-        for i in range(n - 1, -1, -1):
-            self.put(code >> i & 1, 1)
-
-    def bytes(self) -> bytes:
-        return self.value.to_bytes(-(-self.n // 8), "little")
-
-
-def _equal_code(out: _Out, n: int) -> None:
-    """A normal code in which the first 2**n symbols have length n and the others none."""
-    order = LENGTH_ORDER[: 1 + LENGTH_ORDER.index(n)]
-    out.put(0, 1)
-    out.put(len(order) - 4, 4)
-    for s in order:
-        out.put(int(s == n), 3)
-    out.put(1, 1)  # the lengths end early
-    out.put(3, 3)
-    out.put((1 << n) - 2, 8)
-
-
-def _single(out: _Out, symbol: int) -> None:
-    out.put(1, 1)
-    out.put(0, 1)
-    out.put(1, 1)
-    out.put(symbol, 8)
-
-
-def _literals(out: _Out, argb: np.ndarray) -> None:
-    """Channel by channel 8-bit codes; the pixels follow as a block of reversed bytes."""
-    for _ in range(4):
-        _equal_code(out, 8)
-    _single(out, 0)
-    a, r, g, b = _channels(argb)
-    body = _REVERSED[np.stack([g, r, b, a], axis=1).astype(np.uint8)].tobytes()
-    out.put(int.from_bytes(body, "little"), 8 * len(body))
-
-
-def _symbols_of(argb: np.ndarray, width: int, cache: int, refs: bool) -> list[tuple]:
-    """Greedy cover: back-references to the previous equal run (refs), cached colours, else literals."""
-    seen: dict[int, int] = {}
-    kept = [0] * (1 << cache)
-    out, i, px = [], 0, [int(p) for p in argb]
-
-    def keep(p):
-        if cache:
-            kept[((p * CACHE_FACTOR) & 0xFFFFFFFF) >> (32 - cache)] = p
-
-    while i < len(px):
-        j = seen.get(px[i])
-        run = 0
-        while refs and j is not None and i + run < len(px) and run < 4096 and px[j + run] == px[i + run]:
-            run += 1
-        slot = ((px[i] * CACHE_FACTOR) & 0xFFFFFFFF) >> (32 - cache) if cache else 0
-        if run >= 3:
-            out.append(("ref", run, i - j))
-        elif cache and kept[slot] == px[i]:
-            out.append(("cache", slot))
-            run = 1
-        else:
-            out.append(("lit", px[i]))
-            run = 1
-        for k in range(i, i + run):
-            seen[px[k]] = k
-            keep(px[k])
-        i += run
-    return out
-
-
-def _split(value: int) -> tuple[int, int, int]:
-    """(symbol, extra bits, their number) of a length or distance."""
-    v = value - 1
-    if v < 4:
-        return v, 0, 0
-    n = v.bit_length() - 1
-    more = n - 1
-    second = v >> more & 1
-    return 2 * n + second, v & ((1 << more) - 1), more
-
-
-def _coded(out: _Out, argb: np.ndarray, width: int, cache: int, refs: bool) -> None:
-    """Symbols under equal-length codes over the whole alphabets, rounded up to powers of two by longer tails."""
-    sizes = (GREEN + LENGTHS + (1 << cache if cache else 0), 256, 256, 256, DISTANCES)
-    codes = []
-    for n in sizes:
-        bits_n = (n - 1).bit_length()
-        short = (1 << bits_n) - n  # so many symbols get one bit less
-        lengths = [bits_n - 1] * short + [bits_n] * (n - short)
-        codes.append(_written_code(out, lengths))
-    near = {x + y * width: k + 1 for k, (x, y) in reversed(list(enumerate(NEAR))) if x + y * width > 0}
-    for s in _symbols_of(argb, width, cache, refs):
-        if s[0] == "lit":
-            p = s[1]
-            for c, v in zip(codes[:4], (p >> 8 & 255, p >> 16 & 255, p & 255, p >> 24)):
-                out.code(*c[v])
-        elif s[0] == "cache":
-            out.code(*codes[0][GREEN + LENGTHS + s[1]])
-        else:
-            symbol, extra, n = _split(s[1])
-            out.code(*codes[0][GREEN + symbol])
-            out.put(extra, n)
-            symbol, extra, n = _split(near.get(s[2], s[2] + len(NEAR)))
-            out.code(*codes[4][symbol])
-            out.put(extra, n)
-
-
-def _written_code(out: _Out, lengths: list[int]) -> list[tuple[int, int]]:
-    """Write a normal code; returns (code, length) by symbol."""
-    out.put(0, 1)
-    out.put(15, 4)
-    kinds = sorted(set(lengths))
-    for s in LENGTH_ORDER:
-        out.put(1 if s in kinds else 0, 3)
-    out.put(0, 1)
-    if len(kinds) == 2:
-        for n in lengths:
-            out.put(kinds.index(n), 1)
-    codes, code, last = {}, 0, 0
-    for n, s in sorted((n, s) for s, n in enumerate(lengths)):
-        code <<= n - last
-        codes[s] = (code, n)
-        code, last = code + 1, n
-    return [codes[s] for s in range(len(lengths))]
-
-
-def encode(pixels: np.ndarray, palette: bool = False, predictor: int | None = None, cross: tuple[int, int, int] | None = None,
-           green: bool = False, cache: int = 0, refs: bool = False, block: int = 2, riff: bool = True) -> bytes:
-    """A lossless WebP file of (height, width, 4) A, R, G, B bytes.
-
-    palette: colour table, at most 256 colours. predictor: one mode for all blocks. cross: (green to red, green to
-    blue, red to blue) factors. green: subtract green. cache: colour-cache bits. refs: back-references.
-    """
-    height, width = pixels.shape[:2]
-    if not (1 <= width <= MOST_SIDE and 1 <= height <= MOST_SIDE):
-        raise ValueError("a side must be 1 to 16384")
-    out = _Out()
-    for value, n in ((SIGNATURE, 8), (width - 1, 14), (height - 1, 14), (1, 1), (0, 3)):
-        out.put(value, n)
-    argb, stored = _joined(*pixels.reshape(-1, 4).T), width
-    if palette:
-        table, index = np.unique(argb, return_inverse=True)
-        if len(table) > 256:
-            raise ValueError("too many colours for a palette")
-        out.put(1, 1), out.put(3, 2), out.put(len(table) - 1, 8)
-        steps = _joined(*[np.diff(np.concatenate([[0], c])) for c in _channels(table)])
-        out.put(0, 1)
-        _literals(out, steps)
-        packed = _pack_bits(len(table))
-        n, stored = 8 >> packed, -(-width >> packed)
-        index = np.pad(index.reshape(height, width), ((0, 0), (0, (stored << packed) - width))).reshape(height, stored, 1 << packed)
-        argb = _joined(255, 0, (index << (n * np.arange(1 << packed))).sum(axis=2).ravel(), 0)
-    small = (-(-stored >> block)) * (-(-height >> block))
-    if predictor is not None:
-        modes = np.full(small, 0xFF000000 | predictor << 8, dtype=np.uint32)
-        out.put(1, 1), out.put(0, 2), out.put(block - 2, 3), out.put(0, 1)
-        _literals(out, modes)
-        argb = _predict(argb, stored, block, modes, False)
-    if cross is not None:
-        factors = np.full(small, 0xFF000000 | (cross[2] & 255) << 16 | (cross[1] & 255) << 8 | cross[0] & 255, dtype=np.uint32)
-        out.put(1, 1), out.put(1, 2), out.put(block - 2, 3), out.put(0, 1)
-        _literals(out, factors)
-        argb = _cross(argb, stored, block, factors, False)
-    if green:
-        out.put(1, 1), out.put(2, 2)
-        a, r, g, b = _channels(argb)
-        argb = _joined(a, r - g, g, b - g)
-    out.put(0, 1)
-    out.put(int(cache > 0), 1)
-    if cache:
-        out.put(cache, 4)
-    out.put(0, 1)
-    if cache or refs:
-        _coded(out, argb, stored, cache, refs)
-    else:
-        _literals(out, argb)
-    body = out.bytes()
-    if not riff:
-        return body
-    padded = body + b"\0" * (len(body) & 1)
-    return b"RIFF" + (12 + len(padded)).to_bytes(4, "little") + b"WEBPVP8L" + len(body).to_bytes(4, "little") + padded
-
-
-# ---------------------------------------------------------------- payload columns
-
+from .webp_planes import MOST_SIDE
+from .webp_read import decode
+from .webp_write import chosen, encode
 
 def shape_of(n_bytes: int) -> tuple[int, int]:
     """(height, width) in pixels of a payload: 16 pixels wide, doubled while the image would be too high."""
@@ -575,13 +35,14 @@ STORE_CACHE = 8
 
 
 def store(payload: bytes) -> bytes:
-    """Lossless WebP of a payload with back-references, colour cache and the green transform.
+    """Lossless WebP of a payload, with the transform that suits it, back-references and a colour cache.
 
     The payload's length is a positive multiple of 64; a wider last row ends in zeros.
     """
     height, width = shape_of(len(payload))
     full = payload + b"\0" * (4 * height * width - len(payload))
-    return encode(np.frombuffer(full, dtype=np.uint8).reshape(height, width, 4), green=True, cache=STORE_CACHE, refs=True)
+    pixels = np.frombuffer(full, dtype=np.uint8).reshape(height, width, 4)
+    return encode(pixels, **chosen(pixels, STORE_CACHE))
 
 
 def features(pixels: np.ndarray) -> str:
@@ -609,7 +70,11 @@ def media_row(text: bytes) -> tuple:
 
 
 def media_columns(docs: DataFrame) -> DataFrame:
-    """Store every whole text (null: empty) as a lossless WebP image and describe what is read back."""
+    """Store every whole text (null: empty) as a lossless WebP image and describe what is read back.
+
+    One row per input row: repeated and null ids and equal rows stay separate, other columns are not read. An empty
+    table gives an empty result.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = [f.split()[0] for f in FIELDS.split(", ")]

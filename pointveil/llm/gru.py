@@ -10,10 +10,6 @@ import numpy as np
 F32 = np.float32
 
 
-def _soft(x: np.ndarray) -> np.ndarray:
-    return x / (1 + np.abs(x))
-
-
 class Gru:
     """Recurrent weights of one direction; inputs come already projected to three gates."""
 
@@ -52,11 +48,22 @@ class Gru:
             if keep is not None:
                 h = h * keep[t]
             a = h @ self.u
-            s = _soft(x[t, :, : 2 * n] + a[:, : 2 * n])
-            g = 0.5 + 0.5 * s
-            c = _soft(x[t, :, 2 * n :] + g[:, n:] * a[:, 2 * n :])
-            new = c + g[:, :n] * (h - c)
-            tape.append((h, a, s, g, c))
+            s = a[:, : 2 * n]
+            s += x[t, :, : 2 * n]
+            d = np.abs(s)
+            d += 1
+            s /= d
+            g = s * F32(0.5)
+            g += F32(0.5)
+            c = g[:, n:] * a[:, 2 * n :]
+            c += x[t, :, 2 * n :]
+            d = np.abs(c)
+            d += 1
+            c /= d
+            new = h - c
+            new *= g[:, :n]
+            new += c
+            tape.append((h, a, g, c))
             out[t] = h = new
         return out, tape
 
@@ -64,22 +71,37 @@ class Gru:
         """Gradients of the inputs and of the recurrent weights; d_out holds the loss's gradient at each state."""
         n, steps = self.h, len(tape)
         dx = np.empty((steps, d_out.shape[1], 3 * n), dtype=F32)
-        du = np.zeros_like(self.u)
+        da = np.empty((steps, d_out.shape[1], 3 * n), dtype=F32)
+        back = np.ascontiguousarray(self.u.T)
         dh = np.zeros_like(d_out[0])
         for t in range(steps - 1, -1, -1):
-            h, a, s, g, c = tape[t]
-            dh = dh + d_out[t]
+            h, a, g, c = tape[t]
+            s, now, back_now = a[:, : 2 * n], dx[t], da[t]
+            dh += d_out[t]
             z, r = g[:, :n], g[:, n:]
-            dc = dh * (1 - z) * (1 - np.abs(c)) ** 2
-            dz = dh * (h - c)
-            dr = dc * a[:, 2 * n :]
-            dg = np.concatenate([dz, dr], axis=1) * 0.5 * (1 - np.abs(s)) ** 2
-            dx[t] = np.concatenate([dg, dc], axis=1)
-            da = np.concatenate([dg, dc * r], axis=1)
-            du += h.T @ da
-            dh = dh * z + da @ self.u.T
+            # the softsign's slope is (1 - |value|) squared; a gate has half of it
+            slope = np.abs(c)
+            np.subtract(1, slope, out=slope)
+            slope *= slope
+            dc = now[:, 2 * n :]
+            np.subtract(1, z, out=dc)
+            dc *= dh
+            dc *= slope
+            slope = np.abs(s)
+            np.subtract(1, slope, out=slope)
+            slope *= slope
+            slope *= F32(0.5)
+            np.subtract(h, c, out=now[:, :n])
+            now[:, :n] *= dh
+            np.multiply(dc, a[:, 2 * n :], out=now[:, n : 2 * n])
+            now[:, : 2 * n] *= slope
+            back_now[:, : 2 * n] = now[:, : 2 * n]
+            np.multiply(dc, r, out=back_now[:, 2 * n :])
+            dh *= z
+            dh += back_now @ back
             if keep is not None:
-                dh = dh * keep[t]
+                dh *= keep[t]
+        du = np.concatenate([h for h, *_ in tape]).T @ da.reshape(-1, 3 * n)
         return dx, du
 
 

@@ -31,7 +31,7 @@ SYMBOLS = CLASSES * PER_CLASS
 HOT_WORDS, MOST_COUNTED, RUN_TOKENS, WINDOW = 1 << 18, 300_000, 4_000_000, 64
 HIDDEN, DIM, TRAIN_ROWS, EPOCHS, STREAMS, STEP_WINDOW, RATE = 16, 16, 1500, 2, 64, 24, 0.01
 #: The pass over all training texts: tokens a task trains on at a time, streams, and the steps that small runs get too.
-SWEEP_TOKENS, SWEEP_STREAMS, SWEEP_STEPS, SWEEP_RATE = 1_000_000, 256, 64, 0.005
+SWEEP_TOKENS, SWEEP_STREAMS, SWEEP_STEPS, SWEEP_RATE = 1_000_000, 256, 64, 0.02
 #: The end of a text; no word is empty.
 END = b""
 FORMS = 6
@@ -74,7 +74,8 @@ class Lexicon:
         room = SYMBOLS - FORMS - 1
         own = [w for w, _ in hot if w != END][:room]
         masses = {END: dict(hot).get(END, 0)}
-        masses.update((w, n) for w, n in hot if w in set(own))
+        mine = set(own)
+        masses.update((w, n) for w, n in hot if w in mine)
         # words that are symbols themselves leave their form's totals
         self.form_n, self.form_v = np.zeros(FORMS), np.zeros(FORMS)
         for f, (n, v) in by_form.items():
@@ -109,6 +110,32 @@ class Lexicon:
         return np.append(symbol, self.end), np.append(at, self.index.get(END, -1)), tail
 
 
+class Symbols:
+    """The symbol rows alone: a small table of the words that are symbols, and the form of every other word."""
+
+    def __init__(self, words: Lexicon):
+        self.own = {w: s for w, s in zip(words.index, words.symbol.tolist()) if not words.other[words.index[w]]}
+        self.form_symbol, self.end = words.form_symbol.astype(np.int32), words.end
+        self.blank = np.zeros(256, dtype=bool)
+        self.blank[[0x20, *range(0x09, 0x0E)]] = True
+
+    def row(self, text: bytes) -> np.ndarray:
+        """The symbol of every token of a text with its end."""
+        words = text.lower().split()
+        symbol = np.fromiter(map(self.own.get, words, repeat(-1)), dtype=np.int32, count=len(words))
+        lost = (symbol < 0).nonzero()[0]
+        if len(lost):
+            raw = np.frombuffer(text, dtype=np.uint8)
+            blank = np.concatenate([[True], self.blank[raw], [True]])
+            first, last = (blank[:-1] & ~blank[1:]).nonzero()[0], (~blank[:-1] & blank[1:]).nonzero()[0] - 1
+            last, first = last[lost], first[lost]
+            wide = np.concatenate([[0], (raw > 127).cumsum()])
+            sign = raw[last]
+            kind = np.where(sign == 0x2E, 1, np.where(sign == 0x2C, 2, 0)) + np.where(wide[last + 1] > wide[first], 3, 0)
+            symbol[lost] = self.form_symbol[kind]
+        return np.append(symbol, np.int32(self.end))
+
+
 class Network:
     """Weights of the recurrent model; symbol s is member s % PER_CLASS of class s // PER_CLASS."""
 
@@ -135,20 +162,26 @@ class Network:
 
     def log_probs(self, states: np.ndarray, target: np.ndarray) -> np.ndarray:
         """Natural log probability of the target symbol after each state (states are below 1, so logits stay small)."""
-        w, kind, member = self.w, target // PER_CLASS, target % PER_CLASS
-        z = states @ w["wc"]
+        w = self.w
+        order = np.argsort((target // PER_CLASS).astype(np.uint8), kind="stable")
+        target, h = target[order], states[order]
+        kind, member, one = target // PER_CLASS, target % PER_CLASS, np.ones(max(CLASSES, PER_CLASS), dtype=F32)
+        z = h @ w["wc"]
         z += w["bc"]
-        out = z[np.arange(len(z)), kind]
-        out -= np.log(np.exp(z, out=z).sum(axis=1))
-        order = np.argsort(kind.astype(np.uint8), kind="stable")
-        cuts = np.searchsorted(kind[order], np.arange(CLASSES + 1))
-        for c in range(CLASSES):
-            rows = order[cuts[c] : cuts[c + 1]]
-            if len(rows):
-                z = states[rows] @ w["ww"][c]
+        found = z[np.arange(len(z)), kind]
+        np.exp(z, out=z)
+        mass = z @ one[:CLASSES]
+        cuts = np.searchsorted(kind, np.arange(CLASSES + 1)).tolist()
+        for c, (a, b) in enumerate(zip(cuts, cuts[1:])):
+            if a < b:
+                z = h[a:b] @ w["ww"][c]
                 z += w["bw"][c]
-                own = z[np.arange(len(rows)), member[rows]]
-                out[rows] += own - np.log(np.exp(z, out=z).sum(axis=1))
+                found[a:b] += z[np.arange(b - a), member[a:b]]
+                np.exp(z, out=z)
+                found[a:b] -= np.log(z @ one[:PER_CLASS])
+        found -= np.log(mass)
+        out = np.empty_like(found)
+        out[order] = found
         return out
 
     def text_scores(self, ids: list[np.ndarray], end: int) -> np.ndarray:
@@ -185,6 +218,44 @@ class Network:
         return out
 
 
+def _softmax_step(w: dict[str, np.ndarray], states: np.ndarray, target: np.ndarray) -> tuple[float, np.ndarray, dict[str, np.ndarray]]:
+    """(summed loss, its mean's gradient at the states, gradients of the output weights) of class and member softmax.
+
+    States are below 1 and weights clipped, so the exponentials stay in range. Rows go in order of their class.
+    """
+    m = len(target)
+    order = np.argsort((target // PER_CLASS).astype(np.uint8), kind="stable")
+    target, h = target[order], states[order]
+    kind, member, row = target // PER_CLASS, target % PER_CLASS, np.arange(m)
+    cuts = np.searchsorted(kind, np.arange(CLASSES + 1)).tolist()
+    parts = [(c, a, b) for c, (a, b) in enumerate(zip(cuts, cuts[1:])) if a < b]
+    p = h @ w["wc"]
+    p += w["bc"]
+    np.exp(p, out=p)
+    q = np.empty((m, PER_CLASS), dtype=F32)
+    for c, a, b in parts:
+        np.matmul(h[a:b], w["ww"][c], out=q[a:b])
+        q[a:b] += w["bw"][c]
+    np.exp(q, out=q)
+    loss = 0.0
+    for prob, own in ((p, kind), (q, member)):
+        total = prob @ np.ones(prob.shape[1], dtype=F32)
+        loss -= float(np.log(prob[row, own] / total + 1e-12).sum())
+        total *= m
+        prob /= total[:, None]
+        prob[row, own] -= F32(1 / m)
+    grads = {"wc": h.T @ p, "bc": p.sum(axis=0), "ww": np.zeros_like(w["ww"]), "bw": np.zeros_like(w["bw"])}
+    sorted_d = p @ w["wc"].T
+    one = np.ones(m, dtype=F32)
+    for c, a, b in parts:
+        sorted_d[a:b] += q[a:b] @ w["ww"][c].T
+        np.matmul(h[a:b].T, q[a:b], out=grads["ww"][c])
+        np.matmul(one[a:b], q[a:b], out=grads["bw"][c])
+    d_h = np.empty_like(sorted_d)
+    d_h[order] = sorted_d
+    return loss, d_h, grads
+
+
 def train(net: Network, rows: list[np.ndarray], end: int, epochs: int = EPOCHS, seed: int = 9, most_streams: int = STREAMS, rate: float = RATE) -> list[float]:
     """Truncated backpropagation over ``most_streams`` parallel streams of symbol rows; returns the loss of each step."""
     if not rows:
@@ -203,35 +274,22 @@ def train(net: Network, rows: list[np.ndarray], end: int, epochs: int = EPOCHS,
             adam.rate = rate * (1 - 0.9 * (epoch + k / len(starts)) / epochs)
             x_id, y = before[s : s + STEP_WINDOW], target[s : s + STEP_WINDOW]
             keep = (x_id != end).astype(F32)[:, :, None]
-            emb = w["emb"][x_id]
-            states, tape = gru.forward(emb @ w["wx"] + w["bx"], h, keep)
+            inputs = w["emb"] @ w["wx"] + w["bx"]
+            states, tape = gru.forward(inputs[x_id], h, keep)
             h = states[-1]
             flat_h, flat_y = states.reshape(-1, HIDDEN), y.ravel()
-            kind, member, m = flat_y // PER_CLASS, flat_y % PER_CLASS, len(flat_y)
-            z = flat_h @ w["wc"] + w["bc"]
-            p = np.exp(z - z.max(axis=1, keepdims=True))
-            p /= p.sum(axis=1, keepdims=True)
-            loss = -np.log(p[np.arange(m), kind] + 1e-12).sum()
-            p[np.arange(m), kind] -= 1
-            p /= m
-            d_h = p @ w["wc"].T
-            grads = {"wc": flat_h.T @ p, "bc": p.sum(axis=0), "ww": np.zeros_like(w["ww"]), "bw": np.zeros_like(w["bw"])}
-            for c in np.unique(kind):
-                r = np.flatnonzero(kind == c)
-                z = flat_h[r] @ w["ww"][c] + w["bw"][c]
-                q = np.exp(z - z.max(axis=1, keepdims=True))
-                q /= q.sum(axis=1, keepdims=True)
-                loss -= np.log(q[np.arange(len(r)), member[r]] + 1e-12).sum()
-                q[np.arange(len(r)), member[r]] -= 1
-                q /= m
-                d_h[r] += q @ w["ww"][c].T
-                grads["ww"][c] = flat_h[r].T @ q
-                grads["bw"][c] = q.sum(axis=0)
+            loss, d_h, grads = _softmax_step(w, flat_h, flat_y)
+            m = len(flat_y)
             dx, grads["u"] = gru.backward(tape, d_h.reshape(states.shape), keep)
-            fx, fe = dx.reshape(-1, 3 * HIDDEN), emb.reshape(-1, DIM)
-            grads["wx"], grads["bx"] = fe.T @ fx, fx.sum(axis=0)
+            # what each symbol's projected input gets, summed over its places
+            order = np.argsort(x_id.ravel().astype(np.uint16), kind="stable")
+            sorted_id = x_id.ravel()[order]
+            run = np.concatenate([[True], sorted_id[1:] != sorted_id[:-1]]).nonzero()[0]
+            d_in = np.add.reduceat(dx.reshape(-1, 3 * HIDDEN)[order], run, axis=0)
+            here = sorted_id[run]
+            grads["wx"], grads["bx"] = w["emb"][here].T @ d_in, d_in.sum(axis=0)
             grads["emb"] = np.zeros_like(w["emb"])
-            np.add.at(grads["emb"], x_id.ravel(), fx @ w["wx"].T)
+            grads["emb"][here] = d_in @ w["wx"].T
             adam.apply({k: grads[k].astype(F32) for k in w})
             for k in ("wc", "ww", "bc", "bw"):
                 np.clip(w[k], -20 if k[0] == "b" else -3, 20 if k[0] == "b" else 3, out=w[k])
@@ -283,6 +341,7 @@ def sweep(docs: DataFrame, net: Network, words: Lexicon, run_tokens: int = SWEEP
     """
     start = net.w
     names = sorted(start)
+    symbols = Symbols(words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         mine = Network({k: v.copy() for k, v in start.items()})
@@ -292,14 +351,14 @@ def sweep(docs: DataFrame, net: Network, words: Lexicon, run_tokens: int = SWEEP
         def learn() -> None:
             nonlocal size, done
             streams = max(8, min(SWEEP_STREAMS, size // (STEP_WINDOW * SWEEP_STEPS)))
-            train(mine, held, words.end, epochs=1, most_streams=streams, rate=SWEEP_RATE)
+            train(mine, held, symbols.end, epochs=1, most_streams=streams, rate=SWEEP_RATE)
             done += size
             size = 0
             held.clear()
 
         for batch in batches:
             for text in texts_of(batch):
-                held.append(words.symbols(text)[0])
+                held.append(symbols.row(text))
                 size += len(held[-1])
                 if size >= run_tokens:
                     learn()

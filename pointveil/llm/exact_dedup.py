@@ -13,7 +13,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import free_name, row_key, staged
 
 BLOCK_BYTES = 4096
 
@@ -82,3 +82,16 @@ def dedup(docs: DataFrame, size: int = BLOCK_BYTES, key: Callable[[Column], Colu
     return named.join(groups, "name").select(
         "doc_id", "keep_id", F.col("group_size").cast("long").alias("group_size"), (F.col("row_no") == F.col("top.row_no")).alias("kept"), "text_sha256"
     )
+
+
+def one_of_equals(docs: DataFrame, size: int = BLOCK_BYTES) -> DataFrame:
+    """The rows of ``docs`` but for exact duplicates: of equal texts the row with the largest doc_id stays.
+
+    Null ids lose to others; rows equal in id and text are one. Null and empty texts are equal. An empty table gives
+    an empty result. All columns are kept, whatever their names.
+    """
+    key = free_name(docs, "key")
+    kept = dedup(docs, size).where("kept").select(row_key(F.col("doc_id"), F.col("text_sha256")).alias(key))
+    sha = F.sha2(F.coalesce(F.col("text"), F.lit("")).cast("binary"), 256)
+    keyed = docs.select("*", row_key(F.col("doc_id"), sha).alias(key))
+    return keyed.hint("merge").join(kept, key, "left_semi").dropDuplicates([key]).select(*docs.columns)

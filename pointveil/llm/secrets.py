@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import staged
+from .common import free_name, row_key, staged
 
 #: Fixed values of the scan: kind -> (pattern, group that must be long enough, its least length).
 ASSIGN = r"""(?i:(password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -87,10 +87,10 @@ def linked(found: DataFrame, scope: int = SCOPE) -> DataFrame:
         parts.alias("p"), (F.col("w.row_no") == F.col("p.row_no")) & (F.col("w.cell") == F.col("p.cell")) & fits & near & apart, "left_semi"
     )
     kept = partner.select("row_no", "kind", "start", "end").distinct()
-    # what lies inside a base span is that span already
+    # what lies inside a base span is that span already; one that only overlaps it goes on beyond and stays
     own = kept.alias("w").select("*", F.explode(F.sequence(cell(F.col("start")), cell(F.col("end")))).alias("cell"))
     covered = own.alias("w").join(
-        parts.alias("p"), (F.col("w.row_no") == F.col("p.row_no")) & (F.col("w.cell") == F.col("p.cell")) & (F.col("p_start") < F.col("w.end")) & (F.col("p_end") > F.col("w.start")), "left_semi"
+        parts.alias("p"), (F.col("w.row_no") == F.col("p.row_no")) & (F.col("w.cell") == F.col("p.cell")) & (F.col("p_start") <= F.col("w.start")) & (F.col("p_end") >= F.col("w.end")), "left_semi"
     ).select("row_no", "kind", "start", "end")
     return kept.join(covered, ["row_no", "kind", "start", "end"], "left_anti")
 
@@ -124,27 +124,27 @@ def mask(docs: DataFrame, scope: int = SCOPE) -> DataFrame:
     """The documents with every reported span replaced by its kind in angle brackets; other columns stay.
 
     Overlapping spans are cut out together under the first one's kind. n_chars, where present, is counted anew for
-    changed texts. Null texts stay null. Only rows with a span are joined by value: the spans of a row are found
-    again by (doc_id, hash of the text), which repeated rows share.
+    changed texts. Null texts stay null. Only rows with a span are joined, by (doc_id, SHA-256 of the text), which
+    equal rows share; each stays a row. An empty table gives an empty result; column names may be any.
     """
-    key = F.xxhash64(F.col("doc_id"), F.coalesce(F.col("text"), F.lit("")))
-    keyed = docs.select("text", F.col("doc_id"), key.alias("row_key_"))
-    numbered = staged(matches(keyed.select(F.col("row_key_").alias("doc_id"), "text")))
+    key, cuts_name = free_name(docs, "key"), free_name(docs, "cuts")
+    mine = row_key(F.col("doc_id"), F.sha2(F.coalesce(F.col("text"), F.lit("")).cast("binary"), 256))
+    numbered = staged(matches(docs.select(mine.alias("doc_id"), "text")))
     found = staged(spans(numbered))
     every = found.where(F.col("kind") < len(BASE)).unionByName(linked(found, scope))
-    per_row = every.groupBy("row_no").agg(F.array_sort(F.collect_list(F.struct(F.col("start").cast("int").alias("start"), F.col("end").cast("int").alias("end"), "kind"))).alias("cuts_"))
-    cuts = numbered.join(per_row, "row_no").select(F.col("doc_id").alias("row_key_"), "cuts_").dropDuplicates(["row_key_"])
+    per_row = every.groupBy("row_no").agg(F.array_sort(F.collect_list(F.struct(F.col("start").cast("int").alias("start"), F.col("end").cast("int").alias("end"), "kind"))).alias(cuts_name))
+    cuts = numbered.join(per_row, "row_no").select(F.col("doc_id").alias(key), cuts_name).dropDuplicates([key])
     names = F.array(*[F.lit(k) for k in ORDER])
     start = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out"))
     walked = F.aggregate(
-        "cuts_", start,
+        cuts_name, start,
         lambda acc, c: F.when(c["start"] >= acc["at"], F.struct(c["end"].alias("at"), F.concat(acc["out"], F.array(F.substr(F.col("text"), acc["at"] + 1, c["start"] - acc["at"]), F.concat(F.lit("<"), F.element_at(names, c["kind"] + 1), F.lit(">")))).alias("out")))
         .otherwise(F.struct(F.greatest(acc["at"], c["end"]).alias("at"), acc["out"].alias("out"))),
         lambda acc: F.concat(F.array_join(acc["out"], ""), F.substr(F.col("text"), acc["at"] + 1, F.length("text"))),
     )
-    joined = docs.withColumn("row_key_", key).join(cuts, "row_key_", "left")
-    text = F.when(F.col("cuts_").isNull(), F.col("text")).otherwise(walked)
-    out = joined.select(*[text.alias("text") if c == "text" else F.col(c) for c in docs.columns], "cuts_")
+    joined = docs.select("*", mine.alias(key)).hint("merge").join(cuts, key, "left")
+    changed = F.col(cuts_name).isNotNull()
+    out = joined.select(*[F.when(changed, walked).otherwise(F.col("text")).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns], cuts_name)
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("cuts_").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long")).cast(docs.schema["n_chars"].dataType))
+        out = out.withColumn("n_chars", F.when(changed, F.length("text").cast("long")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
     return out.select(*docs.columns)

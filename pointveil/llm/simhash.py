@@ -12,6 +12,7 @@ spanning forest leave a task.
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -20,7 +21,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_chunks, staged, texts_of
+from .common import byte_chunks, free_name, row_key, staged, texts_of
 from .components import components
 
 DISTANCE, SEED, FAN = 3, 42, 8
@@ -292,13 +293,9 @@ def near_duplicates(docs: DataFrame, width: int = 3, distance: int = DISTANCE, h
 
 # ---------------------------------------------------------------- similarity of 0.8 or more
 
-#: Words of 64 bits in a wide fingerprint, and the most differing bits of a link. Shingle sets of similarity J have a
-#: cosine of 2J / (1 + J) and differ in acos(cosine) / pi of all bits: 39 of 256 at 0.8; the bound adds half a standard
-#: error (5.7 bits).
-WIDE_WORDS, WIDE_DISTANCE, WIDE_WIDTH = 4, 42, 5
+#: Words of 64 bits in a wide fingerprint, and words in a shingle.
+WIDE_WORDS, WIDE_WIDTH = 4, 5
 WIDE = [f"f{k}" for k in range(WIDE_WORDS)]
-#: Candidates agree on one of 16 bands of 16 bits but for at most one bit (99.5 % of pairs at 0.8 do).
-BAND_BITS, BAND_DISTANCE = 16, 1
 
 
 def wide_fingerprints(texts: list[bytes], width: int = WIDE_WIDTH) -> np.ndarray:
@@ -320,63 +317,6 @@ def wide_fingerprints(texts: list[bytes], width: int = WIDE_WIDTH) -> np.ndarray
     return out
 
 
-def _wide_table(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for part in byte_chunks(batch):
-            fps = wide_fingerprints(texts_of(part)).view(np.int64)
-            cols = [part.column("doc_id"), *[pa.array(np.ascontiguousarray(fps[:, k])) for k in range(WIDE_WORDS)]]
-            yield pa.RecordBatch.from_arrays(cols, ["id", *WIDE])
-
-
-def _wide_rows(nodes: DataFrame) -> DataFrame:
-    """32 rows per fingerprint: (key: a half of a band with its 8 bits, the band, the id, the fingerprint)."""
-    halves = []
-    for n in range(WIDE_WORDS * 64 // BAND_BITS):
-        word, at = divmod(n * BAND_BITS, 64)
-        band = F.shiftrightunsigned(WIDE[word], at).bitwiseAND(F.lit((1 << BAND_BITS) - 1))
-        for h, half in enumerate((band.bitwiseAND(F.lit(255)), F.shiftright(band, 8))):
-            halves.append(F.struct((F.lit((2 * n + h) * 256) + half).alias("key"), band.alias("band")))
-    return nodes.select("id", *WIDE, F.explode(F.array(*halves)).alias("r")).select("r.key", "r.band", "id", *WIDE)
-
-
-def _wide_edges(distance: int):
-    def edges(table: pa.Table) -> pa.RecordBatch:
-        fps = np.stack([table.column(f).to_numpy() for f in WIDE], axis=1).view(np.uint64)
-        band = table.column("band").to_numpy().astype(np.uint64)
-        index = GrayIndex(table.column("key").to_numpy(), band)
-        root = np.arange(len(band))
-
-        def close() -> Iterator[tuple[np.ndarray, np.ndarray]]:
-            for a, b in index.links(BAND_DISTANCE, closure=False):
-                near = np.bitwise_count(fps[a] ^ fps[b]).sum(axis=1) <= distance
-                yield a[near], b[near]
-
-        root = forest(len(band), close())
-        return _tree(root, table.column("id").to_numpy())
-
-    return edges
-
-
-def similar_groups(docs: DataFrame, distance: int = WIDE_DISTANCE, hot: int = HOT_KEY) -> DataFrame:
-    """(node, root): documents whose five-word shingle sets are estimated at 0.8 or more alike, by least doc_id.
-
-    Texts without words and rows with a null id are in no group. Equal ids are one node. Equal fingerprints meet
-    in one row before any search; a key with more than ``hot`` of them is compared chunk by chunk.
-    """
-    usable = docs.where(F.col("doc_id").isNotNull() & F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
-    fields = ", ".join(f"{c} long" for c in ["id", *WIDE])
-    table = staged(usable.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_wide_table, fields))
-    nodes = staged(table.groupBy(*WIDE).agg(F.min("id").alias("id")))
-    equal = table.withColumnRenamed("id", "b").join(nodes.withColumnRenamed("id", "a"), WIDE).where("a <> b").select("a", "b")
-    rows = _wide_rows(nodes)
-    # a key is one of 32 halves with 8 bits: the table of crowded keys has 8,192 rows at most
-    rows = chunked(rows, F.broadcast(crowded(rows, hot)), ["id"])
-    edges = rows.repartition("key").sortWithinPartitions("key").mapInArrow(_by_keys(_wide_edges(distance)), "a long, b long")
-    return components(edges.unionByName(equal))
-
-
-# ---------------------------------------------------------------- exact similarity of 0.8 or more
-
 #: Keys of a text and least hashes in a key: shingle sets of similarity J share a key with chance 1 - (1 - J^4)^24,
 #: which is 0.999997 at 0.8.
 KEYS, PER_HASH = 24, 4
@@ -414,8 +354,14 @@ def _keyed_table(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             texts = texts_of(part)
             fps = wide_fingerprints(texts).view(np.int64)
             keys = key_hashes(texts).view(np.int64)
-            cols = [part.column("doc_id"), *[pa.array(np.ascontiguousarray(fps[:, k])) for k in range(WIDE_WORDS)], pa.array(list(keys), pa.list_(pa.int64()))]
-            yield pa.RecordBatch.from_arrays(cols, ["id", *WIDE, "keys"])
+            cols = [part.column("doc_id"), pa.array([hashlib.sha256(t).digest() for t in texts], pa.binary())]
+            cols += [*[pa.array(np.ascontiguousarray(fps[:, k])) for k in range(WIDE_WORDS)], pa.array(list(keys), pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(cols, ["doc_id", "sha", *WIDE, "keys"])
+
+
+def text_sha(text: Column) -> Column:
+    """The identity of a text (binary SHA-256); null counts as empty."""
+    return F.unhex(F.sha2(F.coalesce(text, F.lit("")).cast("binary"), 256))
 
 
 def _loose_edges(distance: int):
@@ -440,18 +386,29 @@ def _loose_edges(distance: int):
     return edges
 
 
-def loose_groups(docs: DataFrame, distance: int = LOOSE_DISTANCE, hot: int = HOT_KEY) -> DataFrame:
+def text_nodes(docs: DataFrame) -> DataFrame:
+    """(id, sha, low, fingerprint, keys): one row per distinct text with words, equal ones met map-side.
+
+    ``low`` is the least doc_id of the text (null only if no row has an id). Ids ascend with (low, sha), nulls last,
+    so the least id of a group is the text that stays.
+    """
+    usable = docs.where(F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
+    fields = ", ".join(["doc_id long", "sha binary", *[f"{c} long" for c in WIDE], "keys array<long>"])
+    table = usable.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_keyed_table, fields)
+    same = table.groupBy("sha").agg(F.min("doc_id").alias("low"), *[F.first(c).alias(c) for c in (*WIDE, "keys")])
+    return staged(same.sort(F.col("low").asc_nulls_last(), "sha").select(F.monotonically_increasing_id().alias("id"), "*"))
+
+
+def loose_groups(nodes: DataFrame, distance: int = LOOSE_DISTANCE, hot: int = HOT_KEY) -> DataFrame:
     """(node, root): components of candidates, which share a key and differ in at most ``distance`` bits.
 
-    Rows with equal fingerprints and keys are one row of the search; a crowded key is compared chunk by chunk.
+    Texts with equal fingerprints and keys are one row of the search; a crowded key is compared chunk by chunk.
     """
-    usable = docs.where(F.col("doc_id").isNotNull() & F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
-    fields = ", ".join(f"{c} long" for c in ["id", *WIDE])
-    table = staged(usable.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_keyed_table, f"{fields}, keys array<long>"))
     same = [*WIDE, "keys"]
-    nodes = staged(table.groupBy(*same).agg(F.min("id").alias("id")))
-    equal = table.withColumnRenamed("id", "b").join(nodes.withColumnRenamed("id", "a"), same).where("a <> b").select("a", "b")
-    rows = nodes.select(F.explode("keys").alias("key"), "id", *WIDE)
+    firsts = staged(nodes.groupBy(*same).agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("n")))
+    often = firsts.where("n > 1").withColumnRenamed("id", "a").drop("n")
+    equal = nodes.withColumnRenamed("id", "b").join(often.hint("merge"), same).where("a <> b").select("a", "b")
+    rows = firsts.select(F.explode("keys").alias("key"), "id", *WIDE)
     rows = chunked(rows, F.broadcast(crowded(rows, hot)), ["id"])
     edges = rows.repartition("key").sortWithinPartitions("key").mapInArrow(_by_keys(_loose_edges(distance)), "a long, b long")
     return components(edges.unionByName(equal))
@@ -531,17 +488,51 @@ def _alike_edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield out()
 
 
-def alike_groups(docs: DataFrame, hot: int = HOT_KEY, most: int = SET_BYTES) -> DataFrame:
-    """(node, root): components, by least doc_id, of documents whose five-word shingle sets are 0.8 or more alike.
+def alike_nodes(docs: DataFrame, nodes: DataFrame, hot: int = HOT_KEY, most: int = SET_BYTES) -> DataFrame:
+    """(node, root): components, by least node id, of distinct texts whose five-word shingle sets are 0.8 or more alike.
 
     Fingerprints and keys only find the groups inside which all pairs are held against each other; an edge needs
-    an exact Jaccard similarity of 0.8. Texts without words and rows with a null id are in no group.
+    an exact Jaccard similarity of 0.8.
     """
-    loose = loose_groups(docs, hot=hot).withColumnRenamed("root", "key")
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").where(F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
-    rows = texts.join(loose, F.col("id") == F.col("node")).select("key", "id", "text")
-    rows = staged(rows.mapInArrow(_set_table, "key long, id long, shingles binary"))
+    loose = loose_groups(nodes, hot=hot).select(F.col("node").alias("id"), F.col("root").alias("key"))
+    asked = staged(nodes.select("id", "sha", "low").join(loose.hint("merge"), "id").select("id", "key", "sha", "low"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("low"), text_sha(F.col("text")).alias("sha"), "text")
+    # one row of every asked text: that of its least id (equal rows give equal sets, of which one is kept)
+    rows = texts.hint("merge").join(asked, texts["low"].eqNullSafe(asked["low"]) & (texts["sha"] == asked["sha"])).select("key", "id", "text")
+    rows = staged(rows.mapInArrow(_set_table, "key long, id long, shingles binary").dropDuplicates(["key", "id"]))
     bytes_ = F.sum(F.octet_length("shingles"))
     big = rows.groupBy("key").agg(bytes_.alias("n")).where(F.col("n") > most).select("key", F.ceil(2 * F.col("n") / most).alias("chunks"))
     rows = chunked(rows, F.broadcast(big), ["id"])
     return components(rows.repartition("key").sortWithinPartitions("key").mapInArrow(_alike_edges, "a long, b long"))
+
+
+def alike_groups(docs: DataFrame, hot: int = HOT_KEY, most: int = SET_BYTES) -> DataFrame:
+    """(node, root) by doc_id of the groups of ``alike_nodes``: each text's least id and that of its group's first text."""
+    nodes = text_nodes(docs)
+    names = nodes.select("id", "low")
+    groups = alike_nodes(docs, nodes, hot, most)
+    return (
+        groups.join(names.select(F.col("id").alias("node"), F.col("low").alias("n")), "node")
+        .join(names.select(F.col("id").alias("root"), F.col("low").alias("r")), "root")
+        .select(F.col("n").alias("node"), F.col("r").alias("root"))
+    )
+
+
+def one_of_each(docs: DataFrame, hot: int = HOT_KEY, most: int = SET_BYTES) -> DataFrame:
+    """The rows of ``docs`` but for near duplicates: of each group of texts that are 0.8 or more alike one row stays.
+
+    The row that stays has the least doc_id (null ids last; of one id the text with the least SHA-256). Rows equal in
+    id and text are one document. Rows of one id with other texts are documents of their own. Texts without words
+    (null, empty, blank) are in no group and stay. An empty table gives an empty result. All columns are kept,
+    whatever their names.
+    """
+    nodes = text_nodes(docs)
+    gone = alike_nodes(docs, nodes, hot, most).where("node <> root").select(F.col("node").alias("id"))
+    stays = nodes.join(gone.hint("merge"), "id", "left_anti").select("low", "sha")
+    key = free_name(docs, "key")
+    stays = stays.select(row_key(F.col("low"), F.lower(F.hex("sha"))).alias(key))
+    wordy = F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]")
+    mine = row_key(F.col("doc_id").cast("long"), F.sha2(F.coalesce(F.col("text"), F.lit("")).cast("binary"), 256))
+    keyed = docs.select("*", F.when(wordy, mine).alias(key))
+    kept = keyed.where(F.col(key).isNotNull()).hint("merge").join(stays, key, "left_semi").dropDuplicates([key])
+    return kept.unionByName(keyed.where(F.col(key).isNull())).select(*docs.columns)

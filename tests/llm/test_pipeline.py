@@ -2,11 +2,8 @@
 
 import random
 
-import numpy as np
-
 import corpus_pipeline as cp
 from pointveil.llm.secrets import mask
-from pointveil.llm.simhash import WIDE_DISTANCE, similar_groups, wide_fingerprints
 
 COLUMNS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -36,17 +33,44 @@ def test_near_stage_keeps_one_of_each_group(spark, tmp_path):
     assert cp.near_stage(spark, docs.limit(0), "").count() == 0
 
 
-def test_wide_search_matches_brute_force(spark):
-    base = [text(100 + i, 120) for i in range(6)]
-    texts = [edited(b, s, k) for b in base for s, k in enumerate((0, 1, 2, 3, 4, 6, 9))]
-    fps = wide_fingerprints([t.encode() for t in texts])
-    near = np.bitwise_count(fps[:, None] ^ fps[None]).sum(axis=2) <= WIDE_DISTANCE
-    root = list(range(len(texts)))
-    for _ in texts:
-        root = [min(root[j] for j in np.flatnonzero(near[i])) for i in range(len(texts))]
-    for hot in (20_000, 4):  # 4: keys are compared chunk by chunk
-        got = {r.node: r.root for r in similar_groups(table(spark, texts), hot=hot).collect()}
-        assert [got.get(i, i) for i in range(len(texts))] == root
+CLASHES = ["key", "KEY_", "row_key", "row_key_", "cuts_", "cuts", "id", "sha", "low", "f0", "keys", "chunks", "kind", "size", "data", "name", "label", "part", "batch_id"]
+
+
+def clashing(spark, rows):
+    """(doc_id, text) rows with further columns whose names the stages might use."""
+    given = [(i, t, "en", "s", len(t or ""), *[n] * len(CLASHES)) for n, (i, t) in enumerate(rows)]
+    return spark.createDataFrame(given, COLUMNS + ", " + ", ".join(f"`{c}` long" for c in CLASHES))
+
+
+def kept_rows(df):
+    """(doc_id, text, row number) of every row; all further columns must hold the row's number."""
+    rows = [r.asDict() for r in df.collect()]
+    assert all(len({r[c] for c in CLASHES}) == 1 for r in rows)
+    return sorted(((r["doc_id"], r["text"], r["key"]) for r in rows), key=str)
+
+
+def test_repeated_ids_are_documents_of_their_own(spark):
+    base, other = text(1), text(2)
+    rows = [(1, base), (2, base + " more"), (2, other), (2, other), (None, base), (None, "alone here"), (3, None), (3, ""), (3, None)]
+    got = kept_rows(cp.near_stage(spark, clashing(spark, rows), ""))
+    assert sorted(str(r[:2]) for r in got) == sorted(map(str, [(1, base), (2, other), (None, "alone here"), (3, None), (3, ""), (3, None)]))
+
+
+def test_clashing_columns_keep_their_values(spark):
+    rows = [(1, "same"), (2, "same"), (2, "same"), (None, "same"), (4, "token=abcdefgh x"), (4, "token=abcdefgh x"), (5, None), (None, None)]
+    docs = clashing(spark, rows)
+    exact = kept_rows(cp.exact_stage(spark, docs, ""))
+    assert [r[:2] for r in exact] == [(2, "same"), (4, "token=abcdefgh x"), (5, None)] and all(rows[n] == (i, t) for i, t, n in exact)
+    masked = kept_rows(cp.secret_stage(spark, docs, ""))
+    assert [r[1] for r in masked if r[0] == 4] == ["<assign> x"] * 2 and len(masked) == len(rows)
+    assert cp.exact_stage(spark, docs, "").columns == docs.columns == cp.secret_stage(spark, docs, "").columns
+    assert cp.packing_stage(spark, docs, "").count() == len(rows)
+
+
+def test_near_stage_takes_long_and_hot_texts(spark):
+    long = text(7, 60_000)
+    rows = [(i, "hot " * 30 + "text") for i in range(50)] + [(60, long), (61, long + " end")]
+    assert [r[0] for r in kept_rows(cp.near_stage(spark, clashing(spark, rows), ""))] == [0, 60]
 
 
 def test_exact_stage(spark):

@@ -19,6 +19,7 @@ from .webp_planes import CACHE_FACTOR, DISTANCES, GREEN, LENGTH_ORDER, LENGTHS,
 OTHER = 1 << 40
 #: Bit positions that are looked at together.
 STRETCH = 1 << 16
+_EIGHT = np.arange(8)
 
 
 class Bits:
@@ -27,7 +28,7 @@ class Bits:
     def __init__(self, data: bytes):
         self.data, self.at, self.end = data, 0, 8 * len(data)
         padded = data + bytes(32)
-        self.raw = np.ndarray(len(data) + 24, dtype="<u4", buffer=padded, strides=(1,)).astype(np.uint32)
+        self.raw = np.ndarray(len(data) + 24, dtype="<u4", buffer=padded, strides=(1,)).astype(np.int64)
         self.words = np.ndarray(len(data) + 8, dtype="<u8", buffer=padded, strides=(1,)).tolist()
 
     def read(self, n: int) -> int:
@@ -191,8 +192,8 @@ def read_pixels(bits: Bits, width: int, height: int, main: bool, tally: dict[str
 
 def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cache: int, tally: dict[str, int] | None) -> np.ndarray:
     """The pixels of an image with one code group."""
-    sizes = [p.sizes.astype(np.int32) for p in group[:4]]
-    masks = [np.uint32((1 << p.depth) - 1) for p in group]
+    sizes = [p.sizes for p in group[:4]]
+    masks = [(1 << p.depth) - 1 for p in group]
     literal = group[0].symbols < GREEN  # three channels follow; after a cached colour nothing; -1 marks a reference
     refers = ~literal & (group[0].symbols < GREEN + LENGTHS)
     distance, distance_m = group[4].table(0)
@@ -207,14 +208,18 @@ def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cac
         # the next 16 bits of every position from ``at``, and some beyond for symbols that begin inside the stretch
         first = at >> 3
         bytes_n = min(len(bits.raw) - first, (span + 64 >> 3) + 2)
-        looks = (np.repeat(bits.raw[first : first + bytes_n], 8) >> np.tile(np.arange(8, dtype=np.uint32), bytes_n))[at & 7 :]
+        looks = (np.repeat(bits.raw[first : first + bytes_n], 8) >> np.tile(_EIGHT, bytes_n))[at & 7 :]
+        spots = np.arange(len(looks))
         index = looks[:span] & masks[0]
-        goal = np.arange(span, dtype=np.int32) + sizes[0][index]
-        step = goal.copy()
-        if any(len(z) > 1 for z in sizes[1:]):
-            for mask, z in zip(masks[1:4], sizes[1:]):
-                step += z[looks[step] & mask]
-            step = np.where(literal[index], step, goal)
+        goal = spots[:span] + sizes[0][index]
+        step, follow = goal, None
+        for k in (1, 2, 3):
+            if len(sizes[k]) == 1:
+                continue
+            if follow is None or group[k] is not group[k - 1]:
+                follow = spots + sizes[k][looks & masks[k]]
+            step = follow[step]
+        step = goal.copy() if step is goal else np.where(literal[index], step, goal)
         if some:
             step[refers[index]] = -1
         step = memoryview(np.ascontiguousarray(step))
@@ -242,7 +247,7 @@ def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cac
             left -= run
             here = bits.at - at
         if seen:
-            where = np.array(seen, dtype=np.int64)
+            where = np.array(seen)
             spot = held + np.arange(len(seen))
             for count, run in gaps:
                 spot[count:] += run
@@ -262,7 +267,7 @@ def _place(looks, where, goal, group, masks, literal, cache, spot, value, slot)
     """Values of the literals and slots of the cached colours that begin at the bits ``where``."""
     index = looks[where] & masks[0]
     symbol, is_literal = group[0].symbols[index], literal[index]
-    lit, at = is_literal.nonzero()[0], goal[where].astype(np.int64)
+    lit, at = is_literal.nonzero()[0], goal[where]
     at, pixel = at[lit], symbol[lit] << 8
     for prefix, mask, shift in zip(group[1:4], masks[1:4], (16, 0, 24)):
         index = looks[at] & mask
@@ -412,4 +417,4 @@ def decode(data: bytes, tally: dict[str, int] | None = None) -> np.ndarray:
             split = (index[:, :, None] >> (n * np.arange(1 << block))) & ((1 << n) - 1)
             index = split.reshape(height, -1)[:, :before].ravel()
             argb = np.where(index < len(extra), extra[np.minimum(index, len(extra) - 1)], np.uint32(0))
-    return np.stack(channels(argb), axis=1).astype(np.uint8).reshape(height, width, 4)
+    return np.ascontiguousarray(argb.astype("<u4", copy=False).view(np.uint8).reshape(height, width, 4)[:, :, ::-1])

@@ -41,11 +41,18 @@ class _Out:
             self.values, self.widths = [], []
 
     def bytes(self) -> bytes:
+        """All bits, in 64-bit words: a value lies in the word of its first bit, and what is over in the next."""
         self._close()
         values, widths = (np.concatenate(x) for x in zip(*self.parts))
         ends = widths.cumsum()
-        nth = np.arange(ends[-1]) - np.repeat(ends - widths, widths)
-        return np.packbits((np.repeat(values, widths) >> nth & 1).astype(np.uint8), bitorder="little").tobytes()
+        start, values = ends - widths, values.astype(np.uint64)
+        word, shift = start >> 6, (start & 63).astype(np.uint64)
+        heads = np.concatenate([[0], (word[1:] != word[:-1]).nonzero()[0] + 1])
+        out = np.zeros((int(ends[-1]) >> 6) + 2, dtype=np.uint64)
+        out[word[heads]] = np.bitwise_or.reduceat(values << shift, heads)
+        over = ((start & 63) + widths > 64).nonzero()[0]
+        out[word[over] + 1] |= values[over] >> (np.uint64(64) - shift[over])
+        return out.astype("<u8", copy=False).tobytes()[: -(-int(ends[-1]) // 8)]
 
 
 def code_lengths(counts: np.ndarray, most: int) -> np.ndarray:
@@ -213,15 +220,10 @@ def _near_codes(width: int) -> np.ndarray:
     return near
 
 
-def _entropy(counts: np.ndarray) -> float:
-    """Bits of all symbols under the best code."""
-    counts = counts[counts > 0]
-    return float((counts * np.log2(counts.sum() / counts)).sum()) if len(counts) else 0.0
-
-
-def _alike(counts: list[np.ndarray]) -> bool:
-    """Whether one code for the three channels costs at most a twentieth more."""
-    return _entropy(counts[0] + counts[1] + counts[2]) <= 1.05 * sum(map(_entropy, counts))
+def _alike(counts: list[np.ndarray], n: int) -> bool:
+    """Whether one code suits the three channels: their histograms of ``n`` samples are about as far apart as chance has it."""
+    r, b, a = counts
+    return int(np.abs(r - b).sum() + np.abs(b - a).sum()) <= 1.2 * n
 
 
 def write_pixels(out: _Out, argb: np.ndarray, width: int, cache: int = 0, refs: bool = False, main: bool = False, groups: int = 1, block: int = 2) -> None:
@@ -259,7 +261,7 @@ def write_pixels(out: _Out, argb: np.ndarray, width: int, cache: int = 0, refs:
         code = Code(np.bincount(first[mine], minlength=alphabet))
         out.put_list(*code.told)
         values[mine, 0], widths[mine, 0] = code.bits[first[mine]], code.widths[first[mine]]
-        codes = [Code(counts[0] + counts[1] + counts[2])] * 3 if _alike(counts) else [Code(c) for c in counts]
+        codes = [Code(counts[0] + counts[1] + counts[2])] * 3 if _alike(counts, int(counts[0].sum())) else [Code(c) for c in counts]
         for k, (c, code) in enumerate(zip((r, b, a), codes), 1):
             out.put_list(*code.told)
             values[plain, k], widths[plain, k] = code.bits[c[plain]], code.widths[c[plain]]
@@ -268,7 +270,9 @@ def write_pixels(out: _Out, argb: np.ndarray, width: int, cache: int = 0, refs:
         values[ref[to], 2], widths[ref[to], 2] = code.bits[reach[to]], code.widths[reach[to]]
     values[ref, 1], widths[ref, 1] = size_bits, size_n
     values[ref, 3], widths[ref, 3] = reach_bits, reach_n
-    out.put_all(values.ravel(), widths.ravel())
+    # the four parts of a symbol are at most 50 bits together
+    at = widths.cumsum(axis=1) - widths
+    out.put_all((values << at).sum(axis=1), widths.sum(axis=1))
 
 
 def encode(pixels: np.ndarray, palette: bool = False, predictor: int | None = None, cross_colour: tuple[int, int, int] | None = None,
@@ -341,17 +345,27 @@ def _less_green(argb: np.ndarray) -> np.ndarray:
 # ---------------------------------------------------------------- choosing transforms
 
 
+#: n log2 n of the first counts.
+_N_LOG_N = np.concatenate([[0.0], np.arange(1, 1 << 12) * np.log2(np.arange(1, 1 << 12))])
+
+
 def _cost(samples: np.ndarray) -> float:
     """Bits of 8-bit samples under one code."""
-    return _entropy(np.bincount(samples.ravel(), minlength=256))
+    n = samples.size
+    counts = np.bincount(samples.ravel(), minlength=256)
+    each = _N_LOG_N[counts] if n < len(_N_LOG_N) else counts * np.log2(np.maximum(counts, 1))
+    return n * float(np.log2(max(1, n))) - float(each.sum())
 
 
 def _slope(x: np.ndarray, y: np.ndarray) -> int:
-    """The cross-colour factor (32nds) that takes most of ``y`` off by signed ``x``."""
+    """The cross-colour factor (32nds) that takes most of ``y`` off by signed ``x``; 0 where that is under a tenth."""
     x, y = x.view(np.int8).astype(np.float64), y.view(np.int8).astype(np.float64)
     x -= x.mean()
-    spread = float((x * x).sum())
-    return int(np.clip(round(32 * float((x * y).sum()) / spread), -128, 127)) if spread else 0
+    y -= y.mean()
+    spread, common, whole = float((x * x).sum()), float((x * y).sum()), float((y * y).sum())
+    if common * common <= 0.1 * spread * whole:
+        return 0
+    return int(np.clip(round(32 * common / spread), -128, 127))
 
 
 def chosen(pixels: np.ndarray, cache: int) -> dict:
@@ -367,14 +381,15 @@ def chosen(pixels: np.ndarray, cache: int) -> dict:
         apart = p.copy()
         apart[step:] -= p[:-step]
         choices.append(({"predictor": mode}, 100 + _cost(apart)))
-    a, r, g, b = (np.ascontiguousarray(p[:, k]) for k in range(4))
+    r, g, b = (np.ascontiguousarray(p[:, k]) for k in (1, 2, 3))
     factors = (_slope(g, r), _slope(g, b), 0)
     if any(factors):
         argb = p[:, ::-1].copy().view("<u4").ravel()
         left = cross(argb, width, WIDE_BLOCK, np.full((len(p) // (width << WIDE_BLOCK) + 1) * (-(-width >> WIDE_BLOCK)), _factor_word(factors), dtype=np.uint32), False)
         choices.append(({"cross_colour": factors}, 100 + _cost(left.view(np.uint8).reshape(-1, 4))))
-    table, index = np.unique(p.view("<u4").ravel(), return_inverse=True)
-    if len(table) <= 256:
+    words = np.sort(p.view("<u4").ravel())
+    if np.count_nonzero(words[1:] != words[:-1]) < 256:
+        table, index = np.unique(p.view("<u4").ravel(), return_inverse=True)
         steps = np.diff(np.concatenate([[[0] * 4], table.view(np.uint8).reshape(-1, 4)]), axis=0) & 255
         choices.append(({"palette": True}, 200 + _cost(steps) + _cost(channels(_packed(index, width, len(table))[0])[2])))
     best = min(choices, key=lambda c: c[1])[0]

@@ -37,10 +37,12 @@ def panel(people: DataFrame, k: Knowledge, by_hour: np.ndarray, dwell_min: np.nd
 
     by_hour: places x 24 weights; dwell_min: sampled dwell minutes. Ends early if nothing is reachable or the day ends.
     """
-    shipped = k.shipped()
+    shipped, held = k.shipped(), []
 
     def one(person: str):
-        kernel = Kernel(shipped, cfg)
+        if not held:  # one per task
+            held.append(Kernel(shipped, cfg))
+        kernel = held[0]
         rng = np.random.default_rng(int(draw(cfg.seed, "panel", person) * 16**13))
         length, t = _length_and_start(rng, cfg)
         out: list = []
@@ -70,11 +72,13 @@ def event_of(person: int, n_people: int) -> int | None:
 
 def campus(people: DataFrame, k: Knowledge, categories: list[str], n_people: int, cfg: Cfg) -> DataFrame:
     """One trajectory per numbered person: gaps U(g_t, 120) minutes, random category then place, reachable next places."""
-    shipped = k.shipped()
+    shipped, held = k.shipped(), []
     cats = np.array(categories)
 
     def one(person: str):
-        kernel = Kernel(shipped, cfg)
+        if not held:  # one per task
+            held.append(Kernel(shipped, cfg))
+        kernel = held[0]
         rng = np.random.default_rng(int(draw(cfg.seed, "campus", person) * 16**13))
         length, t = _length_and_start(rng, cfg)
         planted = event_of(int(person), n_people)

@@ -241,8 +241,10 @@ class Kernel:
             out = smooth(k, p, t, cfg)
             if out is not None:
                 return p, out, True, tried
-        p = [p[0]] * len(p)
-        return p, smooth(k, p, t, cfg) or list(range(len(p))), True, tried
+        # nothing that opens and is reached in time was found: the drawn places at rising slots, told by -1 attempts
+        late = np.maximum.accumulate(np.array(t) - np.arange(len(t))) + np.arange(len(t))
+        late = np.minimum(late, cfg.slots - len(t) + np.arange(len(t)))
+        return p, late.tolist(), True, -1
 
     def _fill_chain(self, members, slots, rng) -> tuple[list[int], list[int]] | None:
         """A uniform feasible completion: counts of completions by a backward pass, then forward draws."""

@@ -1,8 +1,8 @@
 """The public knowledge of one city: places, regions, edges and the arrays kernels need.
 
 Everything here derives from public tables only and costs no budget. Sizes are checked before anything is
-broadcast: above ``dense_regions`` regions (or ``broadcast_rows`` rows) building stops and asks for a tile split,
-since one metro's public tables are what a task holds.
+broadcast: above ``dense_regions`` places or regions building stops, since one metro's public tables are what a task
+holds; larger areas are given metro by metro.
 """
 
 from __future__ import annotations

@@ -48,10 +48,12 @@ def run(method: str, traj: DataFrame, k: Knowledge, cfg: Cfg, budgets: DataFrame
     """Perturb and rebuild every trajectory by ``method``; ``budgets`` (traj_id, eps) gives personal budgets.
 
     One shuffle packs each trajectory; what follows is row-local in one mapInPandas over the broadcast public arrays.
-    Persist the result: a second evaluation with another seed would be a second release.
+    Without a seed in ``cfg`` every call draws a secret one, so two calls are two releases; the result of one call repeats
+    its draws wherever a task is run again. Persist it.
     """
     if method not in METHODS:
         raise ValueError(f"unknown method {method}")
+    cfg = cfg.secret()
     shared = traj.sparkSession.sparkContext.broadcast(k.shipped())
     rows = packed(traj, "poi_id", "t")
     rows = rows.join(budgets, "traj_id", "left") if budgets is not None else rows.withColumn("eps", F.lit(None).cast("double"))

@@ -5,6 +5,7 @@ Twins are built from shared common table expressions; Spark and SQL draw the sam
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,11 +16,12 @@ from .config import Cfg
 from .functions import distance as D
 from .functions import timeline
 from .functions.rng import uniform, uniform_sql
-from .operators import audit, budget, catalog, cost, expmech, hotspots, metrics, ngrams, ops, perturb, reach, rebuild, regions
+from .operators import audit, budget, catalog, cost, expmech, globalmech, hotspots, metrics, ngrams, ops, perturb, reach, rebuild, regions
 from .sources import scenarios as S
 from .sources.io import staged, table
 
-CFG = Cfg()
+#: The twins' seed is public; a release draws a secret one.
+CFG = Cfg(seed="7")
 SEED = CFG.seed
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -137,9 +139,9 @@ CTE |= {
     "toy_d": (["toy"], "SELECT a.node AS src, b.node AS dst, sqrt((a.x-b.x)*(a.x-b.x) + (a.y-b.y)*(a.y-b.y)) AS d FROM toy a, toy b"),
     "toy_edges": (["toy"], "SELECT a.node AS src, b.node AS dst FROM toy a JOIN toy b ON b.grp = a.grp OR b.grp = (a.grp + 1) % 5"),
     "toy_pairs": (["toy_d"], "SELECT src AS input, dst AS cand, d AS dist FROM toy_d"),
-    "toy_bigrams": (["toy_edges", "toy_d"], "SELECT i.src || '>' || i.dst AS input, o.src || '>' || o.dst AS cand, p.d + q.d AS dist FROM toy_edges i, toy_edges o, toy_d p, toy_d q WHERE i.src < 5 AND p.src = i.src AND p.dst = o.src AND q.src = i.dst AND q.dst = o.dst"),
-    # votes of three-point trajectories on the toy space
-    "toy_votes": (["valid"], "SELECT traj_id, pos, (length(poi_id) * 7 + t + pos * 3 + v) % 25 AS region_id FROM (SELECT * FROM valid WHERE traj_id IN (SELECT traj_id FROM valid GROUP BY 1 HAVING count(*) = 3)), (SELECT unnest([0, 11]) AS v)"),
+    "toy_bigrams": (["toy_edges", "toy_d"], "SELECT i.src || '>' || i.dst AS input, o.src || '>' || o.dst AS cand, p.d + q.d AS dist FROM toy_edges i, toy_edges o, toy_d p, toy_d q WHERE p.src = i.src AND p.dst = o.src AND q.src = i.dst AND q.dst = o.dst"),
+    # two votes for every point of the valid trajectories on the toy space
+    "toy_votes": (["valid"], "SELECT traj_id, pos, (length(poi_id) * 7 + t + pos * 3 + v) % 25 AS region_id FROM valid, (SELECT unnest([0, 11]) AS v)"),
     "toy_nodes": (["toy_votes", "toy_d"], "SELECT traj_id, pos, dst AS region_id, round(sum(k * d), 6) AS err FROM (SELECT traj_id, pos, region_id, count(*) AS k FROM toy_votes GROUP BY ALL) JOIN toy_d ON src = region_id GROUP BY traj_id, pos, dst"),
     "toy_bierr": (["toy_nodes", "toy_edges"], "SELECT a.traj_id, a.pos, e.src, e.dst, round(a.err + b.err, 6) AS err FROM toy_nodes a JOIN toy_edges e ON e.src = a.region_id JOIN toy_nodes b ON b.traj_id = a.traj_id AND b.pos = a.pos + 1 AND b.region_id = e.dst"),
     "shop": (
@@ -307,10 +309,10 @@ def dist_category_pairs(spark, d):
     return n.join(F.broadcast(n.withColumnRenamed("a", "b"))).select("a", "b", D.category(F.col("a"), F.col("b")).alias("d_c"))
 
 
-@query(sql(f"SELECT x.region_id AS a, y.region_id AS b, round(sqrt(pow({HAV('x.clat', 'x.clon', 'y.clat', 'y.clon')}, 2) + pow(least(abs(x.tmid - y.tmid), 12.0), 2) + pow({D.category_sql('x.node', 'y.node')}, 2)), 6) AS d FROM described x, described y WHERE x.region_id < 40", "described"))
+@query(sql(f"SELECT x.region_id AS a, y.region_id AS b, round(sqrt(pow({HAV('x.clat', 'x.clon', 'y.clat', 'y.clon')}, 2) + pow(least(abs(x.tmid - y.tmid), 12.0), 2) + pow({D.category_sql('x.node', 'y.node')}, 2)), 6) AS d FROM described x, described y", "described"))
 def dist_combined_pairs(spark, d):
     _, r, _ = _described(spark, d)
-    x = r.where("region_id < 40").select(F.col("region_id").alias("a"), F.col("clat").alias("a1"), F.col("clon").alias("a2"), F.col("tmid").alias("a3"), F.col("node").alias("a4"))
+    x = r.select(F.col("region_id").alias("a"), F.col("clat").alias("a1"), F.col("clon").alias("a2"), F.col("tmid").alias("a3"), F.col("node").alias("a4"))
     y = r.select(F.col("region_id").alias("b"), F.col("clat").alias("b1"), F.col("clon").alias("b2"), F.col("tmid").alias("b3"), F.col("node").alias("b4"))
     c = D.combined(D.haversine_km(F.col("a1"), F.col("a2"), F.col("b1"), F.col("b2")), D.time_h(F.col("a3"), F.col("b3")), D.category(F.col("a4"), F.col("b4")))
     return x.join(F.broadcast(y)).select("a", "b", F.round(c, 6).alias("d"))
@@ -431,7 +433,7 @@ def _toy_pairs(spark, d):
 
 def _toy_bigrams(spark, d):
     e, t = _toy_edges(spark, d), _toy_d(spark, d)
-    i = e.where("src < 5").select(F.col("src").alias("i1"), F.col("dst").alias("i2"))
+    i = e.select(F.col("src").alias("i1"), F.col("dst").alias("i2"))
     o = e.select(F.col("src").alias("o1"), F.col("dst").alias("o2"))
     p = t.select(F.col("src").alias("i1"), F.col("dst").alias("o1"), F.col("d").alias("d1"))
     q = t.select(F.col("src").alias("i2"), F.col("dst").alias("o2"), F.col("d").alias("d2"))
@@ -488,13 +490,64 @@ def subsample_draw(spark, d):
     return expmech.draw_subsample(_keyed(spark, d), ["key"], 4.0, _DIAM, SEED, 0.5)
 
 
+#: The whole-trajectory mechanism on a toy: every rising sequence of three (node, slot of four) pairs along the edges
+#: is an output; one input stays at each node. A trajectory's distance is the sum of grid distance and slots apart.
+_ALL_DELTA, _ALL_EPS, _ALL_OUT = 3 * (_DIAM + 3), 40.0, 25 * 10 * 10 * 4
+_STEP = "({b}.node % 5 = {a}.node % 5 OR {b}.node % 5 = ({a}.node % 5 + 1) % 5) AND {b}.t > {a}.t"
+_APART = "sqrt(pow(i.node % 5 - {o}.node % 5, 2) + pow(i.node // 5 - {o}.node // 5, 2)) + abs({n} - {o}.t)"
+CTE["toy_points"] = (["toy"], "SELECT node, t FROM toy, (SELECT unnest(range(4)) AS t)")
+CTE["toy_all"] = (
+    ["toy_points", "toy"],
+    f"""SELECT i.node AS input, concat(a.node, '@', a.t, '>', b.node, '@', b.t, '>', c.node, '@', c.t) AS cand, {_APART.format(o='a', n=0)} + {_APART.format(o='b', n=1)} + {_APART.format(o='c', n=2)} AS dist
+        FROM toy i, toy_points a JOIN toy_points b ON {_STEP.format(a='a', b='b')} JOIN toy_points c ON {_STEP.format(a='b', b='c')}""",
+)
+
+
+def _toy_all(spark, d):
+    toy = _toy(spark, d).select("node")
+    points = toy.select("node", F.explode(F.sequence(F.lit(0), F.lit(3))).alias("t"))
+
+    def follows(a, b):
+        return ((b["node"] % 5 == a["node"] % 5) | (b["node"] % 5 == (a["node"] % 5 + 1) % 5)) & (b["t"] > a["t"])
+
+    inputs = toy.select(F.col("node").alias("input"), F.transform(F.sequence(F.lit(0), F.lit(2)), lambda t: F.struct(F.col("node").alias("node"), t.alias("t"))).alias("points"))
+    return inputs, globalmech.enumerate_outputs(points, 3, follows)
+
+
+def _toy_apart(x, y):
+    return F.sqrt(F.pow(x["node"] % 5 - y["node"] % 5, 2) + F.pow(F.floor(x["node"] / 5) - F.floor(y["node"] / 5), 2)) + F.abs(x["t"] - y["t"])
+
+
+def _global_form(name: str, form: str, score: str, kept: str):
+    def run(spark, d):
+        return globalmech.run(*_toy_all(spark, d), _toy_apart, _ALL_EPS, _ALL_DELTA, SEED, form, 0.5)
+
+    run.__name__ = name
+    return query(sql(f"SELECT input, arg_max(cand, -{_ALL_EPS} * dist / (2 * {_ALL_DELTA}) - {score}) AS chosen FROM toy_all {kept} GROUP BY input", "toy_all"))(run)
+
+
+_ALL_U = uniform_sql("'7'", "input::VARCHAR", "cand")
+_global_form("global_literal", "em", f"ln(-ln({_ALL_U}))", "")
+_global_form("global_subsample", "subsample", f"ln(-ln({_ALL_U}))", f"WHERE {uniform_sql(chr(39) + '7' + chr(39), chr(39) + 'sample' + chr(39), 'cand')} < 0.5")
+_global_form("global_flip", "flip", "ln(" + uniform_sql("'7'", "input::VARCHAR", "cand", "'flip'") + ")", "")
+_ALL_TAIL = globalmech.tail_bound(3, _DIAM + 3, _ALL_EPS, _ALL_OUT, 1.0)
+
+
+@query(sql(f"SELECT input, round(sum(CASE WHEN dist >= low + {_ALL_TAIL} THEN p ELSE 0 END), 9) AS mass, mass <= exp(-1.0) AS ok FROM (SELECT *, min(dist) OVER (PARTITION BY input) AS low FROM ({_LAW.format(e=_ALL_EPS, dl=_ALL_DELTA, src='toy_all')})) GROUP BY input", "toy_all"))
+def global_tail(spark, d):
+    """The whole-trajectory draw's mass past its loss bound."""
+    law = expmech.law(globalmech.distances(*_toy_all(spark, d), _toy_apart), ["input"], _ALL_EPS, _ALL_DELTA)
+    far = law.withColumn("low", F.min("dist").over(W.partitionBy("input"))).groupBy("input").agg(F.round(F.sum(F.when(F.col("dist") >= F.col("low") + _ALL_TAIL, F.col("p")).otherwise(0.0)), 9).alias("mass"))
+    return far.select("input", "mass", (F.col("mass") <= float(math.exp(-1.0))).alias("ok"))
+
+
 @query(sql(f"SELECT input, split_part(cand, '>', 1)::BIGINT AS first, round(sum(p), 6) AS p FROM ({_LAW.format(e=2.0, dl=2 * _DIAM, src='toy_bigrams')}) GROUP BY ALL", "toy_bigrams"))
 def chain_first_marginal(spark, d):
     """The first node's law without any bigram made: node weight times the weights its edges lead to."""
     w = _toy_d(spark, d).withColumn("w", F.exp(-2.0 * F.col("d") / (2 * 2 * _DIAM)))
     e = _toy_edges(spark, d)
     after = w.select(F.col("src").alias("i2"), F.col("dst").alias("o2"), "w").join(F.broadcast(e.select(F.col("src").alias("o1"), F.col("dst").alias("o2"))), "o2").groupBy("i2", "o1").agg(F.sum("w").alias("beta"))
-    i = e.where("src < 5").select(F.col("src").alias("i1"), F.col("dst").alias("i2"))
+    i = e.select(F.col("src").alias("i1"), F.col("dst").alias("i2"))
     m = i.join(after, "i2").join(w.select(F.col("src").alias("i1"), F.col("dst").alias("o1"), F.col("w").alias("w1")), ["i1", "o1"])
     m = m.select(F.concat_ws(">", "i1", "i2").alias("input"), F.col("o1").alias("first"), (F.col("w1") * F.col("beta")).alias("m"))
     return m.select("input", "first", F.round(F.col("m") / F.sum("m").over(W.partitionBy("input")), 6).alias("p"))
@@ -515,9 +568,7 @@ def indep_free_draw(spark, d):
 
 
 def _toy_votes(spark, d):
-    v = _valid(spark, d)
-    three = v.withColumn("n", F.count(F.lit(1)).over(W.partitionBy("traj_id"))).where("n = 3")
-    both = three.select("traj_id", "pos", "poi_id", "t", F.explode(F.array(F.lit(0), F.lit(11))).alias("v"))
+    both = _valid(spark, d).select("traj_id", "pos", "poi_id", "t", F.explode(F.array(F.lit(0), F.lit(11))).alias("v"))
     return both.select("traj_id", "pos", ((F.length("poi_id") * 7 + F.col("t") + F.col("pos") * 3 + F.col("v")) % 25).cast("long").alias("region_id"))
 
 
@@ -550,9 +601,18 @@ def edge_error(spark, d):
     return rebuild.edge_error(node_error(spark, d), _toy_edges(spark, d))
 
 
-@query(sql("SELECT a.traj_id, min(round(a.err + b.err, 6)) AS cost FROM toy_bierr a JOIN toy_bierr b ON a.traj_id = b.traj_id AND a.dst = b.src WHERE a.pos = 1 AND b.pos = 2 GROUP BY a.traj_id", "toy_bierr"))
-def best_path_len3(spark, d):
-    return rebuild.best_path(edge_error(spark, d), 3).select("traj_id", "cost")
+@query(sql("""SELECT traj_id, cost FROM (WITH RECURSIVE walk AS (SELECT traj_id, pos, dst AS at, min(err) AS cost FROM toy_bierr WHERE pos = 1 GROUP BY ALL
+    UNION ALL (SELECT e.traj_id, e.pos, e.dst, min(round(w.cost + e.err, 6)) FROM walk w JOIN toy_bierr e ON e.traj_id = w.traj_id AND e.pos = w.pos + 1 AND e.src = w.at GROUP BY ALL))
+    SELECT traj_id, arg_max(cost, pos) AS cost FROM (SELECT traj_id, pos, min(cost) AS cost FROM walk GROUP BY ALL) GROUP BY traj_id)""", "toy_bierr"))
+def best_path(spark, d):
+    """The least path of every valid trajectory, all lengths: those of one length share a plan."""
+    err = edge_error(spark, d)
+    err = staged(err.withColumn("len", F.max("pos").over(W.partitionBy("traj_id")) + 1))
+    out = None
+    for length in range(2, 9):
+        one = rebuild.best_path(err.where(F.col("len") == length).drop("len"), length).select("traj_id", "cost")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query(sql("SELECT traj_id, (n * (len - 1))::BIGINT AS vars, ((n + 1) * (len - 1))::BIGINT AS cons FROM (SELECT traj_id, count(DISTINCT region_id) AS n, max(pos) AS len FROM toy_votes GROUP BY 1)", "toy_votes"))
@@ -563,16 +623,41 @@ def program_size(spark, d):
 
 
 _TRY = uniform_sql("'7'", "traj_id", "pos::VARCHAR", "attempt::VARCHAR")
+#: Attempts are made in rounds; only what is unsolved goes on. The last bound is the cap of all attempts.
+_ROUNDS = ((1, 64), (65, 2048), (2049, CFG.gamma))
+
+
+def _round_sql(n: int) -> str:
+    lo, hi = _ROUNDS[n]
+    left = "SELECT * FROM valid" + "".join(f" WHERE traj_id NOT IN (SELECT traj_id FROM r{m})" if m == 0 else f" AND traj_id NOT IN (SELECT traj_id FROM r{m})" for m in range(n))
+    return f"""r{n} AS MATERIALIZED (SELECT traj_id, min(attempt)::INTEGER AS attempt FROM (SELECT traj_id, attempt, bool_and(coalesce(s > b, true)) AS ok FROM (SELECT traj_id, attempt, s, lag(s) OVER (PARTITION BY traj_id, attempt ORDER BY pos) AS b
+        FROM (SELECT traj_id, pos, attempt, t // 36 * 36 + floor({_TRY} * 36)::INTEGER AS s FROM ({left}), (SELECT unnest(range({lo}, {hi + 1})) AS attempt))) GROUP BY ALL) WHERE ok GROUP BY traj_id)"""
 
 
-@query(sql(f"SELECT traj_id, min(attempt)::INTEGER AS attempt FROM (SELECT traj_id, attempt, bool_and(coalesce(s > b, true)) AS ok FROM (SELECT traj_id, attempt, s, lag(s) OVER (PARTITION BY traj_id, attempt ORDER BY pos) AS b FROM (SELECT traj_id, pos, attempt, t // 36 * 36 + floor({_TRY} * 36)::INTEGER AS s FROM valid, (SELECT unnest(range(1, 65)) AS attempt))) GROUP BY ALL) WHERE ok GROUP BY traj_id", "valid"))
+@query(sql(f"""SELECT traj_id, pos, CASE WHEN smoothed THEN min(least(t1, 143) - pos) OVER (PARTITION BY traj_id ORDER BY pos ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) + pos ELSE s END::INTEGER AS t, attempt, smoothed
+    FROM (WITH {", ".join(map(_round_sql, range(len(_ROUNDS))))}, solved AS ({" UNION ALL ".join(f"SELECT * FROM r{n}" for n in range(len(_ROUNDS)))})
+        SELECT *, max(s - pos) OVER (PARTITION BY traj_id ORDER BY pos) + pos AS t1 FROM (SELECT traj_id, pos, attempt, smoothed, t // 36 * 36 + floor({_TRY} * 36)::INTEGER AS s
+            FROM (SELECT v.*, coalesce(attempt, {CFG.gamma}) AS attempt, attempt IS NULL AS smoothed FROM valid v LEFT JOIN solved USING (traj_id))))""", "valid"))
 def fill_reject_first(spark, d):
-    """The first of 64 seeded time fills in six-hour bins whose slots rise."""
-    v = _valid(spark, d).select("traj_id", "pos", "t", F.explode(F.sequence(F.lit(1), F.lit(64))).alias("attempt"))
-    s = v.withColumn("s", F.floor(F.col("t") / 36) * 36 + F.floor(uniform(SEED, F.col("traj_id"), F.col("pos").cast("string"), F.col("attempt").cast("string")) * 36))
-    b = s.withColumn("ok", F.coalesce(F.col("s") > F.lag("s").over(W.partitionBy("traj_id", "attempt").orderBy("pos")), F.lit(True)))
-    good = b.groupBy("traj_id", "attempt").agg(F.min("ok").alias("ok")).where("ok")
-    return good.groupBy("traj_id").agg(F.min("attempt").alias("attempt"))
+    """Seeded time fills in six-hour bins: the first attempt whose slots rise, up to gamma attempts; then smoothed times."""
+    valid = _valid(spark, d).select("traj_id", "pos", "t")
+
+    def slot(attempt):
+        return (F.floor(F.col("t") / 36) * 36 + F.floor(uniform(SEED, F.col("traj_id"), F.col("pos").cast("string"), attempt.cast("string")) * 36)).cast("int")
+
+    left, solved = valid, None
+    for n, (lo, hi) in enumerate(_ROUNDS):
+        tries = left.withColumn("attempt", F.explode(F.sequence(F.lit(lo), F.lit(hi)))).withColumn("s", slot(F.col("attempt")))
+        rising = F.coalesce(F.col("s") > F.lag("s").over(W.partitionBy("traj_id", "attempt").orderBy("pos")), F.lit(True))
+        good = tries.withColumn("ok", rising).groupBy("traj_id", "attempt").agg(F.min("ok").alias("ok")).where("ok")
+        first = staged(good.groupBy("traj_id").agg(F.min("attempt").alias("attempt")))
+        solved = first if solved is None else solved.unionByName(first)
+        left = left if n == len(_ROUNDS) - 1 else staged(left.join(first, "traj_id", "left_anti"))
+    filled = valid.join(solved, "traj_id", "left").withColumn("smoothed", F.col("attempt").isNull()).withColumn("attempt", F.coalesce("attempt", F.lit(CFG.gamma)))
+    filled = filled.withColumn("t", slot(F.col("attempt"))).withColumn("poi_id", F.lit(None).cast("string"))
+    late = rebuild.smooth_times(filled.where("smoothed").withColumn("need", F.when(F.col("pos") == 1, 0).otherwise(1)))
+    late = late.select("traj_id", "pos", "t").join(filled.select("traj_id", "pos", "attempt", "smoothed"), ["traj_id", "pos"])
+    return filled.where("NOT smoothed").select("traj_id", "pos", "t", "attempt", "smoothed").unionByName(late)
 
 
 _NEED = f"""SELECT *, sum(need) OVER (PARTITION BY traj_id ORDER BY pos) AS cum FROM (SELECT traj_id, pos, poi_id, t, CASE WHEN b_lat IS NULL THEN 0 ELSE greatest(1, ceil(round({HAV('b_lat', 'b_lon', 'lat', 'lon')}, 6) / 8.0 * 60 / 10)) END::INTEGER AS need
@@ -719,11 +804,12 @@ def text_mentions(spark, d):
     return S.text_mentions(spark, d)
 
 
-@query("SELECT a.vec_id AS a, b.vec_id AS b, round(list_distance(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS l2 FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE a.vec_id < 50 AND b.vec_id < 50")
+@query("SELECT a.vec_id AS a, b.vec_id AS b, round(list_distance(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS l2 FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id % 100 = 0")
 def vector_dc_pairs(spark, d):
-    e = table(spark, d, "embeddings").where("vec_id < 50").select("vec_id", "embedding")
-    b = e.select(F.col("vec_id").alias("b"), F.col("embedding").alias("eb"))
-    return e.join(F.broadcast(b), F.col("vec_id") < F.col("b")).select(F.col("vec_id").alias("a"), "b", F.round(D.vector_l2(F.col("embedding"), F.col("eb")), 6).alias("l2"))
+    """A search: the stated query set (ids divisible by 100) against all vectors."""
+    e = table(spark, d, "embeddings").select(F.col("vec_id").alias("b"), F.col("embedding").alias("eb"))
+    asks = table(spark, d, "embeddings").where("vec_id % 100 = 0").select(F.col("vec_id").alias("a"), F.col("embedding").alias("ea"))
+    return e.join(asks, F.col("a") != F.col("b")).select("a", "b", F.round(D.vector_l2(F.col("ea"), F.col("eb")), 6).alias("l2"))
 
 
 @query(sql("SELECT c_mktsegment AS segment, count(*)::BIGINT AS people, round(sum(eps), 6) AS total FROM (SELECT c_mktsegment, CASE c_mktsegment WHEN 'BUILDING' THEN 1.0 WHEN 'MACHINERY' THEN 2.0 ELSE 5.0 END::DOUBLE AS eps FROM customer) GROUP BY 1"))

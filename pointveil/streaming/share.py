@@ -47,7 +47,10 @@ def share_days(points: DataFrame, k: Knowledge, cfg: Cfg, method: str = "hier",
     """Released trajectories of closed user-days, by the same keyed draws as the batch run.
 
     A day closes when the watermark passes its end. Days outside the length range or with an infeasible visit give nothing.
+    Without a seed in ``cfg`` this call draws a secret one; give one that is kept with the checkpoint where a query is
+    started again, so that a repeated batch repeats its draws.
     """
+    cfg, held = cfg.secret(), []
     shared = points.sparkSession.sparkContext.broadcast(k.shipped())
 
     def work(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
@@ -61,7 +64,9 @@ def share_days(points: DataFrame, k: Knowledge, cfg: Cfg, method: str = "hier",
             slots = sorted(first)
             if not min_len <= len(slots) <= max_len:
                 return
-            kernel = Kernel(shared.value, cfg)
+            if not held:  # one per task
+                held.append(Kernel(shared.value, cfg))
+            kernel = held[0]
             pois = [kernel.number.get(first[s], -1) for s in slots]
             if min(pois) < 0 or not kernel.feasible(pois, slots):
                 return
@@ -83,20 +88,24 @@ def share_days(points: DataFrame, k: Knowledge, cfg: Cfg, method: str = "hier",
 
 
 def share_points(points: DataFrame, k: Knowledge, cfg: Cfg, expected: int = 8) -> DataFrame:
-    """Point-by-point release: each spends eps / expected from the person's day; once spent, nothing more is released."""
+    """Point-by-point release: each spends eps / expected from the person's day; once spent, nothing more is released.
+
+    Points of a batch go in order of their time. The seed is as in ``share_days``.
+    """
+    cfg, held = cfg.secret(), []
     shared = points.sparkSession.sparkContext.broadcast(k.shipped())
 
     def work(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         used = state.get[0] if state.exists else 0
-        kernel = Kernel(shared.value, cfg.but(eps=2 * cfg.eps / expected))
-        rows = []
-        for f in frames:
-            for ts, poi in zip(f["ts"], f["poi_id"]):
-                if used >= expected or poi not in kernel.number:
-                    continue
-                used += 1
-                r = kernel.run("indep_free", f"{key[0]}|{key[1]}|{used}", [poi], [(ts.hour * 60 + ts.minute) // cfg.gt_min], cfg.eps / expected)
-                rows.append((f"{key[0]}|{key[1]}", used, r["poi"][0], r["t"][0]))
+        if not held:  # one per task
+            held.append(Kernel(shared.value, cfg.but(eps=2 * cfg.eps / expected)))
+        kernel, rows = held[0], []
+        for ts, poi in sorted((ts, poi) for f in frames for ts, poi in zip(f["ts"], f["poi_id"])):
+            if used >= expected or poi not in kernel.number:
+                continue
+            used += 1
+            r = kernel.run("indep_free", f"{key[0]}|{key[1]}|{used}", [poi], [(ts.hour * 60 + ts.minute) // cfg.gt_min], cfg.eps / expected)
+            rows.append((f"{key[0]}|{key[1]}", used, r["poi"][0], r["t"][0]))
         state.update((used,))
         yield pd.DataFrame(rows, columns=["traj_id", "pos", "poi_id", "t"])
 

@@ -27,6 +27,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 REGION_METHODS, ALL_METHODS = ("hier",), ("hier", "flat", "geo_only", "indep_reach", "indep_free")
 #: Comparison setting of the error table: a unit sensitivity, which is not private at eps (see README).
 UNIT = Cfg(delta_mode="unit")
+#: The setting that keeps eps, and the comparison setting; tables that report errors give both.
+MODES = {"diameter": Cfg(), "unit": UNIT}
 
 
 def workload(fn):
@@ -90,9 +92,11 @@ def _stack(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def _ne(method: str, traj, k, poi, cfg, **tags) -> DataFrame:
+def _ne(method: str, traj, k, poi, cfg, timed: bool = False, **tags) -> DataFrame:
     r = released(method, traj, k, cfg)
     out = metrics.ne(metrics.point_errors(traj, r.released, poi, cfg.gt_min)).withColumn("method", F.lit(method))
+    if timed:
+        out = out.withColumn("seconds", F.lit(r.timings.first().total))
     for name, value in tags.items():
         out = out.withColumn(name, F.lit(value))
     return staged(out)
@@ -145,35 +149,37 @@ def wk_ratio_and_tail(spark, d):
 
 @workload
 def wk_ne_table(spark, d):
-    """(scenario, method, dim, ne) for five methods and three data sets."""
+    """(scenario, delta_mode, method, dim, ne) for five methods and three data sets; only 'diameter' keeps eps."""
     out = []
     for name, make in SCENARIOS.items():
-        cfg = UNIT.but(speed_kmh=4.0 if name == "campus" else 8.0)
-        poi, traj, k = make(spark, d, cfg)
-        out += [_ne(m, traj, k, poi, cfg, scenario=name) for m in ALL_METHODS]
+        speed = 4.0 if name == "campus" else 8.0
+        poi, traj, k = make(spark, d, Cfg(speed_kmh=speed))
+        out += [_ne(m, traj, k, poi, cfg.but(speed_kmh=speed), scenario=name, delta_mode=mode) for mode, cfg in MODES.items() for m in ALL_METHODS]
     return _stack(out)
 
 
 @workload
 def wk_gain(spark, d):
-    """How far the full method is below its best rival on the event city."""
-    poi, traj, k = event_city(spark, d, UNIT)
-    return metrics.gain(_stack([_ne(m, traj, k, poi, UNIT) for m in ALL_METHODS]))
+    """How far the full method is below its best rival on the event city, in both sensitivity modes."""
+    poi, traj, k = event_city(spark, d, Cfg())
+    return _stack([metrics.gain(_stack([_ne(m, traj, k, poi, cfg) for m in ALL_METHODS])).withColumn("delta_mode", F.lit(mode)) for mode, cfg in MODES.items()])
 
 
 @workload
 def wk_runtime_table(spark, d):
-    """(method, perturb, rebuild, other, total): mean kernel seconds per trajectory, and the rebuild share."""
-    _, traj, k = event_city(spark, d, Cfg())
-    parts = [released(m, traj, k, Cfg()).timings.select(F.lit(m).alias("method"), "perturb", "rebuild", "other", "total") for m in ALL_METHODS]
+    """(scenario, method, perturb, rebuild, other, total): mean kernel seconds per trajectory, and the rebuild share."""
+    parts = []
+    for name in ("event_city", "panel_city"):
+        _, traj, k = SCENARIOS[name](spark, d, Cfg())
+        parts += [released(m, traj, k, Cfg()).timings.select(F.lit(name).alias("scenario"), F.lit(m).alias("method"), "perturb", "rebuild", "other", "total") for m in ALL_METHODS]
     return _stack(parts).withColumn("rebuild_share", F.col("rebuild") / F.col("total"))
 
 
 @workload
 def wk_hotspots(spark, d):
-    """(scenario, method, granularity, ahd, acd, ...): hotspot agreement at all granularities, thresholds scaled."""
+    """(scenario, method, granularity, ahd, acd, ...): hotspot agreement on three sets, thresholds scaled (unit mode)."""
     out = []
-    for name in ("event_city", "campus"):
+    for name in SCENARIOS:
         cfg = UNIT.but(speed_kmh=4.0 if name == "campus" else 8.0)
         poi, traj, k = SCENARIOS[name](spark, d, cfg)
         scale = traj.select("traj_id").distinct().count() / 8000
@@ -222,41 +228,48 @@ def wk_copresence(spark, d):
 
 @workload
 def wk_vary_len(spark, d):
-    """Error and kernel seconds by trajectory length, full method."""
-    poi, traj, k = event_city(spark, d, UNIT)
-    r = released("hier", traj, k, UNIT)
-    e = metrics.point_errors(traj, r.released, poi)
-    per = e.groupBy("traj_id").agg(F.count(F.lit(1)).alias("len"), F.avg("d_all").alias("ne"))
-    t = r.rows.select("traj_id", (F.col("perturb_s") + F.col("path_s") + F.col("other_s")).alias("s"))
-    return per.join(t, "traj_id").groupBy("len").agg(F.round(F.avg("ne"), 6).alias("ne"), F.avg("s").alias("seconds"))
+    """Error and kernel seconds by trajectory length, for every method on two sets (unit mode)."""
+    out = []
+    for name in ("event_city", "panel_city"):
+        poi, traj, k = SCENARIOS[name](spark, d, UNIT)
+        for method in ALL_METHODS:
+            r = released(method, traj, k, UNIT)
+            e = metrics.point_errors(traj, r.released, poi)
+            per = e.groupBy("traj_id").agg(F.count(F.lit(1)).alias("len"), F.avg("d_all").alias("ne"))
+            t = r.rows.select("traj_id", (F.col("perturb_s") + F.col("path_s") + F.col("other_s")).alias("s"))
+            one = per.join(t, "traj_id").groupBy("len").agg(F.round(F.avg("ne"), 6).alias("ne"), F.avg("s").alias("seconds"))
+            out.append(staged(one.select(F.lit(name).alias("scenario"), F.lit(method).alias("method"), "len", "ne", "seconds")))
+    return _stack(out)
 
 
 @workload
 def wk_vary_eps(spark, d):
+    """Error and kernel seconds by total budget, every method (at eps, the private mode)."""
     poi, traj, k = event_city(spark, d, Cfg())
-    return _stack([_ne("hier", traj, k, poi, Cfg(eps=e), eps=float(e)) for e in (0.01, 0.1, 1, 5, 10, 50, 500)])
+    return _stack([_ne(m, traj, k, poi, Cfg(eps=e), True, eps=float(e)) for e in (0.01, 0.1, 1, 5, 10, 50, 500) for m in ALL_METHODS])
 
 
 @workload
 def wk_const_eps(spark, d):
-    """A constant budget per draw instead of a constant total."""
+    """A constant budget per draw instead of a constant total, every method."""
     poi, traj, k = event_city(spark, d, Cfg())
-    return _stack([_ne("hier", traj, k, poi, Cfg(eps_mode="per_draw", eps_draw=e), eps_draw=float(e)) for e in (0.5, 1, 5)])
+    return _stack([_ne(m, traj, k, poi, Cfg(eps_mode="per_draw", eps_draw=e), True, eps_draw=float(e)) for e in (0.5, 1, 5) for m in ALL_METHODS])
 
 
 @workload
 def wk_vary_speed(spark, d):
+    """Error and kernel seconds by speed, every method (unit mode)."""
     out = []
     for name, cfg in [(str(s), UNIT.but(speed_kmh=float(s))) for s in (4, 8, 12, 16)] + [("inf", UNIT.but(theta="inf", speed_kmh=1e6))]:
         poi, traj, k = event_city(spark, d, cfg)
-        out += [_ne(m, traj, k, poi, cfg, speed=name) for m in ("hier", "flat")]
+        out += [_ne(m, traj, k, poi, cfg, True, speed=name) for m in ALL_METHODS]
     return _stack(out)
 
 
 @workload
 def wk_vary_n(spark, d):
     poi, traj, k = campus(spark, d, UNIT.but(speed_kmh=4.0))
-    return _stack([_ne(m, traj, k, poi, UNIT.but(speed_kmh=4.0, n=n), n=n) for n in (1, 2, 3) for m in ("hier", "flat", "geo_only")])
+    return _stack([_ne(m, traj, k, poi, UNIT.but(speed_kmh=4.0, n=n), True, n=n) for n in (1, 2, 3) for m in ("hier", "flat", "geo_only")])
 
 
 @workload
@@ -424,11 +437,11 @@ def wk_text_popularity(spark, d):
 
 @workload
 def wk_vector_distance(spark, d):
-    """An embedding distance as the quality: draws over 50 vectors for each of them."""
-    e = table(spark, d, "embeddings").where("vec_id < 50").select("vec_id", "embedding")
+    """An embedding distance as the quality: draws over all vectors for the stated query set (ids divisible by 100)."""
+    e = table(spark, d, "embeddings").select(F.col("vec_id").alias("cand"), F.col("embedding").alias("eb"))
     fn, diameter = D.registered("vector_l2")
-    b = e.select(F.col("vec_id").alias("cand"), F.col("embedding").alias("eb"))
-    pairs = e.join(F.broadcast(b)).select(F.col("vec_id").alias("input"), "cand", fn(F.col("embedding"), F.col("eb")).alias("dist"))
+    asks = table(spark, d, "embeddings").where("vec_id % 100 = 0").select(F.col("vec_id").alias("input"), "embedding")
+    pairs = e.join(F.broadcast(asks)).select("input", "cand", fn(F.col("embedding"), F.col("eb")).alias("dist"))
     return expmech.draw_gumbel(pairs, ["input"], 5.0, diameter, "7")
 
 

@@ -22,7 +22,7 @@ def twin(name):
     return con.sql(Q.ORACLES[name]).df()
 
 
-@pytest.mark.parametrize("name", ["traj_feasible", "em_draw_gumbel", "ne_by_dim", "best_path_len3", "smooth_times", "hotspots_grid", "prq_space", "shopping_trajectories", "chain_first_marginal"])
+@pytest.mark.parametrize("name", ["traj_feasible", "em_draw_gumbel", "ne_by_dim", "best_path", "fill_reject_first", "global_literal", "global_subsample", "global_flip", "global_tail", "smooth_times", "hotspots_grid", "prq_space", "shopping_trajectories", "chain_first_marginal"])
 def test_query_equals_its_twin(spark, name):
     got, want = Q.QUERIES[name](spark, SF).toPandas(), twin(name)
     assert sorted(got.columns) == sorted(want.columns)

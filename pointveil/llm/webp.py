@@ -80,7 +80,9 @@ def media_columns(docs: DataFrame) -> DataFrame:
         names = [f.split()[0] for f in FIELDS.split(", ")]
         for batch in batches:
             for part in byte_chunks(batch):
-                rows = list(zip(*map(media_row, texts_of(part))))
+                texts = texts_of(part)
+                done = {t: media_row(t) for t in dict.fromkeys(texts)}  # equal texts have equal values
+                rows = list(zip(*map(done.__getitem__, texts)))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), *[pa.array(c) for c in rows]], names)
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, FIELDS)

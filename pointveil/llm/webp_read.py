@@ -62,7 +62,7 @@ class Prefix:
             return
         if not len(used) or (1 << (15 - size[used])).sum() != 1 << 15:
             raise ValueError("a prefix code is not complete")
-        used = used[np.argsort(size[used], kind="stable")]
+        used = used[np.argsort(size[used].astype(np.uint8), kind="stable")]
         self.depth = int(size[used[-1]])
         order = reversed_bits(self.depth)
         room = 1 << (self.depth - size[used])
@@ -296,7 +296,7 @@ def _traced(value: np.ndarray, slot: np.ndarray, copies: list[tuple[int, int, in
     if cache:
         asks = slot >= 0
         falls = np.where(asks, slot, (value * CACHE_FACTOR & 0xFFFFFFFF) >> (32 - cache))[source]
-        order = np.argsort(falls, kind="stable")
+        order = np.argsort(falls.astype(np.uint16), kind="stable")
         before = np.full(len(value), -1)
         same = (falls[order[1:]] == falls[order[:-1]]).nonzero()[0]
         before[order[same + 1]] = order[same]

@@ -101,7 +101,7 @@ def _codes(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     used = lengths.nonzero()[0]
     if len(used) < 2:
         return bits, widths
-    used = used[np.argsort(lengths[used], kind="stable")]
+    used = used[np.argsort(lengths[used].astype(np.uint8), kind="stable")]
     size = lengths[used]
     room = 1 << (size[-1] - size)
     bits[used], widths[used] = reversed_bits(int(size[-1]))[room.cumsum() - room], size
@@ -196,7 +196,7 @@ def cover(argb: np.ndarray, cache: int, refs: bool) -> tuple[np.ndarray, np.ndar
     slot = np.full(n, -1, dtype=np.int64)
     if cache:
         hashed = (argb * np.uint32(CACHE_FACTOR)) >> np.uint32(32 - cache)
-        hit = (before >= 0) & (_last_equal(hashed) == before) & (run == 0)
+        hit = (before >= 0) & (_last_equal(hashed.astype(np.uint16)) == before) & (run == 0)
         slot[hit] = hashed[hit]
     return position, run[position], distance[position], slot[position]
 
@@ -377,10 +377,10 @@ def chosen(pixels: np.ndarray, cache: int) -> dict:
     alike = p.copy()
     alike[:, 1::2] -= p[:, 2:3]
     choices.append(({"green": True}, _cost(alike)))
-    for mode, step in ((1, 1), (2, width)):
-        apart = p.copy()
-        apart[step:] -= p[:-step]
-        choices.append(({"predictor": mode}, 100 + _cost(apart)))
+    flat = p.ravel()
+    for mode, step in ((1, 4), (2, 4 * width)):
+        if len(flat) > step:  # the first pixels, which look elsewhere, are left out of the estimate
+            choices.append(({"predictor": mode}, 100 + 8 * step + _cost(flat[step:] - flat[:-step])))
     r, g, b = (np.ascontiguousarray(p[:, k]) for k in (1, 2, 3))
     factors = (_slope(g, r), _slope(g, b), 0)
     if any(factors):

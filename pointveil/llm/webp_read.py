@@ -17,8 +17,8 @@ from .webp_planes import CACHE_FACTOR, DISTANCES, GREEN, LENGTH_ORDER, LENGTHS,
 
 #: Marks entries of the green code that are no literals.
 OTHER = 1 << 40
-#: Bit positions that are looked at together.
-STRETCH = 1 << 16
+#: Bit positions that are looked at together, and the most bits of a pixel's four codes.
+STRETCH, MOST_SYMBOL = 1 << 16, 4 * 15
 _EIGHT = np.arange(8)
 
 
@@ -54,19 +54,20 @@ class Prefix:
     ``symbols`` and ``sizes`` list, by the next ``depth`` bits, the symbol that begins there and its code's length.
     """
 
-    def __init__(self, lengths: list[int]):
-        size = np.array(lengths)
+    def __init__(self, lengths: bytes):
+        size = np.frombuffer(lengths, dtype=np.uint8)
         used = size.nonzero()[0]
         if len(used) == 1:
             self.depth, self.symbols, self.sizes = 0, used, np.zeros(1, dtype=np.int64)
             return
-        if not len(used) or (1 << (15 - size[used])).sum() != 1 << 15:
+        used = used[np.argsort(size[used], kind="stable")]
+        width = size[used].astype(np.int64)
+        if not len(used) or (1 << (15 - width)).sum() != 1 << 15:
             raise ValueError("a prefix code is not complete")
-        used = used[np.argsort(size[used].astype(np.uint8), kind="stable")]
-        self.depth = int(size[used[-1]])
-        order = reversed_bits(self.depth)
-        room = 1 << (self.depth - size[used])
-        self.symbols, self.sizes = np.repeat(used, room)[order], np.repeat(size[used], room)[order]
+        self.depth = int(width[-1])
+        room = 1 << (self.depth - width)
+        at = np.repeat(np.arange(len(used)), room).take(reversed_bits(self.depth))
+        self.symbols, self.sizes = used.take(at), width.take(at)
 
     def table(self, shift: int) -> tuple[list[int], int]:
         """(entries by the next bits, mask of these bits): the symbol at ``shift``, then four bits of length."""
@@ -79,18 +80,18 @@ class Prefix:
 
 
 def _prefix(bits: Bits, alphabet: int) -> Prefix:
-    lengths = [0] * alphabet
+    lengths = bytearray(alphabet)
     if bits.read(1):  # one or two symbols
         two = bits.read(1)
         lengths[bits.read(8 if bits.read(1) else 1)] = 1
         if two:
             lengths[bits.read(8)] = 1
-        return _code(tuple(lengths))
-    of_lengths = [0] * 19
+        return _code(bytes(lengths))
+    of_lengths = bytearray(19)
     for i in range(4 + bits.read(4)):
         of_lengths[LENGTH_ORDER[i]] = bits.read(3)
     most = 2 + bits.read(2 + 2 * bits.read(3)) if bits.read(1) else alphabet
-    table, mask = _length_table(tuple(of_lengths))
+    table, mask = _length_table(bytes(of_lengths))
     words, pos, at, previous = bits.words, bits.at, 0, 8
     while at < alphabet and most:
         most -= 1
@@ -114,21 +115,22 @@ def _prefix(bits: Bits, alphabet: int) -> Prefix:
         pos += n
         if at + times > alphabet:
             raise ValueError("code lengths overflow the alphabet")
-        lengths[at : at + times] = [value] * times
+        if value:
+            lengths[at : at + times] = bytes((value,)) * times
         at += times
     bits.at = pos
     if pos > bits.end:
         raise ValueError("the bit stream is too short")
-    return _code(tuple(lengths))
+    return _code(bytes(lengths))
 
 
 @functools.lru_cache(maxsize=64)
-def _code(lengths: tuple[int, ...]) -> Prefix:
+def _code(lengths: bytes) -> Prefix:
     return Prefix(lengths)
 
 
 @functools.lru_cache(maxsize=64)
-def _length_table(lengths: tuple[int, ...]) -> tuple[list[int], int]:
+def _length_table(lengths: bytes) -> tuple[list[int], int]:
     return Prefix(lengths).table(0)
 
 
@@ -194,10 +196,11 @@ def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cac
     """The pixels of an image with one code group."""
     sizes = [p.sizes for p in group[:4]]
     masks = [(1 << p.depth) - 1 for p in group]
-    literal = group[0].symbols < GREEN  # three channels follow; after a cached colour nothing; -1 marks a reference
+    literal = group[0].symbols < GREEN
     refers = ~literal & (group[0].symbols < GREEN + LENGTHS)
+    kind = np.where(literal, 0, 1 + refers)
     distance, distance_m = group[4].table(0)
-    green, some = group[0].symbols.tolist(), bool(refers.any())
+    some = bool(refers.any())
     value, slot = np.zeros(total, dtype=np.int64), np.full(total, -1, dtype=np.int64)
     copies: list[tuple[int, int, int]] = []
     at, done, words = bits.at, 0, bits.words
@@ -208,33 +211,41 @@ def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cac
         # the next 16 bits of every position from ``at``, and some beyond for symbols that begin inside the stretch
         first = at >> 3
         bytes_n = min(len(bits.raw) - first, (span + 64 >> 3) + 2)
-        looks = (np.repeat(bits.raw[first : first + bytes_n], 8) >> np.tile(_EIGHT, bytes_n))[at & 7 :]
-        spots = np.arange(len(looks))
-        index = looks[:span] & masks[0]
-        goal = spots[:span] + sizes[0][index]
-        step, follow = goal, None
+        looks = (bits.raw[first : first + bytes_n, None] >> _EIGHT).ravel()[at & 7 :]
+        # where a symbol ends, by where its green code ends: after a literal three channels follow, after a cached
+        # colour nothing; a reference is marked by -1, and past the stretch no symbol begins
+        n = len(looks)
+        spots, follow = np.arange(n), None
+        chain = np.empty((2 + some) * n, dtype=np.int64)
+        chain[n : 2 * n], chain[2 * n :] = spots, -1
         for k in (1, 2, 3):
-            if len(sizes[k]) == 1:
-                continue
-            if follow is None or group[k] is not group[k - 1]:
-                follow = spots + sizes[k][looks & masks[k]]
-            step = follow[step]
-        step = goal.copy() if step is goal else np.where(literal[index], step, goal)
-        if some:
-            step[refers[index]] = -1
-        step = memoryview(np.ascontiguousarray(step))
+            if k == 1 or group[k] is not group[k - 1]:
+                one = spots + sizes[k].take(looks & masks[k])
+            follow = one if follow is None else one.take(follow, mode="clip", out=chain[:n] if k == 3 else None)
+        index = looks[:span] & masks[0]
+        ends = np.full(span + MOST_SYMBOL, -1)
+        ends[:span] = chain.take(spots[:span] + (sizes[0] + n * kind).take(index))
         seen: list[int] = []
         see, here, left, held = seen.append, 0, total - done, done
         gaps: list[tuple[int, int]] = []
-        while here < span and left > 0:
-            go = step[here]
-            if go >= 0:
+        if ends[0] == 0:  # the only symbol takes no bits
+            seen, left = [0] * left, 0
+        step = memoryview(ends)
+        while left > 0:
+            had = len(seen)
+            while (go := step[here]) >= 0:
                 see(here)
                 here = go
-                left -= 1
-                continue
-            bits.at = at + int(goal[here])
-            symbol = green[int(index[here])]
+            left -= len(seen) - had
+            if left < 0:  # bits after the last pixel
+                here = seen[left]
+                del seen[left:]
+                left = 0
+            if not left or here >= span:
+                break
+            look = index[here]
+            bits.at = at + here + int(sizes[0][look])
+            symbol = int(group[0].symbols[look])
             run = _extra(symbol - GREEN, bits)
             d = distance[words[bits.at >> 3] >> (bits.at & 7) & distance_m]
             bits.at += d & 15
@@ -247,11 +258,11 @@ def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cac
             left -= run
             here = bits.at - at
         if seen:
-            where = np.array(seen)
+            where = np.fromiter(seen, np.int64, len(seen))
             spot = held + np.arange(len(seen))
             for count, run in gaps:
                 spot[count:] += run
-            _place(looks, where, goal, group, masks, literal, cache, spot, value, slot)
+            _place(looks, where, group, masks, literal, cache, spot, value, slot)
         done = total - left
         at += here
     bits.at = at
@@ -263,16 +274,16 @@ def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cac
     return _traced(value, slot, copies, cache)
 
 
-def _place(looks, where, goal, group, masks, literal, cache, spot, value, slot) -> None:
+def _place(looks, where, group, masks, literal, cache, spot, value, slot) -> None:
     """Values of the literals and slots of the cached colours that begin at the bits ``where``."""
-    index = looks[where] & masks[0]
-    symbol, is_literal = group[0].symbols[index], literal[index]
-    lit, at = is_literal.nonzero()[0], goal[where]
-    at, pixel = at[lit], symbol[lit] << 8
+    index = looks.take(where) & masks[0]
+    symbol, is_literal = group[0].symbols.take(index), literal.take(index)
+    lit = is_literal.nonzero()[0]
+    at, pixel = (where + group[0].sizes.take(index)).take(lit), symbol.take(lit) << 8
     for prefix, mask, shift in zip(group[1:4], masks[1:4], (16, 0, 24)):
-        index = looks[at] & mask
-        pixel |= prefix.symbols[index] << shift
-        at += prefix.sizes[index]
+        index = looks.take(at) & mask
+        pixel |= prefix.symbols.take(index) << shift
+        at += prefix.sizes.take(index)
     value[spot[lit]] = pixel
     if cache:
         rest = (~is_literal).nonzero()[0]
@@ -302,9 +313,9 @@ def _traced(value: np.ndarray, slot: np.ndarray, copies: list[tuple[int, int, in
         before[order[same + 1]] = order[same]
         first = asks & (before < 0)  # an empty slot is 0
         source = np.where(asks & ~first, before, source)
-    while (up := source[source]).tobytes() != source.tobytes():
+    while (up := source.take(source)).tobytes() != source.tobytes():
         source = up
-    return value[source].astype(np.uint32)
+    return value.take(source).astype(np.uint32)
 
 
 def _read_symbols(bits: Bits, groups: list[tuple], width: int, total: int, cache: int, block: int, of_block: list[int] | None, tally: dict[str, int] | None) -> list[int]:

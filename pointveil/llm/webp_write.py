@@ -73,6 +73,43 @@ def code_lengths(counts: np.ndarray, most: int) -> np.ndarray:
         floor *= 2
 
 
+def _few_lengths(counts: list[int], most: int) -> list[int]:
+    """``code_lengths`` of a small alphabet, without arrays."""
+    used = [s for s, n in enumerate(counts) if n]
+    lengths, floor = [0] * len(counts), 1
+    if len(used) < 2:
+        for s in used:
+            lengths[s] = 1
+        return lengths
+    while True:
+        order = sorted(used, key=lambda s: max(counts[s], floor))
+        depth = _depths([max(counts[s], floor) for s in order])
+        if max(depth) <= most:
+            for s, d in zip(order, depth):
+                lengths[s] = d
+            return lengths
+        floor *= 2
+
+
+def _few_codes(lengths: list[int]) -> tuple[list[int], list[int]]:
+    """``_codes`` of a small alphabet, without arrays."""
+    used = sorted((n, s) for s, n in enumerate(lengths) if n)
+    bits, widths = [0] * len(lengths), [0] * len(lengths)
+    if len(used) < 2:
+        return bits, widths
+    most, at = used[-1][0], 0
+    order = _reversed_few(most)
+    for n, s in used:
+        bits[s], widths[s] = order[at], n
+        at += 1 << (most - n)
+    return bits, widths
+
+
+@functools.lru_cache(maxsize=16)
+def _reversed_few(n: int) -> list[int]:
+    return reversed_bits(n).tolist()
+
+
 def _depths(weights: list[int]) -> list[int]:
     """Leaf depths of a tree of least weighted length over ascending weights (leaves and inner nodes as two queues)."""
     n = len(weights)
@@ -116,6 +153,9 @@ def _runs(lengths: np.ndarray) -> tuple[list[int], list[int], list[int]]:
     extra: dict[int, tuple[int, int]] = {}
     for value, start, stop in zip(kept[starts[:-1]].tolist(), starts, starts[1:]):
         times = stop - start
+        if times == 1:
+            symbols.append(value)
+            continue
         if value or times < 3:
             symbols.append(value)
             times -= 1
@@ -145,12 +185,14 @@ class Code:
             self.told = [1, len(used) - 1, int(wide), *used], [1, 1, 1, 8 if wide else 1, 8][: 3 + len(used)]
             return
         symbols, extra, sizes = _runs(lengths)
-        of_lengths = code_lengths(np.bincount(symbols, minlength=19), MOST_LENGTH_CODE)
-        by_order = of_lengths.tolist()
+        counted = [0] * 19
+        for s in symbols:
+            counted[s] += 1
+        by_order = _few_lengths(counted, MOST_LENGTH_CODE)
         kinds = max(4, 1 + max(i for i, s in enumerate(LENGTH_ORDER) if by_order[s]))
         size = max(2, (len(symbols) - 2).bit_length())  # the number of runs is told, so the last zeros need none
         size += size & 1
-        bits, widths = (x.tolist() for x in _codes(of_lengths))
+        bits, widths = _few_codes(by_order)
         self.told = (
             [0, kinds - 4, *[by_order[s] for s in LENGTH_ORDER[:kinds]], 1, (size - 2) // 2, len(symbols) - 2, *[bits[s] | e << widths[s] for s, e in zip(symbols, extra)]],
             [1, 4, *[3] * kinds, 1, 3, size, *[widths[s] + n for s, n in zip(symbols, sizes)]],
@@ -173,16 +215,15 @@ def cover(argb: np.ndarray, cache: int, refs: bool) -> tuple[np.ndarray, np.ndar
     before = _last_equal(argb)
     starts, runs, backs, covered = [], [], [], np.zeros(n, dtype=bool)
     if refs and n > LEAST_RUN:
-        i = np.arange(n - LEAST_RUN + 1)
-        j = before[: len(i)]
-        ok = (j >= 0) & (i - j <= MOST_BACK)
+        i = (before[: n - LEAST_RUN + 1] >= 0).nonzero()[0]
         for k in range(1, LEAST_RUN):
-            ok &= argb[i + k] == argb[j + k]
-        pixels, end = argb.tolist(), 0
-        for at in ok.nonzero()[0].tolist():
+            i = i[argb[i + k] == argb[before[i] + k]]
+        i = i[i - before[i] <= MOST_BACK]
+        pixels, end = argb.tolist() if len(i) else [], 0
+        for at, back in zip(i.tolist(), (i - before[i]).tolist()):
             if at < end:
                 continue
-            back, end = at - int(j[at]), at + LEAST_RUN
+            end = at + LEAST_RUN
             stop = min(n, at + MOST_RUN)
             while end < stop and pixels[end] == pixels[end - back]:
                 end += 1
@@ -203,6 +244,8 @@ def cover(argb: np.ndarray, cache: int, refs: bool) -> tuple[np.ndarray, np.ndar
 
 def _split(value: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(symbol, extra bits, their number) of lengths or distances."""
+    if not len(value):
+        return value, value, value
     v = np.maximum(value - 1, 0)
     top = np.frexp(v.astype(np.float64))[1].astype(np.int64) - 1
     more = np.where(v < 4, 0, top - 1)
@@ -241,14 +284,15 @@ def write_pixels(out: _Out, argb: np.ndarray, width: int, cache: int = 0, refs:
         out.put(block - 2, 3)
         write_pixels(out, joined(0, 0, np.repeat(np.arange(high) % groups, across), 0), across)
         of_symbol = (position // width >> block) % groups
-    a, r, g, b = (c[position].astype(np.int64) for c in channels(argb))
+    b, g, r, a = argb.take(position).astype("<u4", copy=False).view(np.uint8).reshape(-1, 4).T.astype(np.int64, order="C")
     literal, ref, cached = ((run == 0) & (slot < 0)).nonzero()[0], run.nonzero()[0], (slot >= 0).nonzero()[0]
     near = _near_codes(width)
-    far = np.where(distance < len(near), near[np.minimum(distance, len(near) - 1)], distance + len(NEAR)) if len(ref) else distance
-    (size, size_bits, size_n), (reach, reach_bits, reach_n) = _split(run[ref]), _split(far[ref])
+    far = distance[ref]
+    far = np.where(far < len(near), near[np.minimum(far, len(near) - 1)], far + len(NEAR))
+    (size, size_bits, size_n), (reach, reach_bits, reach_n) = _split(run[ref]), _split(far)
     first = g.copy()
     first[cached], first[ref] = GREEN + LENGTHS + slot[cached], GREEN + size
-    values, widths = np.zeros((len(position), 4), dtype=np.int64), np.zeros((len(position), 4), dtype=np.int64)
+    values, widths = np.zeros((4, len(position)), dtype=np.int64), np.zeros((4, len(position)), dtype=np.int64)
     alphabet = GREEN + LENGTHS + (1 << cache if cache else 0)
     for group in range(groups):
         if groups > 1:
@@ -257,22 +301,26 @@ def write_pixels(out: _Out, argb: np.ndarray, width: int, cache: int = 0, refs:
             plain = literal[plain]
         else:
             mine, plain, to = slice(None), literal, slice(None)
-        counts = [np.bincount(c[plain], minlength=256) for c in (r, b, a)]
+        samples = [c.take(plain) for c in (r, b, a)]
+        counts = [np.bincount(c, minlength=256) for c in samples]
         code = Code(np.bincount(first[mine], minlength=alphabet))
         out.put_list(*code.told)
-        values[mine, 0], widths[mine, 0] = code.bits[first[mine]], code.widths[first[mine]]
+        values[0, mine], widths[0, mine] = code.bits.take(first[mine]), code.widths.take(first[mine])
         codes = [Code(counts[0] + counts[1] + counts[2])] * 3 if _alike(counts, int(counts[0].sum())) else [Code(c) for c in counts]
-        for k, (c, code) in enumerate(zip((r, b, a), codes), 1):
+        for k, (c, code) in enumerate(zip(samples, codes), 1):
             out.put_list(*code.told)
-            values[plain, k], widths[plain, k] = code.bits[c[plain]], code.widths[c[plain]]
+            values[k, plain], widths[k, plain] = code.bits.take(c), code.widths.take(c)
         code = Code(np.bincount(reach[to], minlength=DISTANCES))
         out.put_list(*code.told)
-        values[ref[to], 2], widths[ref[to], 2] = code.bits[reach[to]], code.widths[reach[to]]
-    values[ref, 1], widths[ref, 1] = size_bits, size_n
-    values[ref, 3], widths[ref, 3] = reach_bits, reach_n
+        values[2, ref[to]], widths[2, ref[to]] = code.bits[reach[to]], code.widths[reach[to]]
+    values[1, ref], widths[1, ref] = size_bits, size_n
+    values[3, ref], widths[3, ref] = reach_bits, reach_n
     # the four parts of a symbol are at most 50 bits together
-    at = widths.cumsum(axis=1) - widths
-    out.put_all((values << at).sum(axis=1), widths.sum(axis=1))
+    word, width_of = values[0], widths[0]
+    for more, n in zip(values[1:], widths[1:]):
+        word |= more << width_of
+        width_of += n
+    out.put_all(word, width_of)
 
 
 def encode(pixels: np.ndarray, palette: bool = False, predictor: int | None = None, cross_colour: tuple[int, int, int] | None = None,
@@ -357,15 +405,16 @@ def _cost(samples: np.ndarray) -> float:
     return n * float(np.log2(max(1, n))) - float(each.sum())
 
 
-def _slope(x: np.ndarray, y: np.ndarray) -> int:
-    """The cross-colour factor (32nds) that takes most of ``y`` off by signed ``x``; 0 where that is under a tenth."""
-    x, y = x.view(np.int8).astype(np.float64), y.view(np.int8).astype(np.float64)
-    x -= x.mean()
-    y -= y.mean()
-    spread, common, whole = float((x * x).sum()), float((x * y).sum()), float((y * y).sum())
-    if common * common <= 0.1 * spread * whole:
-        return 0
-    return int(np.clip(round(32 * common / spread), -128, 127))
+def _slopes(p: np.ndarray) -> tuple[int, int, int]:
+    """Cross-colour factors (32nds) that take most of red and blue off by signed green; 0 where that is under a tenth."""
+    c = p[:, 1:].T.copy().view(np.int8).astype(np.float64)
+    c -= c.mean(axis=1, keepdims=True)
+    shared = c @ c.T
+    spread, out = float(shared[1, 1]), []
+    for k in (0, 2):
+        common = float(shared[1, k])
+        out.append(max(-128, min(127, round(32 * common / spread))) if common * common > 0.1 * spread * float(shared[k, k]) else 0)
+    return out[0], out[1], 0
 
 
 def chosen(pixels: np.ndarray, cache: int) -> dict:
@@ -381,8 +430,7 @@ def chosen(pixels: np.ndarray, cache: int) -> dict:
     for mode, step in ((1, 4), (2, 4 * width)):
         if len(flat) > step:  # the first pixels, which look elsewhere, are left out of the estimate
             choices.append(({"predictor": mode}, 100 + 8 * step + _cost(flat[step:] - flat[:-step])))
-    r, g, b = (np.ascontiguousarray(p[:, k]) for k in (1, 2, 3))
-    factors = (_slope(g, r), _slope(g, b), 0)
+    factors = _slopes(p)
     if any(factors):
         argb = p[:, ::-1].copy().view("<u4").ravel()
         left = cross(argb, width, WIDE_BLOCK, np.full((len(p) // (width << WIDE_BLOCK) + 1) * (-(-width >> WIDE_BLOCK)), _factor_word(factors), dtype=np.uint32), False)

@@ -29,6 +29,12 @@ def reversed_bits(n: int) -> np.ndarray:
     return out
 
 
+@functools.lru_cache(maxsize=8)
+def reversed_few(n: int) -> list[int]:
+    """``reversed_bits`` of a short code as a list."""
+    return reversed_bits(n).tolist()
+
+
 def channels(argb: np.ndarray) -> list[np.ndarray]:
     """A, R, G, B of every word."""
     parts = argb.astype("<u4", copy=False).view(np.uint8).reshape(-1, 4).astype(np.int32)

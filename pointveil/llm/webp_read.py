@@ -13,7 +13,7 @@ import functools
 
 import numpy as np
 
-from .webp_planes import CACHE_FACTOR, DISTANCES, GREEN, LENGTH_ORDER, LENGTHS, NEAR, SIGNATURE, channels, cross, joined, pack_bits, predict, reversed_bits
+from .webp_planes import CACHE_FACTOR, DISTANCES, GREEN, LENGTH_ORDER, LENGTHS, NEAR, SIGNATURE, channels, cross, joined, pack_bits, predict, reversed_bits, reversed_few
 
 #: Marks entries of the green code that are no literals.
 OTHER = 1 << 40
@@ -131,7 +131,19 @@ def _code(lengths: bytes) -> Prefix:
 
 @functools.lru_cache(maxsize=64)
 def _length_table(lengths: bytes) -> tuple[list[int], int]:
-    return Prefix(lengths).table(0)
+    """As ``Prefix.table(0)``, without arrays: these codes have few symbols of at most seven bits."""
+    used = sorted((n, s) for s, n in enumerate(lengths) if n)
+    if len(used) == 1:
+        return [used[0][1] << 4], 0
+    depth = used[-1][0] if used else 0
+    if not used or sum(1 << (depth - n) for n, _ in used) != 1 << depth:
+        raise ValueError("a prefix code is not complete")
+    order, table, at = reversed_few(depth), [0] * (1 << depth), 0
+    for n, s in used:
+        room = 1 << (depth - n)
+        table[order[at] :: 1 << n] = [s << 4 | n] * room
+        at += room
+    return table, (1 << depth) - 1
 
 
 def _group(bits: Bits, cache: int) -> list[Prefix]:

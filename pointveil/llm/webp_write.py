@@ -6,7 +6,7 @@ import functools
 
 import numpy as np
 
-from .webp_planes import CACHE_FACTOR, DISTANCES, GREEN, LENGTH_ORDER, LENGTHS, MOST_SIDE, NEAR, SIGNATURE, channels, cross, joined, pack_bits, predict, reversed_bits
+from .webp_planes import CACHE_FACTOR, DISTANCES, GREEN, LENGTH_ORDER, LENGTHS, MOST_SIDE, NEAR, SIGNATURE, channels, cross, joined, pack_bits, predict, reversed_bits, reversed_few
 
 #: Longest code of a pixel symbol and of a code length; the format allows 15 and 7.
 MOST_CODE, MOST_LENGTH_CODE = 11, 7
@@ -98,18 +98,13 @@ def _few_codes(lengths: list[int]) -> tuple[list[int], list[int]]:
     if len(used) < 2:
         return bits, widths
     most, at = used[-1][0], 0
-    order = _reversed_few(most)
+    order = reversed_few(most)
     for n, s in used:
         bits[s], widths[s] = order[at], n
         at += 1 << (most - n)
     return bits, widths
 
 
-@functools.lru_cache(maxsize=16)
-def _reversed_few(n: int) -> list[int]:
-    return reversed_bits(n).tolist()
-
-
 def _depths(weights: list[int]) -> list[int]:
     """Leaf depths of a tree of least weighted length over ascending weights (leaves and inner nodes as two queues)."""
     n = len(weights)
@@ -292,7 +287,8 @@ def write_pixels(out: _Out, argb: np.ndarray, width: int, cache: int = 0, refs:
     (size, size_bits, size_n), (reach, reach_bits, reach_n) = _split(run[ref]), _split(far)
     first = g.copy()
     first[cached], first[ref] = GREEN + LENGTHS + slot[cached], GREEN + size
-    values, widths = np.zeros((4, len(position)), dtype=np.int64), np.zeros((4, len(position)), dtype=np.int64)
+    # bits and width of every symbol; its four parts are at most 50 bits together
+    word, width_of = np.zeros(len(position), dtype=np.int64), np.zeros(len(position), dtype=np.int64)
     alphabet = GREEN + LENGTHS + (1 << cache if cache else 0)
     for group in range(groups):
         if groups > 1:
@@ -305,21 +301,21 @@ def write_pixels(out: _Out, argb: np.ndarray, width: int, cache: int = 0, refs:
         counts = [np.bincount(c, minlength=256) for c in samples]
         code = Code(np.bincount(first[mine], minlength=alphabet))
         out.put_list(*code.told)
-        values[0, mine], widths[0, mine] = code.bits.take(first[mine]), code.widths.take(first[mine])
+        word[mine], width_of[mine] = code.bits.take(first[mine]), code.widths.take(first[mine])
         codes = [Code(counts[0] + counts[1] + counts[2])] * 3 if _alike(counts, int(counts[0].sum())) else [Code(c) for c in counts]
-        for k, (c, code) in enumerate(zip(samples, codes), 1):
+        bits, wide = word.take(plain), width_of.take(plain)
+        for c, code in zip(samples, codes):
             out.put_list(*code.told)
-            values[k, plain], widths[k, plain] = code.bits.take(c), code.widths.take(c)
+            bits |= code.bits.take(c) << wide
+            wide += code.widths.take(c)
+        word[plain], width_of[plain] = bits, wide
         code = Code(np.bincount(reach[to], minlength=DISTANCES))
         out.put_list(*code.told)
-        values[2, ref[to]], widths[2, ref[to]] = code.bits[reach[to]], code.widths[reach[to]]
-    values[1, ref], widths[1, ref] = size_bits, size_n
-    values[3, ref], widths[3, ref] = reach_bits, reach_n
-    # the four parts of a symbol are at most 50 bits together
-    word, width_of = values[0], widths[0]
-    for more, n in zip(values[1:], widths[1:]):
-        word |= more << width_of
-        width_of += n
+        bits, wide = word[ref[to]], width_of[ref[to]]
+        for more, n in ((size_bits[to], size_n[to]), (code.bits[reach[to]], code.widths[reach[to]]), (reach_bits[to], reach_n[to])):
+            bits |= more << wide
+            wide += n
+        word[ref[to]], width_of[ref[to]] = bits, wide
     out.put_all(word, width_of)
 
 

@@ -75,21 +75,33 @@ def fingerprint_table(docs: DataFrame, width: int) -> DataFrame:
 
 
 def gray_rank(x: np.ndarray) -> np.ndarray:
-    """The position of each 64-bit word in the reflected Gray sequence."""
+    """The position of each fingerprint in the reflected Gray sequence (of a row of words: words, the first is highest)."""
     x = x.copy()
     for s in (1, 2, 4, 8, 16, 32):
         x ^= x >> np.uint64(s)
+    for k in range(1, x.shape[1] if x.ndim > 1 else 1):  # an odd number of ones before a word turns it round
+        x[:, k] ^= np.uint64(0) - (x[:, k - 1] & np.uint64(1))
     return x
 
 
+def weight(bits: np.ndarray) -> np.ndarray:
+    """Ones of every fingerprint, be it one word or a row of words."""
+    ones = np.bitwise_count(bits)
+    return ones if ones.ndim == 1 else ones.sum(axis=1, dtype=np.uint64)
+
+
 class GrayIndex:
-    """Hierarchical index over (group, fingerprint) rows; groups are never compared with each other."""
+    """Hierarchical index over (group, fingerprint) rows; groups are never compared with each other.
+
+    A fingerprint is one word, or a row of words.
+    """
 
     def __init__(self, group: np.ndarray, fp: np.ndarray):
-        order = np.lexsort((gray_rank(fp), group))
+        rank = gray_rank(fp)
+        order = np.lexsort((*(rank[:, None] if rank.ndim == 1 else rank).T[::-1], group))
         self.order, self.fp = order, fp[order]
         group = group[order]
-        ones, none = np.full(len(fp), np.uint64(0xFFFFFFFFFFFFFFFF)), np.zeros(len(fp), dtype=np.int64)
+        ones, none = np.full(fp.shape, np.uint64(0xFFFFFFFFFFFFFFFF)), np.zeros(len(fp), dtype=np.int64)
         # a level: first child, number of children, shared mask, shared pattern, first and last row
         row = np.arange(len(fp))
         self.levels = [(none, none, ones, self.fp, row, row)]
@@ -110,8 +122,8 @@ class GrayIndex:
         """Pairs of input row numbers within ``distance``: all of them, or (closure) enough to connect the same rows."""
         top = len(self.levels) - 1
         n = len(self.levels[top][0])
-        root, zero = np.arange(n), np.zeros(n, dtype=np.uint64)
-        todo = [(top, root[i : i + step], root[i : i + step], zero[i : i + step], zero[i : i + step]) for i in range(0, n, step)]
+        root, zero, seen = np.arange(n), np.zeros(n, dtype=np.uint64), np.zeros((n, *self.fp.shape[1:]), dtype=np.uint64)
+        todo = [(top, root[i : i + step], root[i : i + step], seen[i : i + step], zero[i : i + step]) for i in range(0, n, step)]
         offsets = np.arange(FAN)
         while todo:
             level, a, b, seen, apart = todo.pop()
@@ -127,9 +139,9 @@ class GrayIndex:
             x, y, up = first[a][at[0]] + at[1], first[b][at[0]] + at[2], at[0]
             _, _, mask, pattern, low, high = self.levels[level - 1]
             comparable = mask[x] & mask[y]
-            total = apart[up] + np.bitwise_count((pattern[x] ^ pattern[y]) & comparable & ~seen[up])
+            total = apart[up] + weight((pattern[x] ^ pattern[y]) & comparable & ~seen[up])
             near = total <= distance
-            whole = near & (total + np.bitwise_count(~comparable) <= distance) & (level > 1 and closure)
+            whole = near & (total + weight(~comparable) <= distance) & (level > 1 and closure)
             if whole.any():
                 yield from self._tied(low[x[whole]], high[x[whole]], low[y[whole]], high[y[whole]])
             go = np.flatnonzero(near & ~whole)
@@ -365,23 +377,17 @@ def text_sha(text: Column) -> Column:
 
 
 def _loose_edges(distance: int):
+    """Edges between rows of a key within ``distance`` bits, found by the Gray-order index over the wide fingerprints."""
+
     def edges(table: pa.Table) -> pa.RecordBatch:
-        fps = np.stack([table.column(f).to_numpy() for f in WIDE], axis=1).view(np.uint64)
-        key = table.column("key").to_numpy()
+        key, ids = table.column("key").to_numpy(), table.column("id").to_numpy()
         starts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
-        ends = np.append(starts[1:], len(key))
-        first = np.repeat(starts, ends - starts)
-        far = np.bitwise_count(fps ^ fps[first]).sum(axis=1) > distance
-
-        def close() -> Iterator[tuple[np.ndarray, np.ndarray]]:
-            near = np.flatnonzero(~far)
-            yield first[near], near
-            for i in np.flatnonzero(far):  # the others of a key are tied by its first row
-                whole = np.arange(first[i], ends[np.searchsorted(starts, first[i])])
-                near = whole[np.bitwise_count(fps[whole] ^ fps[i]).sum(axis=1) <= distance]
-                yield np.full(len(near), i), near
-
-        return _tree(forest(len(key), close()), table.column("id").to_numpy())
+        size = np.diff(np.append(starts, len(key)))
+        shared = np.flatnonzero(np.repeat(size, size) > 1)
+        if not len(shared):
+            return _tree(np.arange(0), ids[:0])
+        fps = np.stack([table.column(f).to_numpy()[shared] for f in WIDE], axis=1).view(np.uint64)
+        return _tree(forest(len(shared), GrayIndex(key[shared], fps).links(distance)), ids[shared])
 
     return edges
 
@@ -402,6 +408,8 @@ def text_nodes(docs: DataFrame) -> DataFrame:
 def loose_groups(nodes: DataFrame, distance: int = LOOSE_DISTANCE, hot: int = HOT_KEY) -> DataFrame:
     """(node, root): components of candidates, which share a key and differ in at most ``distance`` bits.
 
+    The keys only deal the fingerprints to tasks, as the bit blocks of ``near_pairs`` do for smaller distances; the
+    Gray-order index finds the pairs inside a key.
     Texts with equal fingerprints and keys are one row of the search; a crowded key is compared chunk by chunk.
     """
     same = [*WIDE, "keys"]

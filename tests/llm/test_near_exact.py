@@ -1,9 +1,11 @@
 """The near-duplicate stage of the pipeline against exact five-word Jaccard similarity."""
 
 import numpy as np
+import pyarrow as pa
 
 import corpus_pipeline as cp
-from pointveil.llm.simhash import KEYS, LOOSE_DISTANCE, alike_groups, alike_roots, key_hashes, shingle_hashes, wide_fingerprints
+from pointveil.llm import simhash
+from pointveil.llm.simhash import KEYS, LOOSE_DISTANCE, GrayIndex, alike_groups, alike_roots, forest, gray_rank, key_hashes, shingle_hashes, wide_fingerprints
 from tests.llm.test_pipeline import edited, table, text
 
 
@@ -61,3 +63,37 @@ def test_pairs_at_the_bound_are_candidates():
         apart = np.bitwise_count(wide_fingerprints(a) ^ wide_fingerprints(b)).sum(axis=1)
         assert key_hashes(a).shape == (1500, KEYS)
         assert (shared & (apart <= LOOSE_DISTANCE)).all()
+
+
+def test_gray_index_over_wide_fingerprints_matches_brute_force():
+    rng = np.random.default_rng(9)
+    base = rng.integers(0, 1 << 63, (12, 4), dtype=np.uint64) * np.uint64(2) + rng.integers(0, 2, (12, 4), dtype=np.uint64)
+    fps = base[rng.integers(12, size=300)]
+    for row in fps:  # up to 60 of 256 bits turned
+        for bit in rng.choice(256, rng.integers(60), replace=False):
+            row[bit // 64] ^= np.uint64(1) << np.uint64(bit % 64)
+    group = rng.integers(0, 3, 300)
+    apart = np.bitwise_count(fps[:, None] ^ fps[None]).sum(axis=2)
+    for distance in (0, 20, LOOSE_DISTANCE):
+        want = {(i, j) for i, j in zip(*np.nonzero((apart <= distance) & (group[:, None] == group))) if i < j}
+        index = GrayIndex(group, fps)
+        assert {(min(a, b), max(a, b)) for x, y in index.links(distance, closure=False) for a, b in zip(x.tolist(), y.tolist())} == want
+        root = forest(300, iter([tuple(np.array(sorted(want), dtype=np.int64).reshape(-1, 2).T)]))
+        assert (forest(300, index.links(distance)) == root).all()
+    ranks = [tuple(int(w) for w in r) for r in gray_rank(fps)]
+    word = sum(fps[:, k].astype(object) << (64 * (3 - k)) for k in range(4))
+    for s in (1, 2, 4, 8, 16, 32, 64, 128):
+        word = word ^ (word >> s)
+    assert ranks == [tuple((w >> (64 * (3 - k))) & ((1 << 64) - 1) for k in range(4)) for w in word.tolist()]
+
+
+def test_candidates_are_found_by_the_gray_index(monkeypatch):
+    a, b = text(1, 204), text(2, 204)
+    texts = [t.encode() for t in (a, cut(a, 5), b, cut(b, 22), text(3, 204))]
+    fps = wide_fingerprints(texts).view(np.int64)
+    rows = pa.table({"key": [1, 1, 1, 1, 2], "id": [10, 11, 12, 13, 14], **{f: fps[:, k] for k, f in enumerate(simhash.WIDE)}})
+    edges = simhash._loose_edges(LOOSE_DISTANCE)
+    assert edges(rows).to_pydict() == {"a": [10, 12], "b": [11, 13]}
+    assert edges(rows.slice(4)).num_rows == 0
+    monkeypatch.setattr(GrayIndex, "links", lambda *a, **k: iter([]))
+    assert edges(rows).num_rows == 0

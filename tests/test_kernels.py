@@ -181,3 +181,31 @@ def test_smoothing_moves_one_end():
 
 def test_pick_ends():
     assert pick(np.array([0.0, 1.0, 0.0]), 0.999999) == 1 and pick(np.array([1.0, 1.0]), 0.6) == 1
+
+
+def test_cheapest_predecessors_match_a_look_at_all():
+    from pointveil.plans.kernel import SMALL, cheapest
+
+    rng = np.random.default_rng(4)
+    for n in (5, SMALL + 60):
+        for share in (0.0, 0.01, 0.5):
+            edge = rng.random((n, n)) < share
+            edge[:, : n // 5] = False  # nodes that nothing leads to
+            for nodes in (None, np.sort(rng.choice(n, n - 2, replace=False))):
+                cost = rng.integers(0, 9, n if nodes is None else n - 2).astype(float)  # many ties
+                cost[rng.random(len(cost)) < 0.2] = np.inf
+                total = np.where(edge if nodes is None else edge[np.ix_(nodes, nodes)], cost[:, None], np.inf)
+                best, least = cheapest(cost, edge, nodes)
+                assert (least == total.min(axis=0)).all()
+                assert (best == total.argmin(axis=0))[np.isfinite(least)].all()
+
+
+def test_private_stage_is_dealt_to_all_cores(spark):
+    from pyspark.sql import functions as F
+
+    from pointveil import workloads
+    from pointveil.plans import pipeline
+
+    _, traj, k = workloads.event_city(spark, "/root/testdata/sf0.001", Cfg())
+    rows = pipeline.run("indep_free", traj, k, Cfg(seed="7")).rows
+    assert rows.select(F.spark_partition_id().alias("task")).distinct().count() > spark.sparkContext.defaultParallelism

@@ -120,3 +120,14 @@ def test_small_gap_edges_respect_speed(spark):
     poi = Q.S.event_poi(spark, SF)
     n = {s: Q.reach.valid_only(Q.S.event_traj(spark, SF), poi, Cfg(speed_kmh=float(s)), False).select("traj_id").distinct().count() for s in (4, 8)}
     assert n == {4: 96, 8: 122}
+
+
+@pytest.mark.parametrize("name", ["time_slots"])
+def test_small_domains_are_read_from_events(spark, name):
+    got, want = Q.QUERIES[name](spark, SF), twin(name)
+    rows = lambda df: sorted(map(tuple, df[sorted(df.columns)].itertuples(index=False, name=None)))
+    assert any(f.endswith("/events.parquet") for f in got.inputFiles())
+    assert rows(got.toPandas()) == rows(want) and len(want)
+
+
+def test_search_space_of_columns(spark
\ No newline at end of file

@@ -122,7 +122,7 @@ def test_small_gap_edges_respect_speed(spark):
     assert n == {4: 96, 8: 122}
 
 
-@pytest.mark.parametrize("name", ["time_slots"])
+@pytest.mark.parametrize("name", ["time_slots", "dist_time_pairs"])
 def test_small_domains_are_read_from_events(spark, name):
     got, want = Q.QUERIES[name](spark, SF), twin(name)
     rows = lambda df: sorted(map(tuple, df[sorted(df.columns)].itertuples(index=False, name=None)))
@@ -130,4 +130,4 @@ def test_small_domains_are_read_from_events(spark, name):
     assert rows(got.toPandas()) == rows(want) and len(want)
 
 
-def test_search_space_of_columns(spark
\ No newline at end of file
+def test_search_spa
\ No newline at end of file

@@ -122,7 +122,7 @@ def test_small_gap_edges_respect_speed(spark):
     assert n == {4: 96, 8: 122}
 
 
-@pytest.mark.parametrize("name", ["time_slots", "dist_time_pairs"])
+@pytest.mark.parametrize("name", ["time_slots", "dist_time_pairs", "search_space_size"])
 def test_small_domains_are_read_from_events(spark, name):
     got, want = Q.QUERIES[name](spark, SF), twin(name)
     rows = lambda df: sorted(map(tuple, df[sorted(df.columns)].itertuples(index=False, name=None)))
@@ -130,4 +130,8 @@ def test_small_domains_are_read_from_events(spark, name):
     assert rows(got.toPandas()) == rows(want) and len(want)
 
 
-def test_search_spa
\ No newline at end of file
+def test_search_space_of_columns(spark):
+    from pointveil.operators import cost
+
+    df = spark.createDataFrame([(1000, n) for n in range(3, 9)], "p int, n int").select("n", cost.log10_space(F.col("p"), F.col("n"), 15, 0.2).alias("v"))
+    assert all(r.v == pytest.approx(cost.log10_search_space(1000, r.n, 15, 0.2), abs=1e-9) for r in df.collect())

@@ -50,10 +50,15 @@ def features(pixels: np.ndarray) -> str:
     flat = pixels.reshape(-1)
     if len(flat) < 64:
         flat = np.pad(flat, (0, 64 - len(flat)))
-    means = pixels.reshape(-1, 4).sum(axis=0, dtype=np.int64) / (pixels.size // 4)
-    cut = len(flat) * np.arange(65) // 64
-    cells = np.add.reduceat(flat, cut[:-1], dtype=np.int64) / np.diff(cut)
-    bits = np.packbits(cells > flat.sum(dtype=np.int64) / len(flat)).tobytes().hex()
+    if len(flat) % 64 == 0:  # whole cells, and rows that are wide enough to be summed fast
+        total = flat.reshape(-1, 64).sum(axis=0, dtype=np.int64).reshape(-1, 4).sum(axis=0)
+        cells = flat.reshape(64, -1).sum(axis=1, dtype=np.int64) / (len(flat) // 64)
+    else:
+        total = pixels.reshape(-1, 4).sum(axis=0, dtype=np.int64)
+        cut = len(flat) * np.arange(65) // 64
+        cells = np.add.reduceat(flat, cut[:-1], dtype=np.int64) / np.diff(cut)
+    means = total / (pixels.size // 4)
+    bits = np.packbits(cells > total.sum() / len(flat)).tobytes().hex()
     return f"{pixels.shape[1]}x{pixels.shape[0]};" + ",".join(f"{m:.3f}" for m in means) + f";{bits}"
 
 

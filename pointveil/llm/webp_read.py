@@ -440,4 +440,4 @@ def decode(data: bytes, tally: dict[str, int] | None = None) -> np.ndarray:
             split = (index[:, :, None] >> (n * np.arange(1 << block))) & ((1 << n) - 1)
             index = split.reshape(height, -1)[:, :before].ravel()
             argb = np.where(index < len(extra), extra[np.minimum(index, len(extra) - 1)], np.uint32(0))
-    return np.ascontiguousarray(argb.astype("<u4", copy=False).view(np.uint8).reshape(height, width, 4)[:, :, ::-1])
+    return argb.astype(">u4").view(np.uint8).reshape(height, width, 4)

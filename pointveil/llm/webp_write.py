@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import functools
+import math
+import re
 
 import numpy as np
 
@@ -16,6 +18,10 @@ MOST_RUN, MOST_BACK, LEAST_RUN = 4096, (1 << 20) - 120, 3
 WIDE_BLOCK = 9
 
 
+#: Runs of code lengths that are told as runs: three zeros or more, or a length and three more of it.
+_LONG_RUN = re.compile(rb"\x00{3,}|([^\x00])\1{3,}", re.DOTALL)
+
+
 class _Out:
     """Bits to come, least significant first: values and their widths, singly or as arrays."""
 
@@ -142,28 +148,26 @@ def _codes(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def _runs(lengths: np.ndarray) -> tuple[list[int], list[int], list[int]]:
     """(symbols, extra bits, their numbers) of the run-length coded code lengths, without the last zeros."""
-    kept = lengths[: lengths.nonzero()[0][-1] + 1]
-    starts = [0, *((kept[1:] != kept[:-1]).nonzero()[0] + 1).tolist(), len(kept)]
+    kept = lengths.astype(np.uint8).tobytes().rstrip(b"\0")
     symbols: list[int] = []
-    extra: dict[int, tuple[int, int]] = {}
-    for value, start, stop in zip(kept[starts[:-1]].tolist(), starts, starts[1:]):
-        times = stop - start
-        if times == 1:
-            symbols.append(value)
-            continue
-        if value or times < 3:
-            symbols.append(value)
-            times -= 1
+    extra: list[tuple[int, int, int]] = []
+    done = 0
+    for found in _LONG_RUN.finditer(kept):
+        start, stop = found.span()
+        value = kept[start]
+        symbols += kept[done : start + (value > 0)]
+        times, done = stop - start - (value > 0), stop
         while times > 2:
             kind, least, most, n = (16, 3, 6, 2) if value else (18, 11, 138, 7) if times > 10 else (17, 3, 10, 3)
             now = min(times, most)
-            extra[len(symbols)] = (now - least, n)
+            extra.append((len(symbols), now - least, n))
             symbols.append(kind)
             times -= now
         if times:
             symbols += [value] * times
+    symbols += kept[done:]
     bits, sizes = [0] * len(symbols), [0] * len(symbols)
-    for at, (more, n) in extra.items():
+    for at, more, n in extra:
         bits[at], sizes[at] = more, n
     return symbols, bits, sizes
 
@@ -196,8 +200,11 @@ class Code:
 
 def _last_equal(words: np.ndarray) -> np.ndarray:
     """The last earlier position of the same word, or -1."""
-    order = np.argsort(words, kind="stable")
-    same = (words[order[1:]] == words[order[:-1]]).nonzero()[0]
+    keys = words.astype(np.uint64) << np.uint64(32)
+    keys |= np.arange(len(words), dtype=np.uint64)
+    keys.sort()
+    order, key = (keys & np.uint64(0xFFFFFFFF)).astype(np.int64), keys >> np.uint64(32)
+    same = (key[1:] == key[:-1]).nonzero()[0]
     out = np.full(len(words), -1, dtype=np.int64)
     out[order[same + 1]] = order[same]
     return out
@@ -232,7 +239,7 @@ def cover(argb: np.ndarray, cache: int, refs: bool) -> tuple[np.ndarray, np.ndar
     slot = np.full(n, -1, dtype=np.int64)
     if cache:
         hashed = (argb * np.uint32(CACHE_FACTOR)) >> np.uint32(32 - cache)
-        hit = (before >= 0) & (_last_equal(hashed.astype(np.uint16)) == before) & (run == 0)
+        hit = (before >= 0) & (_last_equal(hashed) == before) & (run == 0)
         slot[hit] = hashed[hit]
     return position, run[position], distance[position], slot[position]
 
@@ -333,7 +340,7 @@ def encode(pixels: np.ndarray, palette: bool = False, predictor: int | None = No
     out = _Out()
     for value, n in ((SIGNATURE, 8), (width - 1, 14), (height - 1, 14), (1, 1), (0, 3)):
         out.put(value, n)
-    argb, stored = joined(*pixels.reshape(-1, 4).T), width
+    argb, stored = np.ascontiguousarray(pixels).view(">u4").ravel().astype("<u4"), width
     if palette:
         table, index = np.unique(argb, return_inverse=True)
         if len(table) > 256:
@@ -393,12 +400,17 @@ def _less_green(argb: np.ndarray) -> np.ndarray:
 _N_LOG_N = np.concatenate([[0.0], np.arange(1, 1 << 12) * np.log2(np.arange(1, 1 << 12))])
 
 
+def _costs(parts: list[np.ndarray]) -> list[float]:
+    """Bits of each part's 8-bit samples under one code."""
+    counts = np.stack([np.bincount(x.ravel(), minlength=256) for x in parts])
+    sizes = [x.size for x in parts]
+    each = _N_LOG_N[counts] if max(sizes) < len(_N_LOG_N) else counts * np.log2(np.maximum(counts, 1))
+    return [n * math.log2(max(1, n)) - bits for n, bits in zip(sizes, each.sum(axis=1).tolist())]
+
+
 def _cost(samples: np.ndarray) -> float:
-    """Bits of 8-bit samples under one code."""
-    n = samples.size
-    counts = np.bincount(samples.ravel(), minlength=256)
-    each = _N_LOG_N[counts] if n < len(_N_LOG_N) else counts * np.log2(np.maximum(counts, 1))
-    return n * float(np.log2(max(1, n))) - float(each.sum())
+    """``_costs`` of one part."""
+    return _costs([samples])[0]
 
 
 def _slopes(p: np.ndarray) -> tuple[int, int, int]:
@@ -418,19 +430,19 @@ def chosen(pixels: np.ndarray, cache: int) -> dict:
     green, or none of them; ties go to the earlier of them."""
     width = pixels.shape[1]
     p = np.ascontiguousarray(pixels.reshape(-1, 4))
-    choices = [({}, _cost(p))]
     alike = p.copy()
     alike[:, 1::2] -= p[:, 2:3]
-    choices.append(({"green": True}, _cost(alike)))
+    tried = [({}, 0, p), ({"green": True}, 0, alike)]
     flat = p.ravel()
     for mode, step in ((1, 4), (2, 4 * width)):
         if len(flat) > step:  # the first pixels, which look elsewhere, are left out of the estimate
-            choices.append(({"predictor": mode}, 100 + 8 * step + _cost(flat[step:] - flat[:-step])))
+            tried.append(({"predictor": mode}, 100 + 8 * step, flat[step:] - flat[:-step]))
     factors = _slopes(p)
     if any(factors):
         argb = p[:, ::-1].copy().view("<u4").ravel()
         left = cross(argb, width, WIDE_BLOCK, np.full((len(p) // (width << WIDE_BLOCK) + 1) * (-(-width >> WIDE_BLOCK)), _factor_word(factors), dtype=np.uint32), False)
-        choices.append(({"cross_colour": factors}, 100 + _cost(left.view(np.uint8).reshape(-1, 4))))
+        tried.append(({"cross_colour": factors}, 100, left.view(np.uint8).reshape(-1, 4)))
+    choices = [(options, more + bits) for (options, more, _), bits in zip(tried, _costs([x for _, _, x in tried]))]
     words = np.sort(p.view("<u4").ravel())
     if np.count_nonzero(words[1:] != words[:-1]) < 256:
         table, index = np.unique(p.view("<u4").ravel(), return_inverse=True)

@@ -6,7 +6,6 @@ undoes all of the format, symbol by symbol through lookup tables.
 
 from __future__ import annotations
 
-import gc
 import hashlib
 import zlib
 from collections.abc import Iterator
@@ -83,7 +82,6 @@ def media_columns(docs: DataFrame) -> DataFrame:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        gc.freeze()  # modules and code tables stay: garbage collections need not look through them
         names = [f.split()[0] for f in FIELDS.split(", ")]
         for batch in batches:
             for part in byte_chunks(batch):

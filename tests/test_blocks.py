@@ -77,6 +77,48 @@ def test_fill_is_uniform_over_the_completions():
     assert ((counts - expected) ** 2 / expected).sum() < len(all_) + 5 * np.sqrt(2 * len(all_))
 
 
+def test_hard_fills_have_the_law_of_trying(monkeypatch):
+    from pointveil.plans import kernel as module
+
+    monkeypatch.setattr(module, "FIRST_TRIES", ())
+    monkeypatch.setattr(module, "COUNT_CELLS", 1 << 12)
+    k = city(8)
+    k.open_slots[:] = np.random.default_rng(1).random(k.open_slots.shape) < 0.4
+    k.region_members[24 + 8] = k.region_members[24 + 8][:1]  # lists of several lengths
+    for path in ([8, 24 + 8], [8, 48 + 8, 24 + 8]):
+        kernel = Kernel(k, Cfg(seed="7", speed_kmh=8.0, gamma=100))
+        spots = [[(int(p), int(s)) for p in k.region_members[r] for s in k.region_slots[r]] for r in path]
+        every = list(itertools.product(*spots))
+        all_ = [x for x in every if kernel.feasible([p for p, _ in x], [s for _, s in x])]
+        n, share = 4000, len(all_) / len(every)
+        others = [8] * (len(path) - 1) + [32 + 8]  # rows of other sizes beside
+        p, t, smoothed, attempts = kernel.fills([f"t{i}" for i in range(n)], np.array([path if i % 8 else others for i in range(n)]))
+        mine = np.arange(n) % 8 > 0
+        most = min(len(every), 100)
+        failed = (1 - share) ** most
+        assert abs(smoothed[mine].mean() - failed) < 0.02
+        ok = mine & ~smoothed
+        mean = sum(i * share * (1 - share) ** (i - 1) for i in range(1, most + 1)) / (1 - failed)
+        assert abs(attempts[ok].mean() / mean - 1) < 0.1
+        seen = [all_.index(tuple(zip(a, b))) for a, b in zip(p[ok].tolist(), t[ok].tolist())]
+        counts = np.bincount(seen, minlength=len(all_))
+        expected = ok.sum() / len(all_)
+        assert ((counts - expected) ** 2 / expected).sum() < len(all_) + 5 * np.sqrt(2 * len(all_))
+
+
+def test_hard_fills_are_not_tried_thousands_of_times(monkeypatch):
+    from pointveil.plans import kernel as module
+
+    numbers, mixed = [], module._below
+    monkeypatch.setattr(module, "_below", lambda x, n: numbers.append(len(x)) or mixed(x, n))
+    k = city(8)
+    k.open_slots[:, 52:] = False  # the slots of one hour must rise in its first four
+    path = [8, 24 + 8, 48 + 8, 72 + 8]
+    kernel = Kernel(k, Cfg(seed="7", speed_kmh=100.0))
+    _, _, smoothed, attempts = kernel.fills([f"t{i}" for i in range(50)], np.tile(path, (50, 1)))
+    assert (attempts[~smoothed] > 200).any() and sum(numbers) < 50 * 2000
+
+
 def test_people_are_made_in_many_tasks(spark):
     from pyspark.sql import functions as F
 

@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import byte_chunks, texts_of
+from .webp_many import read_many, stored
 from .webp_planes import MOST_SIDE
 from .webp_read import decode
 from .webp_write import chosen, encode
@@ -34,14 +35,22 @@ def shape_of(n_bytes: int) -> tuple[int, int]:
 STORE_CACHE = 8
 
 
+#: Payloads of up to so many bytes are stored and read many together: so many images, of so many bytes in all.
+MANY_BYTES, MANY_IMAGES, MANY_TOTAL = 1 << 15, 256, 1 << 20
+
+
+def _pixels(payload: bytes) -> np.ndarray:
+    height, width = shape_of(len(payload))
+    full = payload + b"\0" * (4 * height * width - len(payload))
+    return np.frombuffer(full, dtype=np.uint8).reshape(height, width, 4)
+
+
 def store(payload: bytes) -> bytes:
     """Lossless WebP of a payload, with the transform that suits it, back-references and a colour cache.
 
     The payload's length is a positive multiple of 64; a wider last row ends in zeros.
     """
-    height, width = shape_of(len(payload))
-    full = payload + b"\0" * (4 * height * width - len(payload))
-    pixels = np.frombuffer(full, dtype=np.uint8).reshape(height, width, 4)
+    pixels = _pixels(payload)
     return encode(pixels, **chosen(pixels, STORE_CACHE))
 
 
@@ -65,15 +74,46 @@ def features(pixels: np.ndarray) -> str:
 FIELDS = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
 
 
-def media_row(text: bytes) -> tuple:
-    """The digest columns of one text, all taken from the stored bytes read back."""
+def _padded(text: bytes) -> bytes:
+    return text + b"\0" * (max(64, -(-len(text) // 64) * 64) - len(text))
+
+
+def _told(text: bytes, media: bytes, pixels: np.ndarray) -> tuple:
     payload_bytes = max(64, -(-len(text) // 64) * 64)
-    media = store(text + b"\0" * (payload_bytes - len(text)))
-    pixels = decode(media)
     back = pixels.tobytes()[:payload_bytes]
     return len(text), payload_bytes, hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(media), hashlib.sha256(media).hexdigest(), features(pixels)
 
 
+def media_row(text: bytes) -> tuple:
+    """The digest columns of one text, all taken from the stored bytes read back."""
+    media = store(_padded(text))
+    return _told(text, media, decode(media))
+
+
+def media_rows(texts: list[bytes]) -> list[tuple]:
+    """``media_row`` of every text; short ones are stored and read together, like lengths first."""
+    rows: list[tuple | None] = [None] * len(texts)
+    part, total = [], 0
+    for i in sorted(range(len(texts)), key=lambda i: len(texts[i])):
+        if len(texts[i]) > MANY_BYTES:
+            rows[i] = media_row(texts[i])
+            continue
+        if part and (len(part) == MANY_IMAGES or total + len(texts[i]) > MANY_TOTAL):
+            _tell_part(texts, part, rows)
+            part, total = [], 0
+        part.append(i)
+        total += len(texts[i])
+    if part:
+        _tell_part(texts, part, rows)
+    return rows
+
+
+def _tell_part(texts: list[bytes], part: list[int], rows: list) -> None:
+    media = stored([_pixels(_padded(texts[i])) for i in part], STORE_CACHE)
+    for i, one, pixels in zip(part, media, read_many(media)):
+        rows[i] = _told(texts[i], one, pixels)
+
+
 def media_columns(docs: DataFrame) -> DataFrame:
     """Store every whole text (null: empty) as a lossless WebP image and describe what is read back.
 
@@ -86,7 +126,8 @@ def media_columns(docs: DataFrame) -> DataFrame:
         for batch in batches:
             for part in byte_chunks(batch):
                 texts = texts_of(part)
-                done = {t: media_row(t) for t in dict.fromkeys(texts)}  # equal texts have equal values
+                each = list(dict.fromkeys(texts))  # equal texts have equal values
+                done = dict(zip(each, media_rows(each)))
                 rows = list(zip(*map(done.__getitem__, texts)))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), *[pa.array(c) for c in rows]], names)
 

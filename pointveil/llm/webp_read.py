@@ -27,9 +27,13 @@ class Bits:
 
     def __init__(self, data: bytes):
         self.data, self.at, self.end = data, 0, 8 * len(data)
-        padded = data + bytes(32)
-        self.raw = np.ndarray(len(data) + 24, dtype="<u4", buffer=padded, strides=(1,)).astype(np.int64)
-        self.words = np.ndarray(len(data) + 8, dtype="<u8", buffer=padded, strides=(1,)).tolist()
+        self.padded = data + bytes(32)
+        self.words = np.ndarray(len(data) + 8, dtype="<u8", buffer=self.padded, strides=(1,)).tolist()
+
+    @functools.cached_property
+    def raw(self) -> np.ndarray:
+        """The 32 bits from every byte on."""
+        return np.ndarray(len(self.data) + 24, dtype="<u4", buffer=self.padded, strides=(1,)).astype(np.int64)
 
     def read(self, n: int) -> int:
         """The next ``n`` (at most 24) bits."""
@@ -166,7 +170,7 @@ def _tables(group: list[Prefix]) -> tuple:
     return *green.green_table(), *red.table(16), *blue.table(0), *alpha.table(24), *distance.table(0)
 
 
-def _extra(symbol: int, bits: Bits) -> int:
+def extra_of(symbol: int, bits: Bits) -> int:
     """The value of a length or distance symbol."""
     if symbol < 4:
         return symbol + 1
@@ -174,24 +178,36 @@ def _extra(symbol: int, bits: Bits) -> int:
     return ((2 + (symbol & 1)) << more) + bits.read(more) + 1
 
 
-def _plane(code: int, width: int) -> int:
+def plane_of(code: int, width: int) -> int:
     if code > len(NEAR):
         return code - len(NEAR)
     x, y = NEAR[code - 1]
     return max(1, x + y * width)
 
 
-def read_pixels(bits: Bits, width: int, height: int, main: bool, tally: dict[str, int] | None = None) -> np.ndarray:
-    """ARGB words of an entropy-coded image; ``tally`` counts the literals, back-references and cached colours."""
+def _cache_of(bits: Bits) -> int:
     cache = bits.read(4) if bits.read(1) else 0
     if cache > 11:
         raise ValueError("the colour cache is too large")
+    return cache
+
+
+def group_of(bits: Bits) -> tuple[int, list[Prefix] | None]:
+    """(cache bits, codes) of a main image with one code group; no codes are read if there are more."""
+    cache = _cache_of(bits)
+    return cache, None if bits.read(1) else _group(bits, cache)
+
+
+def read_pixels(bits: Bits, width: int, height: int, main: bool, tally: dict[str, int] | None = None, codes: tuple[int, list[Prefix]] | None = None) -> np.ndarray:
+    """ARGB words of an entropy-coded image; ``tally`` counts the literals, back-references and cached colours.
+    ``codes``: what ``group_of`` has read already."""
+    cache = codes[0] if codes else _cache_of(bits)
     block, of_block, groups_n = 0, None, 1
-    if main and bits.read(1):
+    if main and not codes and bits.read(1):
         block = bits.read(3) + 2
         of_block = ((read_pixels(bits, -(-width >> block), -(-height >> block), False) >> np.uint32(8)) & np.uint32(0xFFFF)).tolist()
         groups_n = max(of_block) + 1
-    groups = [_group(bits, cache) for _ in range(groups_n)]
+    groups = [codes[1]] if codes else [_group(bits, cache) for _ in range(groups_n)]
     try:
         if of_block is None:
             out = _read_stretches(bits, groups[0], width, width * height, cache, tally)
@@ -258,10 +274,10 @@ def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cac
             look = index[here]
             bits.at = at + here + int(sizes[0][look])
             symbol = int(group[0].symbols[look])
-            run = _extra(symbol - GREEN, bits)
+            run = extra_of(symbol - GREEN, bits)
             d = distance[words[bits.at >> 3] >> (bits.at & 7) & distance_m]
             bits.at += d & 15
-            back = _plane(_extra(d >> 4, bits), width)
+            back = plane_of(extra_of(d >> 4, bits), width)
             pos = total - left
             if back > pos or run > left:
                 raise ValueError("a back-reference leaves the image")
@@ -283,7 +299,7 @@ def _read_stretches(bits: Bits, group: list[Prefix], width: int, total: int, cac
         cached = int((slot >= 0).sum())
         for name, count in (("literals", total - copied - cached), ("references", len(copies)), ("cached", cached)):
             tally[name] = tally.get(name, 0) + count
-    return _traced(value, slot, copies, cache)
+    return traced(value, slot, copies, cache)
 
 
 def _place(looks, where, group, masks, literal, cache, spot, value, slot) -> None:
@@ -302,8 +318,9 @@ def _place(looks, where, group, masks, literal, cache, spot, value, slot) -> Non
         slot[spot[rest]] = symbol[rest] - GREEN - LENGTHS
 
 
-def _traced(value: np.ndarray, slot: np.ndarray, copies: list[tuple[int, int, int]], cache: int) -> np.ndarray:
-    """Pixels where copies and cached colours have the values of the literals that they repeat.
+def traced(value: np.ndarray, slot: np.ndarray, copies: list[tuple[int, int, int]], cache: int, image: np.ndarray | None = None) -> np.ndarray:
+    """Pixels where copies and cached colours have the values of the literals that they repeat; ``image`` parts the pixels of
+    several images, which share no cache.
 
     A cached colour repeats the last pixel before it that fell into its slot; a copied pixel falls into the slot of
     the one it copies.
@@ -321,7 +338,10 @@ def _traced(value: np.ndarray, slot: np.ndarray, copies: list[tuple[int, int, in
         falls = np.where(asks, slot, (value * CACHE_FACTOR & 0xFFFFFFFF) >> (32 - cache))[source]
         order = np.argsort(falls.astype(np.uint16), kind="stable")
         before = np.full(len(value), -1)
-        same = (falls[order[1:]] == falls[order[:-1]]).nonzero()[0]
+        same = falls[order[1:]] == falls[order[:-1]]
+        if image is not None:
+            same &= image[order[1:]] == image[order[:-1]]
+        same = same.nonzero()[0]
         before[order[same + 1]] = order[same]
         first = asks & (before < 0)  # an empty slot is 0
         source = np.where(asks & ~first, before, source)
@@ -367,10 +387,10 @@ def _read_symbols(bits: Bits, groups: list[tuple], width: int, total: int, cache
             cached += 1
             continue
         bits.at = at
-        run = _extra(s - GREEN, bits)
+        run = extra_of(s - GREEN, bits)
         d = distance[words[bits.at >> 3] >> (bits.at & 7) & distance_m]
         bits.at += d & 15
-        back = _plane(_extra(d >> 4, bits), width)
+        back = plane_of(extra_of(d >> 4, bits), width)
         at = bits.at
         if back > pos or pos + run > total:
             raise ValueError("a back-reference leaves the image")
@@ -388,8 +408,8 @@ def _read_symbols(bits: Bits, groups: list[tuple], width: int, total: int, cache
     return out
 
 
-def decode(data: bytes, tally: dict[str, int] | None = None) -> np.ndarray:
-    """Pixels (height, width, 4) as A, R, G, B bytes of a lossless WebP file or bare VP8L stream."""
+def opened(data: bytes) -> tuple[Bits, int, int, list[tuple], int]:
+    """(reader at the main image, width, height, transforms, stored width) of a lossless WebP file or bare VP8L stream."""
     if data[:4] == b"RIFF":
         if data[8:12] != b"WEBP":
             raise ValueError("not a WebP file")
@@ -422,7 +442,17 @@ def decode(data: bytes, tally: dict[str, int] | None = None) -> np.ndarray:
             table = joined(*[c.cumsum() & 255 for c in channels(table)])
             steps.append((kind, stored, pack_bits(colours), table))
             stored = -(-stored >> steps[-1][2])
-    argb = read_pixels(bits, stored, height, True, tally)
+    return bits, width, height, steps, stored
+
+
+def decode(data: bytes, tally: dict[str, int] | None = None) -> np.ndarray:
+    """Pixels (height, width, 4) as A, R, G, B bytes of a lossless WebP file or bare VP8L stream."""
+    bits, width, height, steps, stored = opened(data)
+    return undone(read_pixels(bits, stored, height, True, tally), width, height, steps, tally)
+
+
+def undone(argb: np.ndarray, width: int, height: int, steps: list[tuple], tally: dict[str, int] | None = None) -> np.ndarray:
+    """Pixels as A, R, G, B bytes of the stored words, with the transforms taken back."""
     for kind, before, block, extra in reversed(steps):
         if tally is not None:
             name = ("predictor", "cross_colour", "green", "palette")[kind]

@@ -46,19 +46,27 @@ class _Out:
             self.parts.append((np.array(self.values, dtype=np.int64), np.array(self.widths, dtype=np.int64)))
             self.values, self.widths = [], []
 
-    def bytes(self) -> bytes:
-        """All bits, in 64-bit words: a value lies in the word of its first bit, and what is over in the next."""
+    def all(self) -> tuple[np.ndarray, np.ndarray]:
+        """All values and their widths."""
         self._close()
-        values, widths = (np.concatenate(x) for x in zip(*self.parts))
-        ends = widths.cumsum()
-        start, values = ends - widths, values.astype(np.uint64)
-        word, shift = start >> 6, (start & 63).astype(np.uint64)
-        heads = np.concatenate([[0], (word[1:] != word[:-1]).nonzero()[0] + 1])
-        out = np.zeros((int(ends[-1]) >> 6) + 2, dtype=np.uint64)
-        out[word[heads]] = np.bitwise_or.reduceat(values << shift, heads)
-        over = ((start & 63) + widths > 64).nonzero()[0]
-        out[word[over] + 1] |= values[over] >> (np.uint64(64) - shift[over])
-        return out.astype("<u8", copy=False).tobytes()[: -(-int(ends[-1]) // 8)]
+        return tuple(np.concatenate(x) for x in zip(*self.parts)) if len(self.parts) > 1 else self.parts[0]
+
+    def bytes(self) -> bytes:
+        values, widths = self.all()
+        return _packed_bits(values, widths)[: -(-int(widths.sum()) // 8)]
+
+
+def _packed_bits(values: np.ndarray, widths: np.ndarray) -> bytes:
+    """All bits, in 64-bit words: a value lies in the word of its first bit, and what is over in the next."""
+    ends = widths.cumsum()
+    start, values = ends - widths, values.astype(np.uint64)
+    word, shift = start >> 6, (start & 63).astype(np.uint64)
+    heads = np.concatenate([[0], (word[1:] != word[:-1]).nonzero()[0] + 1])
+    out = np.zeros((int(ends[-1]) >> 6) + 2, dtype=np.uint64)
+    out[word[heads]] = np.bitwise_or.reduceat(values << shift, heads)
+    over = ((start & 63) + widths > 64).nonzero()[0]
+    out[word[over] + 1] |= values[over] >> (np.uint64(64) - shift[over])
+    return out.astype("<u8", copy=False).tobytes()
 
 
 def code_lengths(counts: np.ndarray, most: int) -> np.ndarray:
@@ -172,6 +180,12 @@ def _runs(lengths: np.ndarray) -> tuple[list[int], list[int], list[int]]:
     return symbols, bits, sizes
 
 
+@functools.lru_cache(maxsize=256)
+def _distance_code(counts: bytes) -> "Code":
+    """The code of distance counts, which are few and often the same."""
+    return Code(np.frombuffer(counts, dtype=np.int64))
+
+
 class Code:
     """The prefix code fitted to symbol counts: ``bits`` and ``widths`` by symbol, and its own description."""
 
@@ -188,45 +202,63 @@ class Code:
         for s in symbols:
             counted[s] += 1
         by_order = _few_lengths(counted, MOST_LENGTH_CODE)
-        kinds = max(4, 1 + max(i for i, s in enumerate(LENGTH_ORDER) if by_order[s]))
+        in_order = [by_order[s] for s in LENGTH_ORDER]
+        kinds = 19
+        while kinds > 4 and not in_order[kinds - 1]:
+            kinds -= 1
         size = max(2, (len(symbols) - 2).bit_length())  # the number of runs is told, so the last zeros need none
         size += size & 1
         bits, widths = _few_codes(by_order)
         self.told = (
-            [0, kinds - 4, *[by_order[s] for s in LENGTH_ORDER[:kinds]], 1, (size - 2) // 2, len(symbols) - 2, *[bits[s] | e << widths[s] for s, e in zip(symbols, extra)]],
+            [0, kinds - 4, *in_order[:kinds], 1, (size - 2) // 2, len(symbols) - 2, *[bits[s] | e << widths[s] for s, e in zip(symbols, extra)]],
             [1, 4, *[3] * kinds, 1, 3, size, *[widths[s] + n for s, n in zip(symbols, sizes)]],
         )
 
 
-def _last_equal(words: np.ndarray) -> np.ndarray:
-    """The last earlier position of the same word, or -1."""
+def _last_equal(words: np.ndarray, image: np.ndarray | None = None) -> np.ndarray:
+    """The last earlier position of the same word, or -1; ``image`` parts the pixels of several images."""
     keys = words.astype(np.uint64) << np.uint64(32)
     keys |= np.arange(len(words), dtype=np.uint64)
     keys.sort()
     order, key = (keys & np.uint64(0xFFFFFFFF)).astype(np.int64), keys >> np.uint64(32)
-    same = (key[1:] == key[:-1]).nonzero()[0]
+    same = key[1:] == key[:-1]
+    if image is not None:
+        same &= image[order[1:]] == image[order[:-1]]
+    same = same.nonzero()[0]
     out = np.full(len(words), -1, dtype=np.int64)
     out[order[same + 1]] = order[same]
     return out
 
 
+def slots_of(argb: np.ndarray, cache: int) -> np.ndarray:
+    """Cache slots of colours."""
+    return (argb * np.uint32(CACHE_FACTOR)) >> np.uint32(32 - cache)
+
+
 def cover(argb: np.ndarray, cache: int, refs: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(position, run, distance, cache slot) of symbols that make up the pixels: run 0 is a literal, a cached colour
     has a slot (else -1); a back-reference goes to the last place where its first pixel stood, if enough follow."""
     n = len(argb)
-    before = _last_equal(argb)
+    return cover_all(argb, cache, refs, np.array([n]), np.zeros(n, dtype=np.int64), _last_equal(argb))
+
+
+def cover_all(argb: np.ndarray, cache: int, refs: bool, ends: np.ndarray, image: np.ndarray, before: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """``cover`` of images one after the other that end at ``ends``; ``before``: the last earlier position of every pixel's colour."""
+    n = len(argb)
     starts, runs, backs, covered = [], [], [], np.zeros(n, dtype=bool)
-    if refs and n > LEAST_RUN:
-        i = (before[: n - LEAST_RUN + 1] >= 0).nonzero()[0]
+    if refs:
+        i = (before >= 0).nonzero()[0]
+        size = np.diff(ends, prepend=0)
+        i = i[(i + LEAST_RUN <= ends[image[i]]) & (size[image[i]] > LEAST_RUN)]
         for k in range(1, LEAST_RUN):
             i = i[argb[i + k] == argb[before[i] + k]]
         i = i[i - before[i] <= MOST_BACK]
         pixels, end = argb.tolist() if len(i) else [], 0
-        for at, back in zip(i.tolist(), (i - before[i]).tolist()):
+        for at, back, last in zip(i.tolist(), (i - before[i]).tolist(), ends[image[i]].tolist()):
             if at < end:
                 continue
             end = at + LEAST_RUN
-            stop = min(n, at + MOST_RUN)
+            stop = min(last, at + MOST_RUN)
             while end < stop and pixels[end] == pixels[end - back]:
                 end += 1
             starts.append(at)
@@ -238,8 +270,8 @@ def cover(argb: np.ndarray, cache: int, refs: bool) -> tuple[np.ndarray, np.ndar
     run[starts], distance[starts] = runs, backs
     slot = np.full(n, -1, dtype=np.int64)
     if cache:
-        hashed = (argb * np.uint32(CACHE_FACTOR)) >> np.uint32(32 - cache)
-        hit = (before >= 0) & (_last_equal(hashed) == before) & (run == 0)
+        hashed = slots_of(argb, cache)
+        hit = (before >= 0) & (_last_equal(hashed, image) == before) & (run == 0)
         slot[hit] = hashed[hit]
     return position, run[position], distance[position], slot[position]
 
@@ -265,6 +297,72 @@ def _near_codes(width: int) -> np.ndarray:
     return near
 
 
+def _distance_codes(far: np.ndarray, width: int) -> np.ndarray:
+    near = _near_codes(width)
+    return np.where(far < len(near), near[np.minimum(far, len(near) - 1)], far + len(NEAR))
+
+
+def write_many(images: list[tuple[_Out, np.ndarray, int]], cache: int) -> list[bytes]:
+    """Bit streams of images (``headed``), each ended by the entropy-coded main image that ``write_pixels`` gives with
+    back-references and a cache: symbols, counts and bits of all images are made together, codes one by one."""
+    n, argb = len(images), np.concatenate([x[1] for x in images])
+    sizes = np.array([len(x[1]) for x in images])
+    of_pixel = np.repeat(np.arange(n), sizes)
+    position, run, distance, slot = cover_all(argb, cache, True, sizes.cumsum(), of_pixel, _last_equal(argb, of_pixel))
+    image = of_pixel[position]
+    b, g, r, a = argb.take(position).astype("<u4", copy=False).view(np.uint8).reshape(-1, 4).T.astype(np.int64, order="C")
+    literal, ref, cached = ((run == 0) & (slot < 0)).nonzero()[0], run.nonzero()[0], (slot >= 0).nonzero()[0]
+    width, far = np.array([x[2] for x in images])[image[ref]], distance[ref]
+    for w in np.unique(width).tolist():
+        far[width == w] = _distance_codes(far[width == w], w)
+    (size, size_bits, size_n), (reach, reach_bits, reach_n) = _split(run[ref]), _split(far)
+    first = g.copy()
+    first[cached], first[ref] = GREEN + LENGTHS + slot[cached], GREEN + size
+    alphabet = GREEN + LENGTHS + (1 << cache)
+    first += image * alphabet
+    of_literal, reach = image[literal] * 256, reach + image[ref] * DISTANCES
+    samples = [c.take(literal) + of_literal for c in (r, b, a)]
+    counted = [np.bincount(x, minlength=n * m).reshape(n, m) for x, m in ((first, alphabet), *[(x, 256) for x in samples], (reach, DISTANCES))]
+    bits, widths = [np.empty(x.shape, dtype=np.int64) for x in counted], [np.empty(x.shape, dtype=np.int64) for x in counted]
+    for i, (out, _, _) in enumerate(images):
+        out.put_list([1, cache, 0], [1, 4, 1])
+        three = [c[i] for c in counted[1:4]]
+        if _alike(three, int(three[0].sum())):
+            codes = [Code(three[0] + three[1] + three[2])] * 3
+        else:
+            codes = [Code(c) for c in three]
+        for k, code in enumerate((Code(counted[0][i]), *codes, _distance_code(counted[4][i].tobytes()))):
+            out.put_list(*code.told)
+            bits[k][i], widths[k][i] = code.bits, code.widths
+    bits, widths = [x.ravel() for x in bits], [x.ravel() for x in widths]
+    word, wide = bits[0].take(first), widths[0].take(first)
+    now, n_now = word.take(literal), wide.take(literal)
+    for x, b, w in zip(samples, bits[1:4], widths[1:4]):
+        now |= b.take(x) << n_now
+        n_now += w.take(x)
+    word[literal], wide[literal] = now, n_now
+    now, n_now = word[ref], wide[ref]
+    for more, m in ((size_bits, size_n), (bits[4].take(reach), widths[4].take(reach)), (reach_bits, reach_n)):
+        now |= more << n_now
+        n_now += m
+    word[ref], wide[ref] = now, n_now
+    # every image: what stands before its symbols, the symbols, and nothing up to the next word of 64 bits
+    heads = [out.all() for out, _, _ in images]
+    head_n, symbols_n = np.array([len(v) for v, _ in heads]), np.bincount(image, minlength=n)
+    head_width = np.concatenate([w for _, w in heads])
+    own = np.repeat(np.arange(n), head_n)
+    used = np.bincount(own, head_width, n).astype(np.int64) + np.bincount(image, wide, n).astype(np.int64)
+    start = (head_n + symbols_n + 1).cumsum() - (head_n + symbols_n + 1)
+    values, sizes = np.zeros(int((head_n + symbols_n + 1).sum()), dtype=np.int64), np.empty(int((head_n + symbols_n + 1).sum()), dtype=np.int64)
+    at_head = np.arange(len(own)) + (start - (head_n.cumsum() - head_n))[own]
+    at_symbol = np.arange(len(image)) + (start + head_n - (symbols_n.cumsum() - symbols_n))[image]
+    values[at_head], sizes[at_head] = np.concatenate([v for v, _ in heads]), head_width
+    values[at_symbol], sizes[at_symbol] = word, wide
+    sizes[start + head_n + symbols_n] = -used % 64
+    packed, ends = _packed_bits(values, sizes), (used + -used % 64).cumsum() // 8
+    return [packed[e - (-(-u // 64) * 8) : e - (-(-u // 64) * 8) + -(-u // 8)] for e, u in zip(ends.tolist(), used.tolist())]
+
+
 def _alike(counts: list[np.ndarray], n: int) -> bool:
     """Whether one code suits the three channels: their histograms of ``n`` samples are about as far apart as chance has it."""
     r, b, a = counts
@@ -288,9 +386,7 @@ def write_pixels(out: _Out, argb: np.ndarray, width: int, cache: int = 0, refs:
         of_symbol = (position // width >> block) % groups
     b, g, r, a = argb.take(position).astype("<u4", copy=False).view(np.uint8).reshape(-1, 4).T.astype(np.int64, order="C")
     literal, ref, cached = ((run == 0) & (slot < 0)).nonzero()[0], run.nonzero()[0], (slot >= 0).nonzero()[0]
-    near = _near_codes(width)
-    far = distance[ref]
-    far = np.where(far < len(near), near[np.minimum(far, len(near) - 1)], far + len(NEAR))
+    far = _distance_codes(distance[ref], width)
     (size, size_bits, size_n), (reach, reach_bits, reach_n) = _split(run[ref]), _split(far)
     first = g.copy()
     first[cached], first[ref] = GREEN + LENGTHS + slot[cached], GREEN + size
@@ -334,6 +430,20 @@ def encode(pixels: np.ndarray, palette: bool = False, predictor: int | None = No
     to blue, red to blue) factors. green: subtract green. cache: colour-cache bits. refs: back-references. groups:
     code groups.
     """
+    out, argb, stored = headed(pixels, palette, predictor, cross_colour, green, block)
+    write_pixels(out, argb, stored, cache, refs, True, groups, block)
+    return filed(out.bytes()) if riff else out.bytes()
+
+
+def filed(body: bytes) -> bytes:
+    """The file of a bit stream."""
+    padded = body + b"\0" * (len(body) & 1)
+    return b"RIFF" + (12 + len(padded)).to_bytes(4, "little") + b"WEBPVP8L" + len(body).to_bytes(4, "little") + padded
+
+
+def headed(pixels: np.ndarray, palette: bool = False, predictor: int | None = None, cross_colour: tuple[int, int, int] | None = None,
+           green: bool = False, block: int = 2) -> tuple[_Out, np.ndarray, int]:
+    """(stream up to the main image, the main image's pixels, their width)."""
     height, width = pixels.shape[:2]
     if not (1 <= width <= MOST_SIDE and 1 <= height <= MOST_SIDE):
         raise ValueError("a side must be 1 to 16384")
@@ -363,12 +473,7 @@ def encode(pixels: np.ndarray, palette: bool = False, predictor: int | None = No
         out.put(1, 1), out.put(2, 2)
         argb = _less_green(argb)
     out.put(0, 1)
-    write_pixels(out, argb, stored, cache, refs, True, groups, block)
-    body = out.bytes()
-    if not riff:
-        return body
-    padded = body + b"\0" * (len(body) & 1)
-    return b"RIFF" + (12 + len(padded)).to_bytes(4, "little") + b"WEBPVP8L" + len(body).to_bytes(4, "little") + padded
+    return out, argb, stored
 
 
 def _steps(table: np.ndarray) -> np.ndarray:
@@ -397,7 +502,7 @@ def _less_green(argb: np.ndarray) -> np.ndarray:
 
 
 #: n log2 n of the first counts.
-_N_LOG_N = np.concatenate([[0.0], np.arange(1, 1 << 12) * np.log2(np.arange(1, 1 << 12))])
+_N_LOG_N = np.concatenate([[0.0], np.arange(1, 1 << 16) * np.log2(np.arange(1, 1 << 16))])
 
 
 def _costs(parts: list[np.ndarray]) -> list[float]:
@@ -408,23 +513,44 @@ def _costs(parts: list[np.ndarray]) -> list[float]:
     return [n * math.log2(max(1, n)) - bits for n, bits in zip(sizes, each.sum(axis=1).tolist())]
 
 
-def _cost(samples: np.ndarray) -> float:
+def cost_of(samples: np.ndarray) -> float:
     """``_costs`` of one part."""
     return _costs([samples])[0]
 
 
-def _slopes(p: np.ndarray) -> tuple[int, int, int]:
-    """Cross-colour factors (32nds) that take most of red and blue off by signed green; 0 where that is under a tenth."""
-    c = p[:, 1:].T.copy().view(np.int8).astype(np.float64)
-    c -= c.mean(axis=1, keepdims=True)
-    shared = c @ c.T
-    spread, out = float(shared[1, 1]), []
-    for k in (0, 2):
-        common = float(shared[1, k])
-        out.append(max(-128, min(127, round(32 * common / spread))) if common * common > 0.1 * spread * float(shared[k, k]) else 0)
+def factors_of(n: int, sums: list[int], products: list[int]) -> tuple[int, int, int]:
+    """Cross-colour factors (32nds) that take most of red and blue off by signed green; 0 where that is under a tenth.
+
+    sums: of red, green, blue; products: of green and green, red and green, blue and green, red and red, blue and blue.
+    """
+    r, g, b = sums
+    spread, out = float(n * products[0] - g * g), []
+    for both, own, x in ((products[1], products[3], r), (products[2], products[4], b)):
+        common, own = float(n * both - x * g), float(n * own - x * x)
+        out.append(max(-128, min(127, round(32 * common / spread))) if common * common > 0.1 * spread * own else 0)
     return out[0], out[1], 0
 
 
+def _slopes(p: np.ndarray) -> tuple[int, int, int]:
+    """``factors_of`` of pixels."""
+    c = p[:, 1:].T.copy().view(np.int8).astype(np.int64)
+    return factors_of(len(p), c.sum(axis=1).tolist(), (c[[1, 0, 2, 0, 2]] * c[[1, 1, 1, 0, 2]]).sum(axis=1).tolist())
+
+
+def cross_left(p: np.ndarray, width: int, factors: tuple[int, int, int]) -> np.ndarray:
+    """Samples that the cross-colour factors leave."""
+    argb = p[:, ::-1].copy().view("<u4").ravel()
+    left = cross(argb, width, WIDE_BLOCK, np.full((len(p) // (width << WIDE_BLOCK) + 1) * (-(-width >> WIDE_BLOCK)), _factor_word(factors), dtype=np.uint32), False)
+    return left.view(np.uint8).reshape(-1, 4)
+
+
+def palette_cost(p: np.ndarray, width: int) -> float:
+    """Bits of a palette of the pixels and of its indices."""
+    table, index = np.unique(p.view("<u4").ravel(), return_inverse=True)
+    steps = np.diff(np.concatenate([[[0] * 4], table.view(np.uint8).reshape(-1, 4)]), axis=0) & 255
+    return 200 + cost_of(steps) + cost_of(channels(_packed(index, width, len(table))[0])[2])
+
+
 def chosen(pixels: np.ndarray, cache: int) -> dict:
     """Options of ``encode`` that cost an image least by estimate: a palette, one predictor, cross-colour or subtracted
     green, or none of them; ties go to the earlier of them."""
@@ -439,14 +565,10 @@ def chosen(pixels: np.ndarray, cache: int) -> dict:
             tried.append(({"predictor": mode}, 100 + 8 * step, flat[step:] - flat[:-step]))
     factors = _slopes(p)
     if any(factors):
-        argb = p[:, ::-1].copy().view("<u4").ravel()
-        left = cross(argb, width, WIDE_BLOCK, np.full((len(p) // (width << WIDE_BLOCK) + 1) * (-(-width >> WIDE_BLOCK)), _factor_word(factors), dtype=np.uint32), False)
-        tried.append(({"cross_colour": factors}, 100, left.view(np.uint8).reshape(-1, 4)))
+        tried.append(({"cross_colour": factors}, 100, cross_left(p, width, factors)))
     choices = [(options, more + bits) for (options, more, _), bits in zip(tried, _costs([x for _, _, x in tried]))]
     words = np.sort(p.view("<u4").ravel())
     if np.count_nonzero(words[1:] != words[:-1]) < 256:
-        table, index = np.unique(p.view("<u4").ravel(), return_inverse=True)
-        steps = np.diff(np.concatenate([[[0] * 4], table.view(np.uint8).reshape(-1, 4)]), axis=0) & 255
-        choices.append(({"palette": True}, 200 + _cost(steps) + _cost(channels(_packed(index, width, len(table))[0])[2])))
+        choices.append(({"palette": True}, palette_cost(p, width)))
     best = min(choices, key=lambda c: c[1])[0]
     return {**best, "cache": cache, "refs": True, "block": WIDE_BLOCK}

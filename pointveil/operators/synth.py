@@ -41,7 +41,7 @@ def panel(people: DataFrame, k: Knowledge, by_hour: np.ndarray, dwell_min: np.nd
 
     by_hour: places x 24 weights; dwell_min: sampled dwell minutes. Ends early if nothing is reachable or the day ends.
     """
-    shipped, held = k.shipped(), []
+    shipped, held, open_ = k.shipped(), [], {}
 
     def one(person: str):
         if not held:  # one per task
@@ -51,10 +51,12 @@ def panel(people: DataFrame, k: Knowledge, by_hour: np.ndarray, dwell_min: np.nd
         length, t = _length_and_start(rng, cfg)
         out: list = []
         while len(out) < length and t < cfg.slots:
-            w = by_hour[:, t * cfg.gt_min // 60] * shipped.open_slots[:, t]
+            if t not in open_:  # the weights of a slot's places, once per task
+                open_[t] = by_hour[:, t * cfg.gt_min // 60] * shipped.open_slots[:, t]
+            w = open_[t]
             if out:
                 w = w * kernel.edges_at(t - out[-1][1])[out[-1][0]]
-            if w.sum() <= 0:
+            if not w.any():
                 break
             out.append((pick(w, rng.random()), t))
             t += max(1, int((dwell_min[rng.integers(len(dwell_min))] + rng.uniform(0, 60)) // cfg.gt_min))

@@ -83,3 +83,13 @@ def test_popularity_threshold_goes_with_the_table(spark, tmp_path):
     more.withColumns({"user_id": F.col("user_id") + 15 * F.col("copy"), "event_id": F.col("event_id") + 1000 * F.col("copy")}).drop("copy").coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
     regions_of = lambda d: {r.order: r.regions for r in workloads.QUERIES["wk_merge_ablation"](spark, d).collect()}
     assert regions_of(str(tmp_path)) == regions_of(D)
+
+
+def test_length_sweep_builds_the_city_once(spark, monkeypatch):
+    from pointveil import workloads
+    from pointveil.plans import knowledge
+
+    built, build = [], knowledge.build
+    monkeypatch.setattr(knowledge, "build", lambda *a, **k: built.append(1) or build(*a, **k))
+    rows = workloads.wk_vary_len(spark, "/root/testdata/sf0.001").collect()
+    assert len(built) == 1 and {r.scenario for r in rows} == {"event_city", "panel_city"}

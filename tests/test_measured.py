@@ -93,3 +93,29 @@ def test_length_sweep_builds_the_city_once(spark, monkeypatch):
     monkeypatch.setattr(knowledge, "build", lambda *a, **k: built.append(1) or build(*a, **k))
     rows = workloads.wk_vary_len(spark, "/root/testdata/sf0.001").collect()
     assert len(built) == 1 and {r.scenario for r in rows} == {"event_city", "panel_city"}
+
+
+def test_merge_ablation_has_every_order_and_threshold(spark):
+    """Six orders by three thresholds, of places and of popularity; three orders at one threshold were the most."""
+    from itertools import permutations
+
+    rows = workloads.QUERIES["wk_merge_ablation"](spark, D).collect()
+    visits, places = S.event_poi(spark, D).agg(F.sum("popularity"), F.count(F.lit(1))).first()
+    names = ["-".join(o) for o in permutations(("space", "time", "category"))]
+    popular = ["popularity", *[f"popularity-{n}" for n in names[1:]]]
+    kappas = {"plain": (3, 5, 10), "popular": [-(-n * visits // places) for n in (3, 5, 10)]}
+    want = {(o, k) for o in names for k in kappas["plain"]} | {(o, k) for o in popular for k in kappas["popular"]}
+    assert {(r.order, r.kappa) for r in rows} == want and len(rows) == 4 * 36
+    assert {r.dim for r in rows} == {"t", "c", "s", "all"} and all(r.regions > 0 and r.ne >= 0 for r in rows)
+
+
+@pytest.mark.parametrize("joined", [False, True], ids=["rows", "plan"])
+def test_a_place_weighs_once_however_long_it_is_open(spark, joined):
+    """Two places of 6 and 5 visits, open all day: held against 10 at 24 hours together, not at 2 hours each alone."""
+    poi = spark.createDataFrame([("a", 40.71, -74.01, "x", "x/0", "x/0/0", 0, 24, 6), ("b", 40.71, -74.01, "x", "x/0", "x/0/1", 0, 24, 5)], "poi_id string, lat double, lon double, l1 string, l2 string, l3 string, open_h int, close_h int, popularity long")
+    cfg = Cfg(kappa=10, merge_order=("time", "category", "space"))
+    if joined:
+        found = regions.merge(regions.assign(poi, cfg), cfg, F.sum("popularity"))[0].toPandas()
+    else:
+        found = regions.merge_rows(regions.assign(poi, cfg, None, True).toPandas(), cfg, "popularity")[0]
+    assert found[["width", "lvl", "n_poi"]].values.tolist() == [[24, 2, 2]]
